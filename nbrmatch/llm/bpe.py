@@ -267,9 +267,6 @@ def decode_stream(ids: Iterable[int], text: dict[int, bytes], block: int = 4096)
         yield b"", rest
 
 
-ENCODED = "ids array<int>"
-
-
 def encode(df: DataFrame, ranks: bytes, pattern: str, text: str = "text", out: str = "ids") -> DataFrame:
     """Add the token ids of each whole text; a null or empty text has none. Narrow: no shuffle, rows stay in place.
 
@@ -310,6 +307,24 @@ def decode(df: DataFrame, ranks: bytes, ids: str = "ids", out: str = "decoded")
     return df.mapInArrow(without_gc(run), schema)
 
 
+def checked(df: DataFrame, ranks: bytes, pattern: str, text: str = "text") -> DataFrame:
+    """df with columns `ids` and `round_trip`: whether streaming decode of the ids gives the text. Null texts: no ids, true."""
+    keep = [c for c in df.columns if c not in ("ids", "round_trip")]
+    schema = _with(df.select(*keep), "ids array<int>", "round_trip boolean")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = coder(ranks, pattern)
+        for batch in batches:
+            ids, same = [], []
+            for t in batch.column(text).to_pylist():
+                found = own.encode(t) if t else []
+                ids.append(np.array(found, dtype=np.int32))
+                same.append("".join(chars for _, chars in decode_stream(found, own.text)) == (t or ""))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(ids, pa.list_(pa.int32())), pa.array(same)], [*keep, "ids", "round_trip"])
+
+    return df.mapInArrow(without_gc(run), schema)
+
+
 def _with(df: DataFrame, *more: str) -> str:
     return ", ".join([*(f"`{n}` {t}" for n, t in df.dtypes), *more])
 

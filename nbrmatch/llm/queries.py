@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe, quality, sharding, tiff, toxicity
+from . import bpe, chat, linededup, minhash, mixing, ordermin, quality, sharding, tiff, toxicity
 from .common import documents, labels
 
 BPE_FILE = "byte_bpe_multi_50k.tiktoken"
@@ -16,12 +17,22 @@ def op1_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.document_shards(documents(spark, sf_dir))
 
 
+def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = linededup.deduplicate(documents(spark, sf_dir).select("doc_id", "text"))
+    spans = F.array_join(F.transform("removed_spans", lambda s: F.concat_ws("-", s["start"].cast("string"), s["end"].cast("string"))), ",")
+    return out.select("doc_id", F.col("n_units").cast("long").alias("n_units"), F.col("n_removed").cast("long").alias("n_removed"), spans.alias("removed"), "text")
+
+
 def op3_byte_bpe(spark: SparkSession, sf_dir: str, path: str | None = None) -> DataFrame:
     import public_tokenizers
 
     return bpe.digest(documents(spark, sf_dir), bpe.load_ranks(path or public_tokenizers.path(BPE_FILE)), public_tokenizers.PATTERN)
 
 
+def op4_soft_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.rates(documents(spark, sf_dir), labels(spark, sf_dir))
+
+
 def op5_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tiff.round_trip(documents(spark, sf_dir))
 
@@ -30,13 +41,94 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.document_toxicity(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
+def op7_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(documents(spark, sf_dir))
+
+
+def op8_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = chat.perspectives(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+    return out.select("conv_id", "speaker", "part", F.col("n_turns").cast("long").alias("n_turns"), "rendered", chat.mask_string(F.col("mask")).alias("mask"))
+
+
 def op9_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.document_quality(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
+def op10_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ordermin.edit_check(documents(spark, sf_dir))
+
+
+#: Documents' lines of five words or more that an earlier document or line has; POSIX-free, with the white space of the operator.
+LINE_DEDUP_SQL = """
+WITH units AS (
+  SELECT doc_id, text, md5(coalesce(text, '')) AS k, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents
+), each AS (
+  SELECT DISTINCT doc_id, k, unnest(range(len(lines))) AS n, unnest(lines) AS line FROM units
+), normed AS (
+  SELECT doc_id, k, n, trim(regexp_replace(lower(line), '[ \\t\\r\\f\\v]+', ' ', 'g')) AS unit FROM each
+), long AS (
+  SELECT *, row_number() OVER (PARTITION BY unit ORDER BY doc_id NULLS FIRST, k, n) AS place
+  FROM normed WHERE length(unit) - length(replace(unit, ' ', '')) >= 4
+), offs AS (
+  SELECT doc_id, k, n, line, coalesce(sum(length(line) + 1) OVER (PARTITION BY doc_id, k ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start FROM each
+), marked AS (
+  SELECT o.*, coalesce(l.place > 1, false) AS gone FROM offs o LEFT JOIN long l USING (doc_id, k, n)
+), docs AS (
+  SELECT doc_id, k, count(*) AS n_units, count(*) FILTER (gone) AS n_removed,
+    coalesce(string_agg(start::BIGINT || '-' || (start + length(line))::BIGINT, ',' ORDER BY n) FILTER (gone), '') AS removed,
+    coalesce(string_agg(line, chr(10) ORDER BY n) FILTER (NOT gone), '') AS rest
+  FROM marked GROUP BY doc_id, k
+)
+SELECT u.doc_id, CASE WHEN u.text IS NULL THEN 0 ELSE d.n_units END::BIGINT AS n_units, d.n_removed::BIGINT AS n_removed, d.removed,
+  CASE WHEN u.text IS NULL THEN NULL ELSE d.rest END AS text
+FROM units u JOIN docs d ON u.doc_id IS NOT DISTINCT FROM d.doc_id AND u.k = d.k
+"""
+
+NEAR_DUPLICATES_SQL = """
+WITH RECURSIVE words AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
+), grams AS (
+  SELECT DISTINCT doc_id, array_to_string(w[i:i + 4], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i FROM words WHERE len(w) > 0)
+), sizes AS (
+  SELECT doc_id, count(*) AS n FROM grams GROUP BY doc_id
+), shared AS (
+  SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2
+), links AS (
+  SELECT x, y FROM shared JOIN sizes s ON s.doc_id = x JOIN sizes t ON t.doc_id = y WHERE 100 * c >= 85 * (s.n + t.n - c)
+), sym AS (
+  SELECT x, y FROM links UNION SELECT y, x FROM links
+), reach AS (
+  SELECT doc_id AS node, doc_id AS far FROM documents UNION SELECT r.node, b.y FROM reach r JOIN sym b ON b.x = r.far
+), least AS (
+  SELECT node, min(far) AS component FROM reach GROUP BY node
+)
+SELECT d.doc_id, coalesce(s.n, 0)::BIGINT AS n_shingles, l.component AS component_id, d.doc_id = l.component AS kept
+FROM documents d LEFT JOIN sizes s USING (doc_id) JOIN least l ON l.node = d.doc_id
+"""
+
+PERSPECTIVES_SQL = """
+WITH turns AS (
+  SELECT DISTINCT conv_id, turn, coalesce(role, 'unknown') AS role, text FROM conversations
+), cast_ AS (
+  SELECT DISTINCT conv_id, role AS speaker FROM turns WHERE role <> 'system'
+), seg AS (
+  SELECT t.conv_id, c.speaker, coalesce(floor(t.turn / 256)::BIGINT, -1) AS part, t.turn, t.role, t.text,
+    '<|im_start|>' || CASE WHEN t.role = c.speaker THEN 'assistant' WHEN t.role = 'system' THEN 'system' ELSE 'user name=' || t.role END || chr(10) AS head,
+    replace(coalesce(t.text, ''), '<|im_', '<| im_') || '<|im_end|>' || chr(10) AS body
+  FROM turns t JOIN cast_ c ON c.conv_id IS NOT DISTINCT FROM t.conv_id
+), placed AS (
+  SELECT *, coalesce(sum(length(head) + length(body)) OVER (PARTITION BY conv_id, speaker, part ORDER BY turn NULLS FIRST, role, text NULLS FIRST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + length(head) AS s FROM seg
+)
+SELECT conv_id, speaker, part::BIGINT AS part, count(*)::BIGINT AS n_turns, string_agg(head || body, '' ORDER BY turn NULLS FIRST, role, text NULLS FIRST) AS rendered,
+  coalesce(string_agg(s::BIGINT || '-' || (s + length(body))::BIGINT, ',' ORDER BY s) FILTER (role = speaker), '') AS mask
+FROM placed GROUP BY conv_id, speaker, part
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_sharding, op3_byte_bpe, op5_tiff, op6_toxicity, op9_line_quality)}
+    found = (op1_sharding, op2_line_dedup, op3_byte_bpe, op4_soft_mixing, op5_tiff, op6_toxicity, op7_minhash, op8_perspectives, op9_line_quality, op10_order_minhash)
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_line_dedup": LINE_DEDUP_SQL, "op7_minhash": NEAR_DUPLICATES_SQL, "op8_perspectives": PERSPECTIVES_SQL}
