@@ -1,101 +1,129 @@
-"""Substring dedup by hashing lines or paragraphs.
+"""Substring dedup by hashing lines or paragraphs, and the sentences in them.
 
-Units are lines (or paragraphs). Their normal forms (lower case, single spaces, trimmed) are hashed to 128 bits; of the
-units with one digest the earliest in rank (doc_id, then place in the document) stays, and the rest go. Only digests and
-places are shuffled; texts stay where they are until the removals of each document come back to it.
+Units are lines (or paragraphs) and, so that passages pasted into a line are found too, each line's sentences. Normal forms
+(lower case, single spaces, trimmed) are hashed; of the units with one digest the earliest in rank (doc_id, then place)
+stays and the rest go. A first count on 64 bits leaves the repeated digests; only their units are then ranked by 128 bits.
+Digests and places alone are shuffled; texts stay where they are until each document's removals come back to it.
 """
 
 from __future__ import annotations
 
+import re
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialise
 
-#: What separates units, as Java patterns.
+#: What separates units, as patterns of Java and of Python alike.
 LINE, PARAGRAPH = "\n", "\n[ \t\r]*\n"
 #: Units of fewer words are never removed: they repeat by chance.
 LEAST_WORDS = 5
-SPACE = "[ \t\r\f\u000b]+"
+SPACE = "[ \t\r\n\f\u000b]+"
+#: Takes the place of the space after a sentence.
+MARK = "\u0001"
+ENDS = (". ", "! ", "? ")
+#: Bits of a place that number the sentence; 0 stands for the whole line.
+SENTENCE_BITS = 24
 
 
 def normal(unit: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(unit), SPACE, " "))
 
 
-def pieces(text: Column, separator: str) -> Column:
-    """All units of a text in order, also empty ones."""
-    return F.split(F.coalesce(text, F.lit("")), separator, -1)
+def _marked(text: Column) -> Column:
+    for end in ENDS:
+        text = F.replace(text, F.lit(end), F.lit(end[0] + MARK))
+    return text
+
+
+def _key() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit("")))
+
+
+def units(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS) -> DataFrame:
+    """(doc_id, key, place, h1, h2) of every unit of enough words. place: line << SENTENCE_BITS | sentence from 1, or 0."""
+    lines = docs.select("doc_id", _key().alias("key"), F.posexplode(F.split(_marked(F.coalesce("text", F.lit(""))), separator, -1)).alias("line", "body"))
+    parts = F.split("body", MARK, -1)
+    whole = F.array(F.replace("body", F.lit(MARK), F.lit(" ")))
+    each = lines.select("doc_id", "key", "line", F.posexplode(F.when(F.locate(MARK, F.col("body")) > 0, F.concat(whole, parts)).otherwise(whole)).alias("n", "unit"))
+    each = each.select("doc_id", "key", (F.shiftleft(F.col("line").cast("long"), SENTENCE_BITS) + F.col("n")).alias("place"), normal(F.col("unit")).alias("unit"))
+    long = each.where(F.length("unit") - F.length(F.replace("unit", F.lit(" "), F.lit(""))) >= least_words - 1)
+    return long.select("doc_id", "key", "place", F.xxhash64("unit").alias("h1"), F.xxhash64(F.lit(7), "unit").alias("h2"))
 
 
 def repeated_units(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS) -> DataFrame:
-    """(doc_id, key, n, gone): of each document with removals, the numbers of its units that go, in order.
+    """(doc_id, key, gone): of each document with removals, the places of its units that go, in order.
 
-    key tells documents of one doc_id apart (a digest of the text). Rows equal in id and text are one document.
+    key tells documents of one doc_id apart (a hash of the text). Rows equal in id and text are one document.
     """
-    key = F.md5(F.coalesce("text", F.lit("")).cast("binary"))
-    units = docs.select("doc_id", key.alias("key"), F.posexplode(F.transform(pieces(F.col("text"), separator), normal)).alias("n", "unit"))
-    units = units.where(F.length("unit") - F.length(F.replace("unit", F.lit(" "), F.lit(""))) >= least_words - 1)
-    hashed = units.select("doc_id", "key", "n", F.unhex(F.md5(F.col("unit").cast("binary"))).alias("digest"))
-    rank = F.struct("doc_id", "key", "n")
-    firsts = hashed.groupBy("digest").agg(F.min(rank).alias("first"), F.max(rank).alias("last")).where("first <> last").select("digest", "first")
-    gone = hashed.join(firsts, "digest").where(~rank.eqNullSafe(F.col("first")))
-    return gone.groupBy("doc_id", "key").agg(F.array_sort(F.collect_set("n")).alias("gone"))
+    every = units(docs, separator, least_words)
+    twice = every.groupBy("h1").agg(F.count("*").alias("n")).where("n > 1").select("h1")
+    repeats = materialise(every.join(twice, "h1"), "repeats")
+    rank = F.struct("doc_id", "key", "place")
+    firsts = repeats.groupBy("h1", "h2").agg(F.min(rank).alias("first"))
+    gone = repeats.join(firsts, ["h1", "h2"]).where(~rank.eqNullSafe(F.col("first")))
+    return gone.groupBy("doc_id", "key").agg(F.array_sort(F.collect_set("place")).alias("gone"))
+
+
+def cut_units(text: str, gone: list[int], separator: str = LINE) -> tuple[str, list[tuple[int, int]]]:
+    """(text without the units, their spans in the original). A line goes with its separator, a sentence with the space before it."""
+    marked = text
+    for end in ENDS:
+        marked = marked.replace(end, end[0] + MARK)
+    out, spans, drop = [], [], set(gone)
+    edges = [(m.start(), m.end()) for m in re.finditer(separator, marked)]
+    starts, ends = [0, *(b for _, b in edges)], [*(a for a, _ in edges), len(marked)]
+    for line, (start, end) in enumerate(zip(starts, ends, strict=True)):
+        place = line << SENTENCE_BITS
+        if place in drop:
+            spans.append((start, end))
+            continue
+        body, at = [], start
+        parts = marked[start:end].split(MARK)
+        for k, part in enumerate(parts, 1):
+            if len(parts) > 1 and place + k in drop:
+                spans.append((at, at + len(part)))
+            else:
+                body.append((text[at - 1] if body else "") + text[at : at + len(part)])
+            at += len(part) + 1
+        if body:
+            before = text[ends[line - 1] : start] if out else ""
+            out.append(before + "".join(body))
+    return "".join(out), spans
 
 
 def deduplicate(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS) -> DataFrame:
-    """docs with repeated units taken out of `text`, and columns n_units, n_removed, removed_spans.
+    """docs with repeated units taken out of `text`, and columns n_units (lines), n_removed, removed_spans.
 
-    removed_spans: (start, end, unit) of each removed unit, in code points of the original text, end exclusive, without
-    its separator. Units keep their separators; a removed unit takes one with it. A null text stays null; a text none of
-    whose units go is unchanged; one all of whose units go becomes empty, and its row stays. Rows equal in doc_id and
-    text are one document and end up alike. Other columns pass through; columns named as the new ones are replaced.
+    removed_spans: (start, end) of each removed unit in code points of the original text, end exclusive. A null text
+    stays null; a text none of whose units go is unchanged; one all of whose units go becomes empty, and its row stays.
+    Rows equal in doc_id and text are one document and end up alike. Rows without doc_id rank first. Other columns pass
+    through; columns named as the new ones are replaced.
     """
-    new = ("n_units", "n_removed", "removed_spans")
-    docs = docs.drop(*new)
+    docs = docs.drop("n_units", "n_removed", "removed_spans")
     gone = materialise(repeated_units(docs.select("doc_id", "text"), separator, least_words), "gone")
-    kept = docs.withColumn("_key", F.md5(F.coalesce("text", F.lit("")).cast("binary")))
     gone = gone.select(F.col("doc_id").alias("_id"), F.col("key").alias("_gone_key"), F.col("gone").alias("_gone"))
-    joined = kept.join(gone, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_gone_key")), "left")
-    return _rebuild(joined, docs.columns, separator)
-
-
-def _rebuild(joined: DataFrame, columns: list[str], separator: str) -> DataFrame:
-    """Cut the units out, on the JVM: what a unit's number says, its offset in the text follows from those before it."""
-    units = pieces(F.col("text"), separator)
-    if separator == LINE:
-        sizes, gap = F.transform("_units", lambda u: F.char_length(u)), F.lit(1)
-        places = F.sequence(F.lit(0), F.size("_units") - 1)
-        rest = F.array_join(F.transform(F.array_except(places, "_gone"), lambda k: F.get("_units", k)), "\n")
-    else:
-        # Paragraphs: separators differ in length, so they are units of their own, at odd numbers.
-        units = F.split(F.regexp_replace(F.coalesce("text", F.lit("")), f"({separator})", "\u0001$1\u0001"), "\u0001", -1)
-        sizes, gap = F.transform("_units", lambda u: F.char_length(u)), F.lit(0)
-        out = F.flatten(F.transform("_gone", lambda k: F.array(k * 2, k * 2 + 1)))
-        places = F.sequence(F.lit(0), F.size("_units") - 1)
-        rest = F.array_join(F.transform(F.array_except(places, out), lambda k: F.get("_units", k)), "")
-    step = 1 if separator == LINE else 2
-    with_units = joined.withColumn("_units", F.when(F.col("_gone").isNotNull(), units))
-    with_sizes = with_units.withColumn("_sizes", sizes)
-    # One pass over the removed units: (place reached, offset there, spans so far).
-    spans = F.aggregate(
-        "_gone",
-        F.struct(F.lit(0).alias("at"), F.lit(0).cast("int").alias("offset"), F.expr("cast(array() as array<struct<start:int,end:int,unit:int>>)").alias("out")),
-        lambda acc, k: _advance(acc, k * step, k, gap),
-        lambda acc: acc["out"],
-    )
-    cut = with_sizes.withColumn("removed_spans", F.coalesce(spans, F.expr("cast(array() as array<struct<start:int,end:int,unit:int>>)")))
-    count = F.when(F.col("text").isNull(), 0).otherwise(F.size(pieces(F.col("text"), separator)))
-    cut = cut.withColumn("n_units", count).withColumn("n_removed", F.size("removed_spans"))
-    cut = cut.withColumn("text", F.when(F.col("_gone").isNotNull() & F.col("text").isNotNull(), rest).otherwise(F.col("text")))
-    return cut.select(*columns, "n_units", "n_removed", "removed_spans")
-
-
-def _advance(acc: Column, place: Column, unit: Column, gap: Column) -> Column:
-    passed = F.slice(F.col("_sizes"), acc["at"] + 1, place - acc["at"])
-    start = F.aggregate(passed, acc["offset"], lambda s, n: s + n + gap)
-    end = start + F.element_at(F.col("_sizes"), place + 1)
-    return F.struct(place.alias("at"), start.alias("offset"), F.concat(acc["out"], F.array(F.struct(start.alias("start"), end.alias("end"), unit.alias("unit")))).alias("out"))
+    joined = docs.withColumn("_key", _key()).join(gone, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_gone_key")), "left").select(*docs.columns, "_gone")
+    names = docs.columns
+    schema = ", ".join([*(f"`{n}` {t}" for n, t in docs.dtypes), "n_units int, n_removed int, removed_spans array<struct<start:int,end:int>>"])
+    span = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts, counts, spans = batch.column("text").to_pylist(), [], []
+            for k, (t, places) in enumerate(zip(texts, batch.column("_gone").to_pylist(), strict=True)):
+                counts.append(0 if t is None else len(re.findall(separator, t)) + 1)
+                found: list[tuple[int, int]] = []
+                if t is not None and places:
+                    texts[k], found = cut_units(t, places, separator)
+                spans.append([{"start": a, "end": b} for a, b in found])
+            columns = [pa.array(texts, pa.string()) if n == "text" else batch.column(n) for n in names]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(counts, pa.int32()), pa.array([len(s) for s in spans], pa.int32()), pa.array(spans, span)], [*names, "n_units", "n_removed", "removed_spans"])
+
+    return joined.mapInArrow(run, schema)
 
 
 def clean(docs: DataFrame, **options) -> DataFrame:

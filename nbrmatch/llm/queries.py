@@ -58,30 +58,45 @@ def op10_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ordermin.edit_check(documents(spark, sf_dir))
 
 
-#: Documents' lines of five words or more that an earlier document or line has; POSIX-free, with the white space of the operator.
+#: Lines, and sentences of lines with several, of five words or more that an earlier document or place has.
 LINE_DEDUP_SQL = """
-WITH units AS (
-  SELECT doc_id, text, md5(coalesce(text, '')) AS k, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents
-), each AS (
-  SELECT DISTINCT doc_id, k, unnest(range(len(lines))) AS n, unnest(lines) AS line FROM units
+WITH lines AS (
+  SELECT DISTINCT doc_id, k, unnest(range(len(l))) AS i, unnest(l) AS line
+  FROM (SELECT doc_id, md5(coalesce(text, '')) AS k, string_split(coalesce(text, ''), chr(10)) AS l FROM documents)
+), parts AS (
+  SELECT doc_id, k, i, line, unnest(range(1, len(p) + 1)) AS j, unnest(p) AS part, len(p) AS n
+  FROM (SELECT *, string_split(replace(replace(replace(line, '. ', '.' || chr(1)), '! ', '!' || chr(1)), '? ', '?' || chr(1)), chr(1)) AS p FROM lines)
+), units AS (
+  SELECT doc_id, k, i, 0 AS j, line AS unit FROM lines UNION ALL SELECT doc_id, k, i, j, part FROM parts WHERE n > 1
 ), normed AS (
-  SELECT doc_id, k, n, trim(regexp_replace(lower(line), '[ \\t\\r\\f\\v]+', ' ', 'g')) AS unit FROM each
-), long AS (
-  SELECT *, row_number() OVER (PARTITION BY unit ORDER BY doc_id NULLS FIRST, k, n) AS place
+  SELECT doc_id, k, i, j, trim(regexp_replace(lower(unit), '[ \\t\\r\\n\\f\\v]+', ' ', 'g')) AS unit FROM units
+), ranked AS (
+  SELECT *, row_number() OVER (PARTITION BY unit ORDER BY doc_id NULLS FIRST, k, i, j) AS place
   FROM normed WHERE length(unit) - length(replace(unit, ' ', '')) >= 4
-), offs AS (
-  SELECT doc_id, k, n, line, coalesce(sum(length(line) + 1) OVER (PARTITION BY doc_id, k ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start FROM each
-), marked AS (
-  SELECT o.*, coalesce(l.place > 1, false) AS gone FROM offs o LEFT JOIN long l USING (doc_id, k, n)
-), docs AS (
-  SELECT doc_id, k, count(*) AS n_units, count(*) FILTER (gone) AS n_removed,
-    coalesce(string_agg(start::BIGINT || '-' || (start + length(line))::BIGINT, ',' ORDER BY n) FILTER (gone), '') AS removed,
-    coalesce(string_agg(line, chr(10) ORDER BY n) FILTER (NOT gone), '') AS rest
-  FROM marked GROUP BY doc_id, k
+), gone AS (
+  SELECT doc_id, k, i, j FROM ranked WHERE place > 1
+), placed AS (
+  SELECT *, coalesce(sum(length(line) + 1) OVER (PARTITION BY doc_id, k ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS at_line FROM lines
+), spots AS (
+  SELECT p.doc_id, p.k, p.i, p.j, p.n, p.part, l.line, l.at_line,
+    l.at_line + coalesce(sum(length(p.part) + 1) OVER (PARTITION BY p.doc_id, p.k, p.i ORDER BY p.j ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS at_part,
+    EXISTS (SELECT 1 FROM gone g WHERE g.doc_id IS NOT DISTINCT FROM p.doc_id AND g.k = p.k AND g.i = p.i AND g.j = 0) AS line_gone,
+    EXISTS (SELECT 1 FROM gone g WHERE g.doc_id IS NOT DISTINCT FROM p.doc_id AND g.k = p.k AND g.i = p.i AND g.j = p.j) AS part_gone
+  FROM parts p JOIN placed l ON l.doc_id IS NOT DISTINCT FROM p.doc_id AND l.k = p.k AND l.i = p.i
+), spans AS (
+  SELECT DISTINCT doc_id, k, at_line AS a, at_line + length(line) AS b FROM spots WHERE line_gone
+  UNION ALL SELECT doc_id, k, at_part, at_part + length(part) FROM spots WHERE part_gone AND NOT line_gone
+), removed AS (
+  SELECT doc_id, k, count(*) AS n_removed, string_agg(a::BIGINT || '-' || b::BIGINT, ',' ORDER BY a) AS removed FROM spans GROUP BY 1, 2
+), kept AS (
+  SELECT doc_id, k, i, string_agg(part, ' ' ORDER BY j) AS line FROM spots WHERE NOT line_gone AND NOT part_gone GROUP BY 1, 2, 3
+), rest AS (
+  SELECT doc_id, k, string_agg(line, chr(10) ORDER BY i) AS text FROM kept GROUP BY 1, 2
 )
-SELECT u.doc_id, CASE WHEN u.text IS NULL THEN 0 ELSE d.n_units END::BIGINT AS n_units, d.n_removed::BIGINT AS n_removed, d.removed,
-  CASE WHEN u.text IS NULL THEN NULL ELSE d.rest END AS text
-FROM units u JOIN docs d ON u.doc_id IS NOT DISTINCT FROM d.doc_id AND u.k = d.k
+SELECT d.doc_id, CASE WHEN d.text IS NULL THEN 0 ELSE len(string_split(d.text, chr(10))) END::BIGINT AS n_units, coalesce(r.n_removed, 0)::BIGINT AS n_removed,
+  coalesce(r.removed, '') AS removed, CASE WHEN d.text IS NULL THEN NULL WHEN r.k IS NULL THEN d.text ELSE coalesce(t.text, '') END AS text
+FROM (SELECT *, md5(coalesce(text, '')) AS k FROM documents) d
+LEFT JOIN removed r ON r.doc_id IS NOT DISTINCT FROM d.doc_id AND r.k = d.k LEFT JOIN rest t ON t.doc_id IS NOT DISTINCT FROM d.doc_id AND t.k = d.k
 """
 
 NEAR_DUPLICATES_SQL = """
