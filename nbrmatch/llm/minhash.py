@@ -59,7 +59,7 @@ def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     found = (text or "").encode().lower().split()
     if not found:
         return np.empty(0, dtype=np.uint64)
-    hashes = worker_cache("words", _Hashes)
+    hashes = worker_cache(("minhash", "words"), _Hashes)
     h = np.fromiter(map(hashes.__getitem__, found), dtype=np.uint64, count=len(found))
     n = max(1, len(h) - words + 1)
     out = np.full(n, len(h) if len(h) < words else 0, dtype=np.uint64)
@@ -174,45 +174,68 @@ def _verified(pairs: DataFrame, texts: DataFrame, percent: int, words: int) -> D
     return both.select("a", "b", "text_a", "text_b").mapInArrow(without_gc(run), "a long, b long")  # a node may have several texts
 
 
-def _blocks(members: DataFrame, bucket: list[str], payload: str) -> DataFrame:
+def _blocks(members: DataFrame, bucket: list[str], payload: list[str]) -> DataFrame:
     """Members dealt to pairs of blocks: (bucket..., qb, tb, rep, comp, side, payload); side q: asks, side t: is asked."""
     sizes = members.groupBy(*bucket).agg(F.sum(F.col("asks").cast("int")).alias("nq"), F.count("*").alias("nt"))
     blocks = lambda n: F.greatest(F.ceil(F.col(n) / BLOCK), F.lit(1)).cast("int")
     sized = members.join(sizes.select(*bucket, blocks("nq").alias("bq"), blocks("nt").alias("bt")), bucket)
     own = lambda n, salt: F.pmod(F.xxhash64(F.lit(salt), "rep"), F.col(n)).cast("int")
-    asking = sized.where("asks").select(*bucket, own("bq", 1).alias("qb"), F.explode(F.sequence(F.lit(0), F.col("bt") - 1)).alias("tb"), "rep", "comp", F.lit(True).alias("q"), payload)
-    asked = sized.select(*bucket, F.explode(F.sequence(F.lit(0), F.col("bq") - 1)).alias("qb"), own("bt", 2).alias("tb"), "rep", "comp", F.lit(False).alias("q"), payload)
+    asking = sized.where("asks").select(*bucket, own("bq", 1).alias("qb"), F.explode(F.sequence(F.lit(0), F.col("bt") - 1)).alias("tb"), "rep", "comp", F.lit(True).alias("q"), *payload)
+    asked = sized.select(*bucket, F.explode(F.sequence(F.lit(0), F.col("bq") - 1)).alias("qb"), own("bt", 2).alias("tb"), "rep", "comp", F.lit(False).alias("q"), *payload)
     return asking.union(asked)
 
 
-def _marked(members: DataFrame, bucket: list[str], least: float) -> DataFrame:
-    """The members that have a partner in another component whose signature agrees enough."""
+def _compared(blocks: DataFrame, bucket: list[str], rows: int, least: float, schema: str, emit) -> DataFrame:
+    """What emit(group, asking, asked, agree) gives for each pair of blocks; agree: which pairs of places to look at.
+
+    Those are in different components and their signatures agree enough. Many small blocks share one call to Python;
+    which ones goes by a hash, so calls stay near `rows` rows.
+    """
+    keys = [*bucket, "qb", "tb"]
+    n = max(1, -(-blocks.count() // rows))
+    dealt = blocks.withColumn("g", F.pmod(F.xxhash64(*keys), F.lit(n)))
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
-        q, t = group[group.q], group[~group.q]
+        group = group.sort_values(keys, kind="stable")
+        ids = group[keys].to_numpy()
+        edges = np.flatnonzero((ids[1:] != ids[:-1]).any(axis=1)) + 1
+        side, comp = group.q.to_numpy(), group.comp.to_numpy()
+        signs = np.frombuffer(b"".join(group.signature), np.uint32).reshape(len(group), -1)
         out = []
-        if len(q) and len(t):
-            a = np.stack([np.frombuffer(x, np.uint32) for x in q.signature])
-            b = np.stack([np.frombuffer(x, np.uint32) for x in t.signature])
-            tc, tr = t.comp.to_numpy(), t.rep.to_numpy()
-            for row, comp, rep in zip(a, q.comp, q.rep, strict=True):
-                hit = ((b == row).mean(axis=1) >= least) & (tc != comp)
-                if hit.any():
-                    out += [(rep, True), *((r, False) for r in tr[hit])]
-        out = sorted(set(out))
-        first = group.iloc[0]
-        return pd.DataFrame([(*(first[c] for c in bucket), r, q) for r, q in out], columns=[*bucket, "rep", "q"])
+        for at in np.split(np.arange(len(group)), edges):
+            q, t = at[side[at]], at[~side[at]]
+            if not len(q) or not len(t):
+                continue
+            agree = (signs[q][:, None, :] == signs[t][None, :, :]).mean(axis=2) >= least
+            agree &= comp[q][:, None] != comp[t][None, :]
+            if agree.any():
+                out += emit(group, q, t, agree)
+        return pd.DataFrame(out, columns=[c.split()[0] for c in schema.split(", ")])
+
+    return dealt.groupBy("g").applyInPandas(run, schema)
+
+
+def _marked(members: DataFrame, bucket: list[str], least: float) -> DataFrame:
+    """The members that have a partner in another component whose signature agrees enough."""
+
+    def emit(group: pd.DataFrame, q: np.ndarray, t: np.ndarray, agree: np.ndarray) -> list[tuple]:
+        of = group[bucket].iloc[q[0]].tolist()
+        rep = group.rep.to_numpy()
+        found = {(int(r), True) for r in rep[q[agree.any(axis=1)]]} | {(int(r), False) for r in rep[t[agree.any(axis=0)]]}
+        return [(*of, r, asks) for r, asks in sorted(found)]
 
     types = dict(members.dtypes)
     schema = ", ".join([*(f"{c} {types[c]}" for c in bucket), "rep long, q boolean"])
-    return _blocks(members, bucket, "signature").groupBy(*bucket, "qb", "tb").applyInPandas(run, schema).groupBy(*bucket, "rep").agg(F.max("q").alias("asks"))
+    found = _compared(_blocks(members, bucket, ["signature"]), bucket, 4096, least, schema, emit)
+    return found.groupBy(*bucket, "rep").agg(F.max("q").alias("asks"))
 
 
-def _block_links(members: DataFrame, bucket: list[str], percent: int, words: int) -> DataFrame:
+def _block_links(members: DataFrame, bucket: list[str], percent: int, words: int, least: float) -> DataFrame:
     """Links between members of different components of a bucket, by full sets; not all of them, but enough to join what they join."""
 
-    def run(group: pd.DataFrame) -> pd.DataFrame:
-        q, t = group[group.q], group[~group.q]
+    def emit(group: pd.DataFrame, q: np.ndarray, t: np.ndarray, agree: np.ndarray) -> list[tuple]:
+        rep, comp, text = group.rep.to_numpy(), group.comp.to_numpy(), group.text.to_numpy()
+        sets: dict[int, np.ndarray] = {}
         known: dict[int, int] = {}
 
         def find(x: int) -> int:
@@ -220,18 +243,21 @@ def _block_links(members: DataFrame, bucket: list[str], percent: int, words: int
                 x = known[x]
             return x
 
-        asked = [shingles(x, words) for x in t.text]
         out = []
-        for r, c, text in zip(q.rep, q.comp, q.text, strict=True):
-            own = shingles(text, words)
-            for r2, c2, other in zip(t.rep, t.comp, asked, strict=True):
-                x, y = find(c), find(c2)
-                if x != y and alike(own, other, percent):
-                    known[max(x, y)] = min(x, y)
-                    out.append((r, r2))
-        return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
-
-    return _blocks(members, bucket, "text").groupBy(*bucket, "qb", "tb").applyInPandas(run, "a long, b long")
+        for i, j in np.argwhere(agree):
+            i, j = q[i], t[j]
+            x, y = find(comp[i]), find(comp[j])
+            if x == y:
+                continue
+            for k in (i, j):
+                if k not in sets:
+                    sets[k] = shingles(text[k], words)
+            if alike(sets[i], sets[j], percent):
+                known[max(x, y)] = min(x, y)
+                out.append((int(rep[i]), int(rep[j])))
+        return out
+
+    return _compared(_blocks(members, bucket, ["signature", "text"]), bucket, 512, least, "a long, b long", emit)
 
 
 def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> DataFrame:
@@ -267,10 +293,10 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     ask = materialise(open_.join(unsettled, ["band", "h"]).select("band", "h", "rep", "comp", (F.col("comp") != F.col("hub_comp")).alias("asks")), "open")
     more = None
     if not ask.isEmpty():
-        signed = ask.join(classes.select("rep", "signature"), "rep")
+        signed = materialise(ask.join(classes.select("rep", "signature"), "rep"), "signed")
         marked = materialise(_marked(signed, ["band", "h"], LEAST_AGREEING), "marked")
-        again = marked.join(ask.select("band", "h", "rep", "comp"), ["band", "h", "rep"]).join(texts, "rep")
-        more = materialise(_block_links(again, ["band", "h"], percent, words), "more-links")
+        again = marked.join(signed.select("band", "h", "rep", "comp", "signature"), ["band", "h", "rep"]).join(texts, "rep")
+        more = materialise(_block_links(again, ["band", "h"], percent, words, LEAST_AGREEING), "more-links")
     if more is not None and not more.isEmpty():
         found = components(links.union(more))
     # Rows with one doc_id are one node: their classes meet in it.
