@@ -38,7 +38,7 @@ def parse_ranks(data: bytes) -> dict[bytes, int]:
 class Transducer:
     """Byte words to token ids by merge ranks. Not reachable tokens (whose own bytes encode otherwise) stand for whole words only."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, max_states: int = 250_000, max_words: int = 600_000, max_chunks: int = 300_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, max_states: int = 120_000, max_words: int = 300_000, max_chunks: int = 100_000):
         """pattern: its matches are encoded one by one. The short cut of encode() holds for SPACED patterns only."""
         import regex
 
@@ -94,7 +94,7 @@ class Transducer:
         return [ranks[p] for p in parts]
 
     def pair(self, a: int, b: int) -> bool:
-        if len(self.stable) >= 8 * self.max_states:
+        if len(self.stable) >= 3 * self.max_states:
             self.stable.clear()
         found = self.stable[a << 32 | b] = self._apart(a, b)
         return found
@@ -119,8 +119,11 @@ class Transducer:
         start = ((NONE, 0, ()),)
         self.ids, self.sets, self.next = {start: 0}, [start], {}
 
-    def _step(self, state: int, c: int) -> tuple[int, tuple[int, ...]]:
-        """Subset construction for one byte: all open hypotheses move; their common first tokens are emitted."""
+    def _step(self, state: int, c: int) -> int | tuple[int, tuple[int, ...]]:
+        """Subset construction for one byte: all open hypotheses move; their common first tokens are emitted.
+
+        Returns the next state, with the emitted tokens if there are any.
+        """
         out, tokens, goto, stable = [], (), self.goto, self.stable
         for last, node, owed in self.sets[state]:
             nxt = goto.get(node << 8 | c)
@@ -147,7 +150,7 @@ class Transducer:
         if k is None:
             k = self.ids[found] = len(self.sets)
             self.sets.append(found)
-        step = self.next[state << 8 | c] = (k, tokens)
+        step = self.next[state << 8 | c] = (k, tokens) if tokens else k
         return step
 
     def _end(self, state: int) -> tuple[int, ...] | None:
@@ -166,9 +169,11 @@ class Transducer:
             step = nexts.get(state << 8 | c)
             if step is None:
                 step = self._step(state, c)
-            state = step[0]
-            if step[1]:
-                out.extend(step[1])
+            if step.__class__ is int:
+                state = step
+            else:
+                state, tokens = step
+                out.extend(tokens)
         rest = self._end(state)
         if rest is None:  # the ranks aren't closed under their own merges; merge this word directly
             return tuple(self.merge(b))
@@ -279,7 +284,7 @@ def encode(df: DataFrame, ranks: bytes, pattern: str, text: str = "text", out: s
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = coder(ranks, pattern).encode
         for batch in batches:
-            ids = [np.array(coder.encode(find(t)), dtype=np.int32) if t else np.empty(0, np.int32) for t in batch.column(text).to_pylist()]
+            ids = [np.array(encode(t), dtype=np.int32) if t else np.empty(0, np.int32) for t in batch.column(text).to_pylist()]
             ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
             flat = np.concatenate(ids) if ids else np.empty(0, np.int32)
             column = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))

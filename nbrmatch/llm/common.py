@@ -56,16 +56,28 @@ def training_rows(docs: DataFrame, labelled: DataFrame, label: str, most: int, s
 
 
 def worker_cache(key: object, make):
-    """A value that lives as long as the Python worker: later tasks in it get the same one."""
+    """A value that lives as long as the Python worker: later tasks in it get the same one. Values of other operators go."""
     import sys
     import types
 
     kept = sys.modules.setdefault("_nbrmatch_worker", types.ModuleType("_nbrmatch_worker")).__dict__
     if key not in kept:
+        release(key)
         kept[key] = make()
     return kept[key]
 
 
+def release(key: object = None) -> None:
+    """Drop what other operators have left in this Python worker: all but the values whose key has the same first part."""
+    import sys
+
+    module = sys.modules.get("_nbrmatch_worker")
+    family = lambda k: k[0] if isinstance(k, tuple) else k
+    for k in list(module.__dict__) if module else ():
+        if not (isinstance(k, str) and k.startswith("__")) and (key is None or family(k) != family(key)):
+            del module.__dict__[k]
+
+
 def without_gc(run):
     """Run a batch iterator without the cycle collector: memo tables make each of its passes long, and hold no cycles."""
 

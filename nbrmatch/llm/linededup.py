@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, release
 
 #: What separates units, as patterns of Java and of Python alike.
 LINE, PARAGRAPH = "\n", "\n[ \t\r]*\n"
@@ -112,6 +112,7 @@ def deduplicate(docs: DataFrame, separator: str = LINE, least_words: int = LEAST
     span = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
         for batch in batches:
             texts, counts, spans = batch.column("text").to_pylist(), [], []
             for k, (t, places) in enumerate(zip(texts, batch.column("_gone").to_pylist(), strict=True)):

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out, materialise, without_gc
+from .common import held_out, materialise, release, without_gc
 
 
 @dataclass
@@ -89,6 +89,7 @@ def memberships(docs: DataFrame, model: Domains) -> DataFrame:
     schema = ", ".join([*(f"`{n}` {t}" for n, t in docs.select(*keep).dtypes), "tokens long, posterior array<double>"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
         for batch in batches:
             found = [model.posterior(t) for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array([n for _, n in found], pa.int64()), pa.array([p for p, _ in found], pa.list_(pa.float64()))], [*keep, "tokens", "posterior"])

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from .common import held_out, training_rows
+from .common import held_out, release, training_rows
 
 #: Features of a line itself; the model sees them for the line, the one before and the one after, plus a constant.
 OWN = 14
@@ -178,6 +178,7 @@ def train(docs: DataFrame, labelled: DataFrame, most: int = 3000) -> ChainField:
     """Fit on at most `most` labelled rows that are not held out. Only their features come to the driver, in float32."""
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release()
         for batch in batches:
             data = [document_features(t)[0].tobytes() for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), pa.array(data, pa.binary())], ["doc_id", "label", "features"])
@@ -205,6 +206,7 @@ def score(docs: DataFrame, field: ChainField, text: str = "text", out: str = "sc
 
     @F.pandas_udf(DoubleType())
     def of(texts: pd.Series) -> pd.Series:
+        release()
         return pd.Series([field.score(t) for t in texts], dtype="float64")
 
     return docs.withColumn(out, of(F.col(text)))
