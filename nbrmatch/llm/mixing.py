@@ -24,17 +24,15 @@ from .common import held_out, materialise, release, without_gc
 class Domains:
     names: list[str]
     prior: np.ndarray
-    weights: dict[str, np.ndarray]  # word: log-likelihood of each domain, less the mean
+    index: dict[str, int]  # word: its row of weights
+    weights: np.ndarray  # log-likelihood of each domain, less the mean
 
     def posterior(self, text: str | None) -> tuple[np.ndarray, int]:
         """(posterior over the domains, words of the text). No words: the prior."""
         words = (text or "").split()
-        z = self.prior.copy()
-        found = self.weights.get
-        for w in set(words):
-            v = found(w)
-            if v is not None:
-                z += v
+        rows = set(map(self.index.get, words))
+        rows.discard(None)
+        z = self.prior + self.weights[sorted(rows)].sum(axis=0) if rows else self.prior
         z = np.exp(z - z.max())
         return z / z.sum(), len(words)
 
@@ -52,12 +50,10 @@ def fit(samples: list[tuple[Counter, str]], most_words: int = 20_000) -> Domains
                 count[w] = np.zeros(len(names))
             count[w][index[d]] += n
     words = sorted(count, key=lambda w: (-count[w].sum(), w))[:most_words]
-    weights = {}
-    for w in words:
-        v = np.log((count[w] + 0.5) / (size + 1.0))
-        weights[w] = v - v.mean()
+    weights = np.log((np.array([count[w] for w in words]).reshape(len(words), len(names)) + 0.5) / (size + 1.0))
+    weights -= weights.mean(axis=1, keepdims=True)
     prior = np.log((size + 1) / (size + 1).sum())
-    return Domains(names, prior, weights)
+    return Domains(names, prior, {w: i for i, w in enumerate(words)}, weights)
 
 
 def train(docs: DataFrame, labelled: DataFrame, domain: str = "lang", most: int = 4000, seed: int = 11) -> Domains:
