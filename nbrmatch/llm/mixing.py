@@ -151,12 +151,24 @@ class Plan:
     targets: np.ndarray
     reached: np.ndarray
     seed: int
+    members: DataFrame  # doc_id, tokens, posterior and chance of each row
+
+    def _rated(self, scored: DataFrame, chance: Column) -> DataFrame:
+        rated = scored.withColumn("rate", rate_after(self.gradients, self.least))
+        return rated.withColumn("copies", (F.floor("rate") + (chance < F.col("rate") - F.floor("rate")).cast("long")).cast("long"))
 
     def apply(self, docs: DataFrame) -> DataFrame:
         """docs with tokens, posterior, rate and copies. Narrow: documents are scored where they are."""
-        rated = memberships(docs, self.model).withColumn("rate", rate_after(self.gradients, self.least))
-        chance = F.pmod(F.xxhash64(F.lit(self.seed), "doc_id", "text"), F.lit(1 << 30)) / float(1 << 30)
-        return rated.withColumn("copies", (F.floor("rate") + (chance < F.col("rate") - F.floor("rate")).cast("long")).cast("long"))
+        return self._rated(memberships(docs, self.model), chance(self.seed))
+
+    def rated(self) -> DataFrame:
+        """(doc_id, tokens, posterior, rate, copies) of the rows that were planned for, from their written scores."""
+        return self._rated(self.members, F.col("chance")).drop("chance")
+
+
+def chance(seed: int) -> Column:
+    """A number from [0, 1) by id and text."""
+    return F.pmod(F.xxhash64(F.lit(seed), "doc_id", "text"), F.lit(1 << 30)) / float(1 << 30)
 
 
 def plan(docs: DataFrame, labelled: DataFrame, domain: str = "lang", weights: dict[str, float] | None = None, seed: int = 5) -> Plan:
@@ -168,7 +180,7 @@ def plan(docs: DataFrame, labelled: DataFrame, domain: str = "lang", weights: di
     tokens and the prior as posterior. An empty table, or one without labelled rows, gives rates of 1.
     """
     model = train(docs, labelled, domain)
-    members = materialise(memberships(docs.select("text"), model).drop("text"), "members")
+    members = materialise(memberships(docs.select("doc_id", "text"), model).withColumn("chance", chance(seed)).drop("text"), "members")
     now, _ = moments(members, len(model.names))
     if weights is None:
         targets = smoothed_targets(now)
@@ -177,13 +189,13 @@ def plan(docs: DataFrame, labelled: DataFrame, domain: str = "lang", weights: di
         targets = now.sum() * share / share.sum() if share.any() else now
     least = 1.0 if weights is None else 0.0
     gradients, reached = solve(members, targets, least)
-    return Plan(model, gradients, least, targets, reached, seed)
+    return Plan(model, gradients, least, targets, reached, seed, members)
 
 
 def rates(docs: DataFrame, labelled: DataFrame, domain: str = "lang", weights: dict[str, float] | None = None) -> DataFrame:
     """(doc_id, tokens, domain, posterior, rate, copies) of each row; domain: the likeliest."""
     found = plan(docs, labelled, domain, weights)
-    rated = found.apply(docs.select("doc_id", "text"))
+    rated = found.rated()
     likeliest = F.get(F.array(*(F.lit(n) for n in found.model.names)), F.array_position("posterior", F.array_max("posterior")).cast("int") - 1)
     return rated.select("doc_id", "tokens", likeliest.alias("domain"), "posterior", "rate", "copies")
 
