@@ -17,8 +17,8 @@ def line_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates the document of the least id stays."""
-    return minhash.keep_one(docs)
+    """Of each group of near duplicates (likeness 0.8 or more) the document of the least id stays."""
+    return minhash.keep_one(docs, percent=80)
 
 
 def repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -9,12 +9,14 @@
    compared with all members of other components, block against block: signatures first (which only mark the members
    that can have a link), then full sets. No group is gathered in one task, and no row is made for a pair that has no link.
 
-With 24 bands of 5 minima, two sets of likeness 0.85 share no band with a chance of 8e-7; of 0.9, 3e-10.
+Bands follow from the least likeness that links, so that a pair at it is missed with a chance of 1e-6 at most: 24 bands
+of 5 minima at 0.85 (8e-7), 35 at 0.8 (9e-7).
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,11 +27,23 @@ from pyspark.sql import functions as F
 
 from .common import materialise, without_gc, worker_cache
 
-WORDS, BANDS, ROWS = 5, 24, 5
+WORDS, ROWS = 5, 5
+#: Chance that a pair of just the least likeness shares no band, at most.
+MISSED = 1e-6
 #: Members of a block of a bucket that step 4 compares at once.
 BLOCK = 128
-#: Signatures that agree in a smaller share can't belong to sets of likeness 0.85 (six standard deviations away).
-LEAST_AGREEING = 0.65
+
+
+def bands_for(percent: int) -> int:
+    """The fewest bands that miss a pair of this likeness with a chance of MISSED at most."""
+    same = (percent / 100) ** ROWS
+    return 1 if same >= 1 else math.ceil(math.log(MISSED) / math.log1p(-same))
+
+
+def least_agreeing(percent: int) -> float:
+    """Signatures that agree in a smaller share can't belong to sets of this likeness (six standard deviations away)."""
+    s = percent / 100
+    return math.floor(100 * (s - 6 * math.sqrt(s * (1 - s) / (bands_for(percent) * ROWS)))) / 100
 
 
 class _Hashes(dict):
@@ -69,15 +83,14 @@ def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     return np.unique(out)
 
 
-def _parameters(seed: int) -> tuple[np.ndarray, np.ndarray]:
+def _parameters(seed: int, n: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(seed)
-    n = BANDS * ROWS
     return rng.integers(0, 2**32, n, dtype=np.uint32) | np.uint32(1), rng.integers(0, 2**32, n, dtype=np.uint32)
 
 
-def signature(sets: np.ndarray, seed: int = 1) -> np.ndarray:
-    """The least of each of the universal hashes over a set (uint32). An empty set has none."""
-    times, plus = worker_cache(("minhash", seed), lambda: _parameters(seed))
+def signature(sets: np.ndarray, n: int, seed: int = 1) -> np.ndarray:
+    """The least of each of n universal hashes over a set (uint32). An empty set has none."""
+    times, plus = worker_cache(("minhash", seed, n), lambda: _parameters(seed, n))
     least = np.full(len(times), 2**32 - 1, dtype=np.uint32)
     low, high = sets.astype(np.uint32), (sets >> np.uint64(32)).astype(np.uint32)
     with np.errstate(over="ignore"):
@@ -89,7 +102,7 @@ def signature(sets: np.ndarray, seed: int = 1) -> np.ndarray:
     return least
 
 
-def sketch(docs: DataFrame, words: int = WORDS) -> DataFrame:
+def sketch(docs: DataFrame, n_bands: int, words: int = WORDS) -> DataFrame:
     """(doc_id, n_shingles, set_digest, signature, bands) of each row; bands is null where there are no words."""
     kind = dict(docs.dtypes)["doc_id"]
 
@@ -104,11 +117,11 @@ def sketch(docs: DataFrame, words: int = WORDS) -> DataFrame:
                     signatures.append(None)
                     bands.append(None)
                     continue
-                g = signature(s)
+                g = signature(s, n_bands * ROWS)
                 signatures.append(g.tobytes())
-                h = np.arange(BANDS, dtype=np.uint64)
+                h = np.arange(n_bands, dtype=np.uint64)
                 with np.errstate(over="ignore"):
-                    for row in g.reshape(BANDS, ROWS).T:
+                    for row in g.reshape(n_bands, ROWS).T:
                         h = _mix(h * np.uint64(31) + row)
                 bands.append(h.view(np.int64))
             yield pa.RecordBatch.from_arrays(
@@ -269,7 +282,8 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     kept beside a row with one; a class of such rows only has a null component and is kept. Extra columns are ignored.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = materialise(sketch(docs, words), "sketch")
+    least = least_agreeing(percent)
+    rows = materialise(sketch(docs, bands_for(percent), words), "sketch")
     classes = rows.where("n_shingles > 0 and doc_id is not null").groupBy("set_digest").agg(F.min("doc_id").alias("rep"), F.min(F.struct("signature", "bands")).alias("s"))
     classes = classes.select("set_digest", "rep", "s.signature", "s.bands")
     banded = classes.select("rep", F.posexplode("bands").alias("band", "h"))
@@ -294,9 +308,9 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     more = None
     if not ask.isEmpty():
         signed = materialise(ask.join(classes.select("rep", "signature"), "rep"), "signed")
-        marked = materialise(_marked(signed, ["band", "h"], LEAST_AGREEING), "marked")
+        marked = materialise(_marked(signed, ["band", "h"], least), "marked")
         again = marked.join(signed.select("band", "h", "rep", "comp", "signature"), ["band", "h", "rep"]).join(texts, "rep")
-        more = materialise(_block_links(again, ["band", "h"], percent, words, LEAST_AGREEING), "more-links")
+        more = materialise(_block_links(again, ["band", "h"], percent, words, least), "more-links")
     if more is not None and not more.isEmpty():
         found = components(links.union(more))
     # Rows with one doc_id are one node: their classes meet in it.
@@ -322,8 +336,8 @@ def keep_one(docs: DataFrame, percent: int = 85, words: int = WORDS) -> DataFram
     return found.union(docs.where(F.col("doc_id").isNull()))
 
 
-def estimated(a: Column, b: Column) -> Column:
-    """Share of agreeing minima of two signatures (binary columns): an estimate of the likeness of the sets."""
-    n = BANDS * ROWS
+def estimated(a: Column, b: Column, percent: int = 85) -> Column:
+    """Share of agreeing minima of two signatures (binary columns) for `percent`: an estimate of the likeness of the sets."""
+    n = bands_for(percent) * ROWS
     part = lambda c, k: F.substring(c, 4 * k + 1, 4)
     return sum((part(a, k) == part(b, k)).cast("int") for k in range(n)) / n

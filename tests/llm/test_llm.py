@@ -155,6 +155,25 @@ def test_near_duplicates_equal_all_pairs(spark, seed, monkeypatch):
     assert all(r["kept"] == (r["doc_id"] == r["component_id"]) for r in got)
 
 
+def test_the_pipeline_drops_a_near_copy_of_likeness_082(spark):
+    import corpus_pipeline
+
+    # 109 words are 105 shingles; with the last ten changed, 95 are shared of 115: 0.826.
+    text = [f"w{k}" for k in range(109)]
+    rows = [(1, " ".join(text)), (2, " ".join([*text[:99], *(f"v{k}" for k in range(10))])), (3, "another text of seven words in all")]
+    assert {i for i, (_, c) in plain_near(rows).items() if i == c} == {1, 2, 3}
+    got = corpus_pipeline.near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), SF)
+    assert {r["doc_id"] for r in got.collect()} == {1, 3}
+
+
+def test_bands_and_cut_follow_from_the_likeness():
+    assert (minhash.bands_for(85), minhash.least_agreeing(85)) == (24, 0.65)
+    for percent in (60, 70, 80, 85, 95):
+        s, n = percent / 100, minhash.bands_for(percent)
+        assert (1 - s**minhash.ROWS) ** n <= minhash.MISSED
+        assert s - minhash.least_agreeing(percent) >= 6 * (s * (1 - s) / (n * minhash.ROWS)) ** 0.5
+
+
 def test_components_of_a_long_path(spark):
     rng = random.Random(5)
     ids = rng.sample(range(1000), 60)
