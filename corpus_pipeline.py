@@ -22,8 +22,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines that an earlier document has are cut out of the text."""
-    return linededup.clean(docs)
+    """Lines of any length that an earlier document or place has are cut out of the text, and longer sentences."""
+    return linededup.clean(docs, every_line=True)
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -19,8 +19,10 @@ from .common import materialise, release
 
 #: What separates units, as patterns of Java and of Python alike.
 LINE, PARAGRAPH = "\n", "\n[ \t\r]*\n"
-#: Units of fewer words are never removed: they repeat by chance.
+#: Units of fewer words are not removed, unless every_line is asked for.
 LEAST_WORDS = 5
+#: With every_line: sentences of so many characters are removed however many words they have (some scripts have no spaces).
+LEAST_CHARACTERS = 20
 SPACE = "[ \t\r\n\f\u000b]+"
 #: Takes the place of the space after a sentence.
 MARK = "\u0001"
@@ -43,23 +45,28 @@ def _key() -> Column:
     return F.xxhash64(F.coalesce("text", F.lit("")))
 
 
-def units(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS) -> DataFrame:
-    """(doc_id, key, place, h1, h2) of every unit of enough words. place: line << SENTENCE_BITS | sentence from 1, or 0."""
+def units(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS, every_line: bool = False) -> DataFrame:
+    """(doc_id, key, place, h1, h2) of every unit of enough words. place: line << SENTENCE_BITS | sentence from 1, or 0.
+
+    every_line: of lines all that aren't empty, of any length; of sentences those of enough words or characters.
+    """
     lines = docs.select("doc_id", _key().alias("key"), F.posexplode(F.split(_marked(F.coalesce("text", F.lit(""))), separator, -1)).alias("line", "body"))
     parts = F.split("body", MARK, -1)
     whole = F.array(F.replace("body", F.lit(MARK), F.lit(" ")))
     each = lines.select("doc_id", "key", "line", F.posexplode(F.when(F.locate(MARK, F.col("body")) > 0, F.concat(whole, parts)).otherwise(whole)).alias("n", "unit"))
-    each = each.select("doc_id", "key", (F.shiftleft(F.col("line").cast("long"), SENTENCE_BITS) + F.col("n")).alias("place"), normal(F.col("unit")).alias("unit"))
-    long = each.where(F.length("unit") - F.length(F.replace("unit", F.lit(" "), F.lit(""))) >= least_words - 1)
-    return long.select("doc_id", "key", "place", F.xxhash64("unit").alias("h1"), F.xxhash64(F.lit(7), "unit").alias("h2"))
+    each = each.select("doc_id", "key", "n", (F.shiftleft(F.col("line").cast("long"), SENTENCE_BITS) + F.col("n")).alias("place"), normal(F.col("unit")).alias("unit"))
+    counts = F.length("unit") - F.length(F.replace("unit", F.lit(" "), F.lit(""))) >= least_words - 1
+    if every_line:
+        counts = ((F.col("n") == 0) & (F.col("unit") != "")) | (F.length("unit") >= LEAST_CHARACTERS) | counts
+    return each.where(counts).select("doc_id", "key", "place", F.xxhash64("unit").alias("h1"), F.xxhash64(F.lit(7), "unit").alias("h2"))
 
 
-def repeated_units(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS) -> DataFrame:
+def repeated_units(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS, every_line: bool = False) -> DataFrame:
     """(doc_id, key, gone): of each document with removals, the places of its units that go, in order.
 
     key tells documents of one doc_id apart (a hash of the text). Rows equal in id and text are one document.
     """
-    every = units(docs, separator, least_words)
+    every = units(docs, separator, least_words, every_line)
     twice = every.groupBy("h1").agg(F.count("*").alias("n")).where("n > 1").select("h1")
     repeats = materialise(every.join(twice, "h1"), "repeats")
     rank = F.struct("doc_id", "key", "place")
@@ -95,7 +102,7 @@ def cut_units(text: str, gone: list[int], separator: str = LINE) -> tuple[str, l
     return "".join(out), spans
 
 
-def deduplicate(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS) -> DataFrame:
+def deduplicate(docs: DataFrame, separator: str = LINE, least_words: int = LEAST_WORDS, every_line: bool = False) -> DataFrame:
     """docs with repeated units taken out of `text`, and columns n_units (lines), n_removed, removed_spans.
 
     removed_spans: (start, end) of each removed unit in code points of the original text, end exclusive. A null text
@@ -104,7 +111,7 @@ def deduplicate(docs: DataFrame, separator: str = LINE, least_words: int = LEAST
     through; columns named as the new ones are replaced.
     """
     docs = docs.drop("n_units", "n_removed", "removed_spans")
-    gone = materialise(repeated_units(docs.select("doc_id", "text"), separator, least_words), "gone")
+    gone = materialise(repeated_units(docs.select("doc_id", "text"), separator, least_words, every_line), "gone")
     gone = gone.select(F.col("doc_id").alias("_id"), F.col("key").alias("_gone_key"), F.col("gone").alias("_gone"))
     joined = docs.withColumn("_key", _key()).join(gone, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_gone_key")), "left").select(*docs.columns, "_gone")
     names = docs.columns

@@ -232,6 +232,33 @@ def test_line_dedup_equals_plain(spark):
     assert [(r["doc_id"], r["text"], [(s["start"], s["end"]) for s in r["removed_spans"]]) for r in got] == plain_lines(rows)
 
 
+def test_every_line_goes_whatever_its_length(spark):
+    cjk = "今日は天気がとても良いので散歩に行きましょう"
+    rows = [(1, f"all rights reserved.\n\n{cjk}\nyes. no."), (2, f"All rights  reserved.\n\nown line\n{cjk}\nyes. other."), (3, "own line\n\nown line")]
+    got = linededup.deduplicate(spark.createDataFrame(rows, "doc_id long, text string"), every_line=True).orderBy("doc_id").collect()
+    assert [r["text"] for r in got] == [rows[0][1], "\nown line\nyes. other.", ""]
+    assert [r["n_removed"] for r in got] == [0, 2, 2]
+
+
+def test_the_pipeline_cuts_short_lines_too(spark):
+    import corpus_pipeline
+
+    docs = spark.createDataFrame([(1, "all rights reserved.\none", 24), (2, "two\nall rights reserved.", 24)], "doc_id long, text string, n_chars long")
+    got = corpus_pipeline.repeated_lines(spark, docs, SF).orderBy("doc_id").collect()
+    assert [(r["text"], r["n_chars"]) for r in got] == [("all rights reserved.\none", 24), ("two", 3)]
+
+
+@pytest.mark.parametrize("name", ["op2_line_dedup", "op2_line_dedup_every"])
+def test_line_dedup_equals_its_sql(spark, name):
+    import duckdb
+
+    db = duckdb.connect()
+    db.sql(f"CREATE VIEW documents AS FROM '{SF}/documents.parquet'")
+    want = db.sql(queries.oracle_sql()[name]).fetchall()
+    got = [tuple(r) for r in queries.queries()[name](spark, SF).collect()]
+    assert sorted(got) == sorted(want)
+
+
 def test_paragraph_dedup(spark):
     a, b = "first paragraph of five words", "another paragraph with\nsix words inside"
     rows = [(1, f"{a}\n\n{b}"), (2, f"short one\n \n{b}\n\n{a}\n\nthe end of this long story")]
