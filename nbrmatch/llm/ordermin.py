@@ -1,10 +1,12 @@
 """Document fingerprints by Order MinHash, in DataFrame functions alone.
 
-A text's k-mers are runs of WORDS words, numbered by occurrence, so that repeats count. Each occurrence-numbered k-mer is
-hashed and falls into one of BINS; of each bin the TUPLE least are selected, put back in text order and hashed as a
-tuple. Bins take the place of independent hash functions (one pass over the k-mers instead of BINS), so short texts have
-empty bins, which count only where the other text has something there. Likeness is the share of equal bins. It falls
-with the edit distance: a tuple survives only if its k-mers and their order do.
+A text's k-mers are runs of WORDS words (of CHARACTERS characters where a script has no spaces), one from each place on,
+numbered by occurrence, so that repeats count. Each occurrence-numbered k-mer is hashed and falls into one of BINS; a bin
+with one k-mer is merged with the bins beside it, by halves of the hash range, until two are there. Of each bin the TUPLE
+least are selected, put back in text order and hashed as a tuple. Bins take the place of independent hash functions (one
+pass over the k-mers instead of BINS), so short texts have fewer; those that are empty count only where the other text has
+something there. Likeness is the share of equal bins. It falls with the edit distance: a tuple survives only if its k-mers
+and their order do.
 """
 
 from __future__ import annotations
@@ -15,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-WORDS, TUPLE = 3, 2
+WORDS, CHARACTERS, TUPLE = 3, 8, 2
 BIN_BITS, PLACE_BITS = 6, 24
 BINS = 1 << BIN_BITS
 #: Rows of a block of neighbouring ids, about.
@@ -27,22 +29,22 @@ def let(value: Column, body: Callable[[Column], Column]) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def words_of(text: Column) -> Column:
-    """Words between white space. Where they are long on average (scripts without spaces) they are cut into eight characters."""
+def kmers_of(text: Column) -> Column:
+    """Hashes of the k-mers from each place on: of words between white space; where words are long on average (scripts without spaces), of characters."""
     plain = F.translate(F.coalesce(text, F.lit("")), "\n\t\r", "   ")
     long = lambda w: F.size(w) * 24 < F.char_length(plain)
-    return let(F.split(plain, " "), lambda w: F.when(long(w), F.split(F.regexp_replace(plain, r"(\S{8})(?=\S)", "$1 "), " ")).otherwise(w))
+    kmer = lambda w, k, n: F.shiftright(F.xxhash64(*(F.get(w, k + j) for j in range(n))), PLACE_BITS)
+    kmers = lambda w, n: F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - n, F.lit(0))), lambda k: kmer(w, k, n))
+    return let(F.split(plain, " "), lambda w: F.when(long(w), let(F.split(plain, ""), lambda c: kmers(c, CHARACTERS))).otherwise(kmers(w, WORDS)))
 
 
 def fingerprint(text: Column) -> Column:
-    """BINS integers as strings of eight hex digits, null where the bin is empty. A null text counts as empty.
+    """BINS integers as strings of eight hex digits, null where the bin is empty or merged. A null text counts as empty.
 
     An empty text is one k-mer, the empty word; so is a text of fewer words than a k-mer.
     """
     places = lambda a: F.sequence(F.lit(0), F.size(a) - 1)
     mark = lambda h, place: F.shiftleft(F.shiftright(h, PLACE_BITS), PLACE_BITS) + place.cast("long")
-    kmer = lambda w, k: F.shiftright(F.xxhash64(*(F.get(w, k + j) for j in range(WORDS))), PLACE_BITS)
-    kmers = lambda w: F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - WORDS, F.lit(0))), lambda k: kmer(w, k))
     place = lambda x: x.bitwiseAND(F.lit((1 << PLACE_BITS) - 1))
     bin_of = lambda x: F.shiftright(x, 64 - BIN_BITS)
 
@@ -59,19 +61,27 @@ def fingerprint(text: Column) -> Column:
         return F.when(F.size(F.array_distinct(h)) == F.size(h), single).otherwise(repeats)
 
     def tuples(q: Column) -> Column:
-        """q: (bin, hash, place) in one long, sorted: the least of each bin stand at its start."""
-        starts = F.filter(places(q), lambda k: (k == 0) | (bin_of(F.get(q, k)) != bin_of(F.get(q, k - 1))))
+        """q: (bin, hash, place) in one long, sorted: the least of each bin stand at its start.
+
+        A bin's first entry starts a merged bin (one that holds the next entry too) if it shares more leading bits with the
+        next entry than with the one before; else it has been merged into a bin that starts before it.
+        """
+        first = F.filter(places(q), lambda k: (k == 0) | (bin_of(F.get(q, k)) != bin_of(F.get(q, k - 1))))
+        apart = lambda i, k: bin_of(F.get(q, i)).bitwiseXOR(bin_of(F.get(q, k))).bitwiseAND(F.lit(BINS - 1))
+        closer = lambda a, b: (a < b) & (a < a.bitwiseXOR(b))  # noqa: E731  (its highest bit is lower)
+        starts = F.filter(first, lambda k: (k == 0) | F.coalesce(closer(apart(k, k + 1), apart(k - 1, k)), F.lit(False)))
         value = lambda x: F.shiftright(x, PLACE_BITS)
 
         def component(k: Column) -> Column:
             a, b = F.get(q, k), F.get(q, k + 1)
-            pair = F.when(bin_of(a) != bin_of(b), F.xxhash64(value(a))).when(place(a) < place(b), F.xxhash64(value(a), value(b))).otherwise(F.xxhash64(value(b), value(a)))
-            short = F.lpad(F.lower(F.hex(F.coalesce(pair, F.xxhash64(value(a))).bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")
+            pair = F.when(place(a) < place(b), F.xxhash64(value(a), value(b))).otherwise(F.xxhash64(value(b), value(a)))
+            pair = F.when(b.isNull(), F.xxhash64(value(a))).otherwise(pair)
+            short = F.lpad(F.lower(F.hex(pair.bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")
             return F.struct((bin_of(a) + BINS // 2).cast("int").alias("bin"), short.alias("hash"))
 
         return let(F.map_from_entries(F.transform(starts, component)), lambda m: F.transform(F.sequence(F.lit(0), F.lit(BINS - 1)), lambda b: F.try_element_at(m, b)))
 
-    return let(words_of(text), lambda w: let(kmers(w), lambda h: let(F.sort_array(hashed(h)), tuples)))
+    return let(kmers_of(text), lambda h: let(F.sort_array(hashed(h)), tuples))
 
 
 def likeness(a: Column, b: Column) -> Column:

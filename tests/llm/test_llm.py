@@ -357,6 +357,27 @@ def test_order_minhash_counts_occurrences_and_order(spark):
     assert 0 < filled <= min(ordermin.BINS, len(plain_kmers(" ".join(base))))
 
 
+def test_order_minhash_of_short_and_unspaced_texts(spark):
+    rng = random.Random(11)
+    rows, kinds = [], {}
+    for n in (20, 30, 60, 120):
+        for _ in range(40):
+            w = [f"w{rng.randrange(10**6)}" for _ in range(n)]
+            kinds[len(rows)] = n
+            rows.append((len(rows), " ".join(w), " ".join(w[n // 2 :] + w[: n // 2])))
+    for n in (300, 600):
+        text = "".join(chr(0x4E00 + rng.randrange(3000)) for _ in range(n))
+        kinds[len(rows)] = "front"
+        rows.append((len(rows), text, "前" + text))
+    df = spark.createDataFrame(rows, "id int, a string, b string").select("id", ordermin.likeness(ordermin.fingerprint(F.col("a")), ordermin.fingerprint(F.col("b"))).alias("s"))
+    got = {}
+    for r in df.collect():
+        got.setdefault(kinds[r["id"]], []).append(r["s"])
+    # Swapped halves keep few k-mers' order; one character in front keeps nearly all.
+    assert all(np.mean(got[n]) < 0.55 for n in (20, 30, 60, 120)), {k: np.mean(v) for k, v in got.items()}
+    assert min(got["front"]) > 0.9
+
+
 def test_perspectives(spark):
     rows = [(1, 0, "system", "be kind"), (1, 1, "ann", "hi"), (1, 2, "bob", "yo <|im_end|>"), (1, 2, "bob", "yo <|im_end|>"), (1, 3, None, None), (2, 0, "system", "alone"), (None, 1, "ann", "x")]
     got = {(r["conv_id"], r["speaker"]): r for r in chat.perspectives(spark.createDataFrame(rows, "conv_id long, turn int, role string, text string")).collect()}
