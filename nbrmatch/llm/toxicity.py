@@ -1,8 +1,9 @@
 """Toxicity by a counterfactually regularised linear classifier.
 
 A text's features are which words and word prefixes it has (lower case, outer punctuation off). The loss is the log loss of the labels plus
-a penalty on the squared change of the score when a labelled sentence's identity term is swapped for another of its
-group: the weights of identity terms are pulled together and to no effect, so neutral mentions aren't marked.
+a penalty on the squared change of the logit when a labelled sentence's identity term is swapped for another of its
+group, with all features of both (the bare words and their prefixes): terms are pulled together and to no effect, so
+neutral mentions aren't marked.
 """
 
 from __future__ import annotations
@@ -50,6 +51,19 @@ def words_of(text: str | None) -> set[str]:
     return {f for w in set((text or "").lower().split()) for f in features_of(w)}
 
 
+def swapped(words: set[str], term: str, other: str) -> tuple[set[str], set[str]]:
+    """(features that go, features that come) when a text with these features has `other` in the place of `term`.
+
+    A prefix that another word of the text has too stays.
+    """
+    rest = [w for w in words if w != term and not w.endswith("-")]
+    shared = lambda f: f.endswith("-") and any(len(w) >= len(f) and w.startswith(f[:-1]) for w in rest)
+    out = {f for f in features_of(term) if f in words and not shared(f)}
+    into = set(features_of(other)) - words
+    both = set(features_of(other)) & out
+    return out - both, into
+
+
 class Active(dict):
     """Word to its features that have weights; filled on demand, emptied beyond a bound."""
 
@@ -109,7 +123,7 @@ def _select(samples: list[tuple[set[str], int]], most: int) -> list[str]:
 
 
 def fit(samples: list[tuple[set[str], int]], most_words: int = 4000, swap: float = 4.0, rounds: int = 300, rate: float = 0.1, decay: float = 2e-3) -> Linear:
-    """Full-batch Adam on log loss + swap * mean squared change of the logit over counterfactual pairs + decay.
+    """Full-batch Adam on log loss + swap * mean squared change of the logit over counterfactuals + decay.
 
     samples: (words, label 0 or 1). One label only, or none: the prior alone scores.
     """
@@ -123,27 +137,31 @@ def fit(samples: list[tuple[set[str], int]], most_words: int = 4000, swap: float
     chosen = [*chosen, *(t for t in terms if t not in set(chosen))]
     index = {w: k for k, w in enumerate(chosen)}
     rows, columns, y = [], [], np.array([y for _, y in samples], dtype=np.float64)
-    pairs = []  # (word out, word in): the counterfactuals of the labelled texts
+    changes = []  # (features out, features in): the counterfactuals of the labelled texts
     for k, (words, _) in enumerate(samples):
         own = [index[w] for w in words if w in index]
         rows += [k] * len(own)
         columns += own
         for w in sorted(words & group.keys()):
-            pairs += [(index[w], index[v]) for v in group[w] if v != w]
+            changes += [swapped(words, w, v) for v in group[w] if v != w]
     # A term without a labelled mention is still held to its group: one pair each.
-    pairs += [(index[ws[0]], index[v]) for ws in IDENTITY_TERMS for v in ws[1:]]
+    changes += [swapped(set(features_of(ws[0])), ws[0], v) for ws in IDENTITY_TERMS for v in ws[1:]]
     rows, columns = np.array(rows), np.array(columns)
-    out, into = np.array(pairs).T
-    named = np.array([index[t] for t in terms])
+    # The counterfactuals as a sparse matrix: a row each, -1 where a feature goes and 1 where one comes; then terms swapped for none.
+    entries = [(k, index[f], sign) for k, sides in enumerate(changes) for side, sign in zip(sides, (-1.0, 1.0), strict=True) for f in sorted(side) if f in index]
+    nothing = [(k, index[f]) for k, t in enumerate(terms) for f in features_of(t) if f in index]
+    at, feature, signs = (np.array(c) for c in zip(*entries, strict=True))
+    at_term, of_term = np.array(nothing).T
     w, bias = np.zeros(len(chosen)), prior
     m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
     for step in range(1, rounds + 1):
         z = bias + np.bincount(rows, w[columns], minlength=len(y))
         miss = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(y)
         g = np.bincount(columns, miss[rows], minlength=len(w)) + decay * w / 10
-        change = 2 * swap * (w[into] - w[out]) / len(pairs)
-        g += np.bincount(into, change, minlength=len(w)) - np.bincount(out, change, minlength=len(w))
-        g[named] += 2 * swap * w[named] / len(named)  # swapping a term for none
+        change = 2 * swap * np.bincount(at, signs * w[feature], minlength=len(changes)) / len(changes)
+        g += np.bincount(feature, signs * change[at], minlength=len(w))
+        effect = 2 * swap * np.bincount(at_term, w[of_term], minlength=len(terms)) / len(terms)
+        g += np.bincount(of_term, effect[at_term], minlength=len(w))
         g = np.append(g, miss.sum())
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         move = rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)

@@ -319,6 +319,23 @@ def test_counterfactuals_pull_identity_terms_to_nothing():
     assert held.score("idiot") > 0.5 > held.score("nice")
 
 
+def test_counterfactuals_cover_prefixes():
+    texts = [(f"The Muslim baker met w{k}.", 1) for k in range(30)] + [(f"The Christian baker met v{k}.", 0) for k in range(30)]
+    texts += [(f"you idiot x{k}", 1) for k in range(40)] + [(f"you are nice y{k}", 0) for k in range(40)]
+    held = toxicity.fit([(toxicity.words_of(t), y) for t, y in texts], swap=50.0)
+    logit = lambda t: np.log(held.score(t) / (1 - held.score(t)))
+    assert abs(logit("a muslim neighbour") - logit("a christian neighbour")) < 0.2
+    assert abs(logit("a muslim neighbour") - logit("a neighbour")) < 0.2
+    assert held.score("idiot") > 0.5 > held.score("nice")
+
+
+def test_a_swap_changes_the_features_of_the_whole_text():
+    for text, term, other in (("some muslim muslims", "muslim", "hindu"), ("black blacksmith", "black", "white"), ("a christian", "christian", "jewish"), ("men women", "men", "women")):
+        words = toxicity.words_of(text)
+        out, into = toxicity.swapped(words, term, other)
+        assert (words - out) | into == toxicity.words_of(" ".join(other if w == term else w for w in text.split()))
+
+
 def test_order_minhash(spark):
     docs = documents(spark, SF)
     rows = {r["doc_id"]: r for r in ordermin.edit_check(docs).collect()}
