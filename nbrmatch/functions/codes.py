@@ -14,7 +14,7 @@ from collections.abc import Sequence
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
-from pyspark.sql.types import BinaryType
+from pyspark.sql.types import BinaryType, StringType
 
 INT64 = 2**63 - 1
 DECIMAL = 10**38 - 1
@@ -248,6 +248,12 @@ def bump_column(code: Column, counts: list[Column], rank: int) -> Column:
     return code
 
 
+@F.pandas_udf(StringType())
+def ncode_text(x: pd.Series) -> pd.Series:
+    """Codes of any size in decimal digits. Null for null."""
+    return pd.Series([None if v is None else str(ncode([int(n) for n in v])) for v in x], dtype=object)
+
+
 @F.pandas_udf(BinaryType())
 def ncode_bytes(x: pd.Series) -> pd.Series:
     """Codes of any size as 64 bytes, high byte first: Spark compares them as unsigned, so as the numbers. Null for null or larger."""

@@ -238,6 +238,14 @@ def c_code_edge_aware(spark, d):
     return f.withColumn("code", codes.ncode_column([F.col("vertex_code"), F.col("edge_code")]))
 
 
+@query(_FE + f", c AS (SELECT vid, ({_code_sql(_SUMS[:3])}) AS cv, ({_code_sql(['e1', 'e1+e2', 'e1+e2+e3'])}) AS ce FROM fe) SELECT vid, cv::VARCHAR AS vertex_code, ce::VARCHAR AS edge_code, ({_code_sql(['cv', 'cv+ce'])})::VARCHAR AS code FROM c")
+def c_code_edge_aware_every(spark, d):
+    """A row for every vertex, in digits as hubs' codes have no bound, where c_code_edge_aware has those of degree 50 at most."""
+    f = filters.one_hop(filters.start(view(spark, d, "T"), RELATIONS), _REL)
+    f = f.select("vid", codes.ncode_text(F.array(*_xs(RELATIONS))).alias("vertex_code"), codes.ncode_text(F.array("e1", "e2", "e3")).alias("edge_code"))
+    return f.withColumn("code", codes.ncode_text(F.array("vertex_code", "edge_code")))
+
+
 _GAPS = ["<1d", "<1h", ">=1d"]
 
 
@@ -286,10 +294,10 @@ def c_hop_codes(spark, d):
 
 @query()
 def c_decode(spark, d):
-    """Codes decoded again by a UDTF-like explosion; tests hold it against the vectors."""
+    """Codes of all vertices, in digits as hubs' have no bound, decoded again; tests hold it against the vectors."""
     from ..functions.udfs import decode_column
 
-    f = features(spark, d, "T", TRIANGLE).where("pdeg <= 100").select("vid", "x1", "x2", "x3", codes.ncode_column(_xs(TRIANGLE)).alias("code"))
+    f = features(spark, d, "T", TRIANGLE).select("vid", "x1", "x2", "x3", codes.ncode_text(F.array(*_xs(TRIANGLE))).alias("code"))
     v = decode_column(3)(F.col("code"))
     return f.select("vid", "code", (v == F.array("x1", "x2", "x3")).alias("same"))
 

@@ -38,3 +38,21 @@ SAMPLE = ["g_summary_trade", "c_code_full", "c_code_directed", "f_code_strict",
 def test_query_equals_sql(spark, db, name):
     got, want = entry.queries()[name](spark, SF).toPandas(), db.sql(entry.oracle_sql()[name]).df()
     assert text(got) == text(want)
+
+
+@pytest.mark.parametrize("name", ["c_code_edge_aware_every"])
+def test_whole_query_equals_sql(spark, db, name):
+    got, want = entry.queries()[name](spark, SF).toPandas(), db.sql(entry.oracle_sql()[name]).df()
+    assert text(got) == text(want)
+
+
+@pytest.mark.parametrize("name", ["c_code_edge_aware_every", "c_decode"])
+def test_codes_have_a_row_for_every_vertex_hubs_too(spark, name):
+    from nbrmatch.operators import filters
+    from nbrmatch.plans import catalogue
+
+    q = catalogue.TRIANGLE if name == "c_decode" else catalogue.RELATIONS
+    start = filters.start(catalogue.view(spark, SF, "T"), q).vertices
+    got = entry.queries()[name](spark, SF)
+    assert {r["vid"] for r in got.select("vid").collect()} == {r["vid"] for r in start.select("vid").collect()}
+    assert name != "c_decode" or got.where("not same").isEmpty()
