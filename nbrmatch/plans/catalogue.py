@@ -109,6 +109,14 @@ def g_doc_shared_lines(spark, d):
     return graphs.document_lines(spark, d).edges.select("src", "dst")
 
 
+@query(
+    f"""WITH l AS (SELECT DISTINCT doc_id, trim(x) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE trim(x) <> '')
+    SELECT {7 * o.SPACE}+doc_id AS vid, sha256(line) AS line FROM l WHERE line IN (SELECT line FROM l GROUP BY 1 HAVING count(*) >= 2)"""
+)
+def g_doc_line_members(spark, d):
+    return graphs.document_line_members(spark, d)
+
+
 @query(
     f"""WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings)
     SELECT {8 * o.SPACE}+a.vec_id AS src, {8 * o.SPACE}+b.vec_id AS dst FROM e a JOIN e b ON a.vec_id<b.vec_id WHERE list_dot_product(a.v, b.v)/(sqrt(list_dot_product(a.v, a.v))*sqrt(list_dot_product(b.v, b.v))) > 0.3"""

@@ -104,6 +104,18 @@ def document_lines(spark: SparkSession, sf_dir: str, most: int = 50) -> LabeledG
     return LabeledGraph(vertices, _edges(pairs, vid("document", F.col("a.doc_id")), vid("document", F.col("b.doc_id")), None))
 
 
+def document_line_members(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(vid, line): which document has which line (sha-256 of the trimmed line) that two or more documents have, however many.
+
+    The exact form of L without a bound: documents share a line where they meet in one, and no row is made for a pair.
+    """
+    d = table(spark, sf_dir, "documents")
+    lines = d.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where("line <> ''")
+    lines = lines.select("doc_id", F.sha2("line", 256).alias("line")).distinct()
+    used = lines.groupBy("line").agg(F.count("*").alias("n")).where("n > 1").select("line")
+    return lines.join(used, "line").select(vid("document", "doc_id").alias("vid"), "line")
+
+
 def vector_neighbours(spark: SparkSession, sf_dir: str, least: float = 0.3) -> LabeledGraph:
     """K: embeddings whose cosine is over `least`. All pairs of a small table, as the view defines; not for large ones."""
     e = table(spark, sf_dir, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("v"))

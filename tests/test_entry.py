@@ -40,7 +40,7 @@ def test_query_equals_sql(spark, db, name):
     assert text(got) == text(want)
 
 
-@pytest.mark.parametrize("name", ["c_code_edge_aware_every"])
+@pytest.mark.parametrize("name", ["c_code_edge_aware_every", "g_doc_line_members"])
 def test_whole_query_equals_sql(spark, db, name):
     got, want = entry.queries()[name](spark, SF).toPandas(), db.sql(entry.oracle_sql()[name]).df()
     assert text(got) == text(want)
@@ -56,3 +56,12 @@ def test_codes_have_a_row_for_every_vertex_hubs_too(spark, name):
     got = entry.queries()[name](spark, SF)
     assert {r["vid"] for r in got.select("vid").collect()} == {r["vid"] for r in start.select("vid").collect()}
     assert name != "c_decode" or got.where("not same").isEmpty()
+
+
+def test_lines_of_many_documents_keep_their_members(spark, tmp_path):
+    from nbrmatch.sources import graphs
+
+    rows = [(k, f"common line\nown line {k}", "en", "s") for k in range(60)] + [(60, " common line ", "en", "s"), (61, "nothing shared", "en", "s"), (62, None, "en", "s")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = graphs.document_line_members(spark, str(tmp_path)).collect()
+    assert sorted(r["vid"] - 7 * graphs.SPACE for r in got) == list(range(61)) and len({r["line"] for r in got}) == 1
