@@ -21,12 +21,18 @@ def labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share. Only where the session names none (tests) a local one is made."""
+    """The folder all executors share, one of its own for each application.
+
+    It lies in spark.checkpoint.dir, or in the checkpoint folder set on the context. Where there is neither, a local
+    session (tests) gets a temporary folder; on a cluster that's an error, as executors wouldn't see the driver's folder.
+    """
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         found = tempfile.mkdtemp(prefix="nbrmatch-")
         spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
+    return f"{found.rstrip('/')}/{spark.sparkContext.applicationId}"
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
@@ -34,7 +40,38 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    found = spark.read.schema(df.schema).parquet(path)
+    found._written = path
+    return found
+
+
+def discard(*written: DataFrame) -> None:
+    """Delete what materialise() wrote. For tables that no result reads any more, such as a loop's earlier rounds."""
+    for df in written:
+        if path := df.__dict__.get("_written"):
+            _delete(df.sparkSession, path)
+
+
+def clean(spark: SparkSession) -> None:
+    """Delete all that this application's operators wrote to the shared folder. Their lazy results can't be read after."""
+    _delete(spark, shared_dir(spark))
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def fresh(taken: list[str], *names: str) -> list[str]:
+    """The names, each with as many underscores in front as it takes to be none of `taken` (case aside)."""
+    seen = {c.lower() for c in taken}
+    out = []
+    for n in names:
+        while n.lower() in seen:
+            n = f"_{n}"
+        seen.add(n.lower())
+        out.append(n)
+    return out
 
 
 def held_out(doc_id: str = "doc_id") -> Column:

@@ -1,27 +1,32 @@
 """Document fingerprints by Order MinHash, in DataFrame functions alone.
 
 A text's k-mers are runs of WORDS words (of CHARACTERS characters where a script has no spaces), one from each place on,
-numbered by occurrence, so that repeats count. Each occurrence-numbered k-mer is hashed and falls into one of BINS; a bin
-with one k-mer is merged with the bins beside it, by halves of the hash range, until two are there. Of each bin the TUPLE
-least are selected, put back in text order and hashed as a tuple. Bins take the place of independent hash functions (one
-pass over the k-mers instead of BINS), so short texts have fewer; those that are empty count only where the other text has
-something there. Likeness is the share of equal bins. It falls with the edit distance: a tuple survives only if its k-mers
-and their order do.
+numbered by occurrence, so that repeats count. For each of HASHES orders the two least occurrence-numbered k-mers are
+selected, put back in text order and hashed as a tuple. Likeness is the share of equal tuples. It falls with the edit
+distance: a tuple survives only if its k-mers and their order do.
+
+An order is one of SEEDS seeded hashes, begun at a random value: k-mers go by hash from that value on, around to it. So
+each order has minimisers of its own, whatever the length of the text, and they are found by binary search in a sorted
+array: a k-mer is hashed SEEDS times, not HASHES times.
 """
 
 from __future__ import annotations
 
+import random
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-WORDS, CHARACTERS, TUPLE = 3, 8, 2
-BIN_BITS, PLACE_BITS = 6, 24
-BINS = 1 << BIN_BITS
-#: Rows of a block of neighbouring ids, about.
-BLOCK_ROWS = 512
+from .common import fresh, materialise
+
+WORDS, CHARACTERS = 3, 8
+HASHES, SEEDS = 64, 8
+#: Places take the low bits of a long: as many as an array can have. The hash has the others.
+PLACE_BITS = 31
+#: Rows of a block of neighbouring ids, about, and the most blocks there are.
+BLOCK_ROWS, BLOCKS = 512, 1 << 16
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
@@ -38,108 +43,127 @@ def kmers_of(text: Column) -> Column:
     return let(F.split(plain, " "), lambda w: F.when(long(w), let(F.split(plain, ""), lambda c: kmers(c, CHARACTERS))).otherwise(kmers(w, WORDS)))
 
 
-def fingerprint(text: Column) -> Column:
-    """BINS integers as strings of eight hex digits, null where the bin is empty or merged. A null text counts as empty.
+def _place(x: Column) -> Column:
+    return x.bitwiseAND(F.lit((1 << PLACE_BITS) - 1))
 
-    An empty text is one k-mer, the empty word; so is a text of fewer words than a k-mer.
-    """
-    places = lambda a: F.sequence(F.lit(0), F.size(a) - 1)
-    mark = lambda h, place: F.shiftleft(F.shiftright(h, PLACE_BITS), PLACE_BITS) + place.cast("long")
-    place = lambda x: x.bitwiseAND(F.lit((1 << PLACE_BITS) - 1))
-    bin_of = lambda x: F.shiftright(x, 64 - BIN_BITS)
 
-    def numbered(s: Column) -> Column:
+def _packed(h: Column, place: Column) -> Column:
+    return F.shiftleft(h, PLACE_BITS).bitwiseOR(place.cast("long"))
+
+
+def numbered(h: Column) -> Column:
+    """(hash of the k-mer and its occurrence, place) in one long, for each of the k-mers h. Not in text order where k-mers repeat."""
+
+    def runs(s: Column) -> Column:
         """s: (k-mer, place) in one long, sorted. Runs of a k-mer give its occurrences in text order."""
         same = lambda a, b: F.shiftright(a, PLACE_BITS) == F.shiftright(b, PLACE_BITS)
-        starts = F.filter(places(s), lambda k: (k == 0) | ~same(F.get(s, k), F.get(s, k - 1)))
-        one = lambda at, k: mark(F.xxhash64(F.shiftright(F.get(s, k), PLACE_BITS), k - at), place(F.get(s, k)))
+        starts = F.filter(F.sequence(F.lit(0), F.size(s) - 1), lambda k: (k == 0) | ~same(F.get(s, k), F.get(s, k - 1)))
+        # Never null; said so, as arrays without nulls are sorted as plain longs.
+        one = lambda at, k: F.coalesce(_packed(F.xxhash64(F.shiftright(F.get(s, k), PLACE_BITS), k - at), _place(F.get(s, k))), F.lit(0))
         return let(starts, lambda r: F.flatten(F.transform(r, lambda at, j: F.transform(F.sequence(at, F.coalesce(F.get(r, j + 1), F.size(s)) - 1), lambda k: one(at, k)))))
 
-    def hashed(h: Column) -> Column:
-        repeats = let(F.sort_array(F.transform(h, lambda x, k: F.shiftleft(x, PLACE_BITS) + k.cast("long"))), numbered)
-        single = F.transform(h, lambda x, k: mark(F.xxhash64(x, F.lit(0)), k))
-        return F.when(F.size(F.array_distinct(h)) == F.size(h), single).otherwise(repeats)
+    single = F.transform(h, lambda x, k: _packed(F.xxhash64(x, F.lit(0)), k))
+    repeats = let(F.sort_array(F.transform(h, _packed)), runs)
+    return F.when(F.size(F.array_distinct(h)) == F.size(h), single).otherwise(repeats)
+
 
-    def tuples(q: Column) -> Column:
-        """q: (bin, hash, place) in one long, sorted: the least of each bin stand at its start.
+def _begins() -> list[list[int]]:
+    """For each seed the fixed values at which its orders begin, as signed longs."""
+    rng = random.Random(20)
+    return [[rng.getrandbits(64) - (1 << 63) for _ in range(HASHES // SEEDS)] for _ in range(SEEDS)]
 
-        A bin's first entry starts a merged bin (one that holds the next entry too) if it shares more leading bits with the
-        next entry than with the one before; else it has been merged into a bin that starts before it.
-        """
-        first = F.filter(places(q), lambda k: (k == 0) | (bin_of(F.get(q, k)) != bin_of(F.get(q, k - 1))))
-        apart = lambda i, k: bin_of(F.get(q, i)).bitwiseXOR(bin_of(F.get(q, k))).bitwiseAND(F.lit(BINS - 1))
-        closer = lambda a, b: (a < b) & (a < a.bitwiseXOR(b))  # noqa: E731  (its highest bit is lower)
-        starts = F.filter(first, lambda k: (k == 0) | F.coalesce(closer(apart(k, k + 1), apart(k - 1, k)), F.lit(False)))
-        value = lambda x: F.shiftright(x, PLACE_BITS)
 
-        def component(k: Column) -> Column:
-            a, b = F.get(q, k), F.get(q, k + 1)
-            pair = F.when(place(a) < place(b), F.xxhash64(value(a), value(b))).otherwise(F.xxhash64(value(b), value(a)))
-            pair = F.when(b.isNull(), F.xxhash64(value(a))).otherwise(pair)
-            short = F.lpad(F.lower(F.hex(pair.bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")
-            return F.struct((bin_of(a) + BINS // 2).cast("int").alias("bin"), short.alias("hash"))
+def _tuple(s: Column, steps: Column, begin: Column) -> Column:
+    """The hash, as an int, of the two entries of s (hash, place; sorted) from `begin` on, in text order. A single entry counts twice."""
+    search = F.aggregate(steps, F.lit(0), lambda low, step: F.when(F.get(s, low + step - 1) < begin, low + step).otherwise(low))
+    value = lambda x: F.shiftright(x, PLACE_BITS)
+    hashed = lambda a, b: F.when(_place(a) < _place(b), F.xxhash64(value(a), value(b))).otherwise(F.xxhash64(value(b), value(a)))
+    return let(search, lambda k: F.shiftright(hashed(F.get(s, k % F.size(s)), F.get(s, (k + 1) % F.size(s))), 32).cast("int"))
 
-        return let(F.map_from_entries(F.transform(starts, component)), lambda m: F.transform(F.sequence(F.lit(0), F.lit(BINS - 1)), lambda b: F.try_element_at(m, b)))
 
-    return let(kmers_of(text), lambda h: let(F.sort_array(hashed(h)), tuples))
+def with_fingerprint(df: DataFrame, text: str, out: str) -> DataFrame:
+    """df with the fingerprint of each whole text in column `out`: HASHES integers. Narrow: no shuffle.
+
+    A null text counts as empty. An empty text is one k-mer, the empty word; so is a text of fewer words than a k-mer.
+    The steps are projections of their own, so that each array is made once.
+    """
+    keep = [F.col(f"`{c}`") for c in df.columns if c != out]
+    kmers, steps, *seeds = fresh([*df.columns, out], "kmers", "steps", *(f"seed{s}" for s in range(SEEDS)))
+    first = df.select(*keep, kmers_of(F.col(f"`{text}`")).alias(kmers)).select(*keep, numbered(F.col(kmers)).alias(kmers))
+    rehash = lambda s: F.transform(kmers, lambda m: _packed(F.xxhash64(F.shiftright(m, PLACE_BITS), F.lit(s)), _place(m)))
+    powers = F.transform(F.sequence(F.floor(F.log2(F.size(kmers))).cast("int"), F.lit(0)), lambda b: F.call_function("shiftleft", F.lit(1), b))
+    sorted_ = first.select(*keep, powers.alias(steps), *(F.sort_array(rehash(s)).alias(c) for s, c in enumerate(seeds)))
+    tuples = [_tuples(c, steps, at) for c, at in zip(seeds, _begins(), strict=True)]
+    return sorted_.select(*keep, F.concat(*tuples).alias(out))
+
+
+def _tuples(seed: str, steps: str, begins: list[int]) -> Column:
+    return F.transform(F.array(*map(F.lit, begins)), lambda begin: _tuple(F.col(seed), F.col(steps), begin))
 
 
 def likeness(a: Column, b: Column) -> Column:
-    """Share of the bins filled in either fingerprint that are equal in both (0 to 1)."""
-    return let(
-        F.zip_with(a, b, lambda x, y: F.when(x == y, 1).when(x.isNotNull() | y.isNotNull(), 0)),
-        lambda z: F.size(F.filter(z, lambda x: x == 1)) / F.greatest(F.size(F.filter(z, lambda x: x.isNotNull())), F.lit(1)),
-    )
+    """Share of the tuples that are equal in both fingerprints (0 to 1)."""
+    return F.size(F.filter(F.zip_with(a, b, lambda x, y: x == y), lambda same: same)) / HASHES
 
 
 def as_string(a: Column) -> Column:
-    return F.array_join(a, "", "-" * 8)
+    """A fingerprint as eight hex digits for each tuple."""
+    return F.array_join(F.transform(a, lambda x: F.lpad(F.lower(F.hex(x.cast("long").bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")), "")
 
 
 def fingerprints(docs: DataFrame, text: str = "text", out: str = "fingerprint") -> DataFrame:
-    """docs with the fingerprint of each whole text as a string. Narrow: no shuffle."""
-    return docs.withColumn(out, as_string(fingerprint(F.col(text))))
+    """docs with the fingerprint of each whole text as a string; a column named as `out` is replaced. Narrow: no shuffle."""
+    made = with_fingerprint(docs, text, out)
+    return made.withColumn(out, as_string(F.col(f"`{out}`")))
+
+
+def _ordered(n: Column) -> Column:
+    """A long as 16 hex digits that sort as the numbers do."""
+    return F.lpad(F.hex(n.bitwiseXOR(F.lit(-(1 << 63)))), 16, "0")
 
 
-def _with_next(docs: DataFrame) -> DataFrame:
-    """docs (doc_id, text, fp) with next_text and next_fp: those of the row that follows in descending doc_id.
+def with_next(rows: DataFrame) -> DataFrame:
+    """rows (key, text, fp, ...) with next_text and next_fp: those of the row that follows by key; after the last row comes the first.
 
-    Rows are shuffled once, to blocks of neighbouring ids; only the first row of a block goes to the block before it.
-    Equal ids go by text; rows without id come last; after the last row comes the first.
+    rows must be written ones and their keys distinct. The keys alone are sorted first, and every BLOCK_ROWS-th (BLOCKS
+    at most, further apart in larger tables) begins a block, so blocks are even whatever the keys are. Texts are shuffled
+    once, to their block; a copy of each block's first row goes to the block before it.
     """
-    bounds = docs.agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), F.count("*").alias("n")).first()
-    low, high, n = bounds["low"] or 0, bounds["high"] or 0, bounds["n"]
-    width = max(1, -(-(high - low + 1) * BLOCK_ROWS // max(n, 1)))
-    block = F.coalesce(F.floor((F.col("doc_id") - low) / width), F.lit(-1)).cast("long")
-    # Numbered from the end, so that the block that follows is the next larger; the exchange holds these columns only.
-    dealt = docs.select("doc_id", "text", "fp", (F.lit((high - low) // width) - block).alias("block"))
-    order = Window.partitionBy("block").orderBy(F.desc_nulls_last("doc_id"), "text")
-    placed = dealt.select("*", F.lead("text").over(order).alias("next_text"), F.lead("fp").over(order).alias("next_fp"), F.row_number().over(order).alias("k"), F.lead(F.lit(1)).over(order).isNull().alias("ends"))
-    ids = docs.select((F.lit((high - low) // width) - block).alias("block")).distinct()
-    upper = F.floor(F.col("block") / BLOCK_ROWS)
-    ids = ids.select("block", upper.alias("upper")).withColumn("next", F.lead("block").over(Window.partitionBy("upper").orderBy("block")))
-    # One row for every 2^18 rows of input, to find the block that follows across the upper level, and from the end to the start.
-    tops = ids.groupBy("upper").agg(F.min("block").alias("first")).withColumn("one", F.lit(0))
-    tops = tops.select("upper", F.coalesce(F.lead("first").over(Window.partitionBy("one").orderBy("upper")), F.min("first").over(Window.partitionBy("one"))).alias("after"))
-    following = ids.join(tops, "upper").select("block", F.coalesce("next", "after").alias("following"))
-    heads = placed.where("k = 1").select(F.col("block").alias("following"), F.col("text").alias("head_text"), F.col("fp").alias("head_fp"))
-    ends = placed.where("ends").select("doc_id", "text", "fp", "block").join(following, "block").join(heads, "following")
-    return placed.where("not ends").select("doc_id", "text", "fp", "next_text", "next_fp").union(ends.select("doc_id", "text", "fp", "head_text", "head_fp"))
+    n = rows.count()
+    stride = max(BLOCK_ROWS, -(-n // BLOCKS))
+    line = rows.select("key").repartitionByRange(max(1, n >> 20), "key").sortWithinPartitions("key")
+    at = F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))
+    begins = sorted(r["key"] for r in line.select("key", at.alias("at")).where(F.col("at") % stride == 0).select("key").collect()) or [""]
+    known = F.split(F.lit(",".join(begins)), ",")
+    # Binary search: the last block that begins at or before the key.
+    bits = max(1, (len(begins) - 1).bit_length())
+    steps = F.array(*(F.lit(1 << b) for b in reversed(range(bits))))
+    block = F.aggregate(steps, F.lit(0), lambda low, s: F.when(F.get(known, low + s) <= F.col("key"), low + s).otherwise(low))
+    dealt = rows.withColumn("block", block).withColumn("extra", F.lit(False))
+    heads = dealt.where(F.col("key") == F.get(known, F.col("block")))
+    heads = heads.withColumn("block", F.pmod(F.col("block") - 1, F.lit(len(begins)))).withColumn("extra", F.lit(True))
+    order = Window.partitionBy("block").orderBy("extra", "key")
+    after = dealt.union(heads).select("*", F.lead("text").over(order).alias("next_text"), F.lead("fp").over(order).alias("next_fp"))
+    return after.where("not extra").drop("block", "extra")
 
 
 def edit_check(docs: DataFrame) -> DataFrame:
     """Fingerprints of each row of docs (doc_id, text) and of its edited text, and their likenesses.
 
-    The edited text has its last half (rounded down) replaced by as many first code points of the next row's text.
+    The edited text has its last half (rounded down) replaced by as many first code points of the next row's text. Rows go
+    by descending doc_id, those without one last, those of one id by a hash of the text; equal rows stand together. Null
+    texts count as empty. Texts with their fingerprints are written once; the rest reads that table.
     """
-    own = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    both = _with_next(own.withColumn("fp", fingerprint(F.col("text"))))
+    own = docs.select(F.col("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), F.monotonically_increasing_id().alias("row"))
+    down = F.when(F.col("doc_id").isNull(), "1").otherwise("0")
+    key = F.concat(down, _ordered(F.bitwise_not(F.coalesce(F.col("doc_id").cast("long"), F.lit(0)))), _ordered(F.xxhash64("text")), _ordered(F.col("row")))
+    printed = materialise(with_fingerprint(own.select("doc_id", "text", key.alias("key")), "text", "fp"), "printed")
     n = F.char_length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substr("text", F.lit(1), n - half), F.substr("next_text", F.lit(1), half))
-    cut = both.select("doc_id", n.cast("long").alias("n_chars"), "fp", "next_fp", edited.alias("edited"))
-    printed = cut.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), "fp", "next_fp", fingerprint(F.col("edited")).alias("edited_fp"))
-    return printed.select(
-        "doc_id", "n_chars", "edited_sha256", as_string(F.col("fp")).alias("fingerprint"), as_string(F.col("edited_fp")).alias("edited_fingerprint"),
+    cut = with_next(printed).select("doc_id", n.cast("long").alias("n_chars"), "fp", "next_fp", edited.alias("edited"))
+    both = with_fingerprint(cut, "edited", "edited_fp")
+    return both.select(
+        "doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), as_string(F.col("fp")).alias("fingerprint"), as_string(F.col("edited_fp")).alias("edited_fingerprint"),
         likeness(F.col("fp"), F.col("edited_fp")).cast("double").alias("near_edited"), likeness(F.col("fp"), F.col("next_fp")).cast("double").alias("near_next"),
     )

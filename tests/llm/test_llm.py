@@ -366,12 +366,64 @@ def test_order_minhash_counts_occurrences_and_order(spark):
     base = [f"w{k}" for k in range(60)]
     texts = {"base": base, "swapped": base[30:] + base[:30], "twice": base + base, "one": [*base[:59], "zz"], "other": [f"v{k}" for k in range(60)]}
     df = spark.createDataFrame([(k, " ".join(v)) for k, v in texts.items()], "name string, text string")
-    fp = {r["name"]: r["fp"] for r in df.select("name", ordermin.fingerprint(F.col("text")).alias("fp")).collect()}
-    alike = lambda a, b: np.mean([x == y for x, y in zip(fp[a], fp[b], strict=True) if x or y])
+    fp = {r["name"]: r["fp"] for r in ordermin.with_fingerprint(df, "text", "fp").collect()}
+    alike = lambda a, b: np.mean([x == y for x, y in zip(fp[a], fp[b], strict=True)])
     assert alike("base", "base") == 1 and alike("base", "one") > 0.7 and alike("base", "other") == 0
     assert alike("base", "swapped") < alike("base", "one") and alike("base", "twice") < 0.9
-    filled = sum(x is not None for x in fp["base"])
-    assert 0 < filled <= min(ordermin.BINS, len(plain_kmers(" ".join(base))))
+    assert all(len(f) == ordermin.HASHES for f in fp.values()) and len(set(fp["base"])) > ordermin.HASHES / 2
+
+
+def spark_hash(*parts):
+    """The engine's xxhash64() of longs, ints (as 32 bits) and strings, as a signed long."""
+    import xxhash
+
+    h = 42
+    for p in parts:
+        h = xxhash.xxh64_intdigest(p if isinstance(p, bytes) else p.encode() if isinstance(p, str) else (p & (1 << 64) - 1).to_bytes(8, "little"), h)
+    return h - (1 << 64) if h >> 63 else h
+
+
+def plain_fingerprint(text):
+    """The two least of the occurrence-numbered k-mers in each order, by sorting all of them."""
+    int4 = lambda n: n.to_bytes(4, "little")
+    bits = ordermin.PLACE_BITS
+    entries = []
+    for place, (gram, occurrence) in enumerate(plain_kmers(text)):
+        own = spark_hash(*gram) >> bits
+        numbered = spark_hash(own, int4(occurrence))
+        low = (numbered << bits) & ((1 << 64) - 1)
+        entries.append(((low - (1 << 64) if low >> 63 else low) >> bits, place))
+    out = []
+    for seed, begins in enumerate(ordermin._begins()):
+        packed = []
+        for h, place in entries:
+            x = (spark_hash(h, int4(seed)) << bits) & ((1 << 64) - 1)
+            packed.append((x - (1 << 64) if x >> 63 else x) | place)
+        for begin in begins:
+            line = sorted(packed, key=lambda x: (x - begin) & ((1 << 64) - 1))
+            a, b = line[0], line[1 % len(line)]
+            if a & (1 << bits) - 1 >= b & (1 << bits) - 1:
+                a, b = b, a
+            out.append(spark_hash(a >> bits, b >> bits) >> 32)
+    return out
+
+
+def test_order_minhash_equals_plain_fingerprints(spark):
+    rng = random.Random(4)
+    texts = ["", "one", "one two", "one two three", "a b a b a b a b a b", *(" ".join(rng.choice("alpha beta gamma delta ε".split()) for _ in range(n)) for n in (4, 30, 200)), " ".join(f"w{k}" for k in range(300))]
+    got = ordermin.with_fingerprint(spark.createDataFrame(list(enumerate(texts)), "id int, text string"), "text", "fp").collect()
+    assert {r["id"]: r["fp"] for r in got} == {k: plain_fingerprint(t) for k, t in enumerate(texts)}
+
+
+def test_next_rows_for_any_ids(spark, monkeypatch):
+    monkeypatch.setattr(ordermin, "BLOCK_ROWS", 7)
+    rng = random.Random(8)
+    ids = [10**15, -(10**15), 0, *rng.sample(range(500), 60), *[17] * 20, *[None] * 30]
+    rows = [(i, f"text {rng.randrange(40)} of {k % 9} " + "é" * rng.randrange(9)) for k, i in enumerate(ids)]
+    got = ordermin.edit_check(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    order = sorted(rows, key=lambda r: (r[0] is None, -(r[0] or 0), spark_hash(r[1])))
+    want = sorted(str((i, hashlib.sha256((t[: len(t) - len(t) // 2] + order[(k + 1) % len(order)][1][: len(t) // 2]).encode()).hexdigest())) for k, (i, t) in enumerate(order))
+    assert sorted(str((r["doc_id"], r["edited_sha256"])) for r in got) == want
 
 
 def test_order_minhash_of_short_and_unspaced_texts(spark):
@@ -386,7 +438,8 @@ def test_order_minhash_of_short_and_unspaced_texts(spark):
         text = "".join(chr(0x4E00 + rng.randrange(3000)) for _ in range(n))
         kinds[len(rows)] = "front"
         rows.append((len(rows), text, "前" + text))
-    df = spark.createDataFrame(rows, "id int, a string, b string").select("id", ordermin.likeness(ordermin.fingerprint(F.col("a")), ordermin.fingerprint(F.col("b"))).alias("s"))
+    both = ordermin.with_fingerprint(ordermin.with_fingerprint(spark.createDataFrame(rows, "id int, a string, b string"), "a", "fa"), "b", "fb")
+    df = both.select("id", ordermin.likeness(F.col("fa"), F.col("fb")).alias("s"))
     got = {}
     for r in df.collect():
         got.setdefault(kinds[r["id"]], []).append(r["s"])
