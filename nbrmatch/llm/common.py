@@ -39,7 +39,7 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: lineage is cut and a lost executor costs nothing."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     found = spark.read.schema(df.schema).parquet(path)
     found._written = path
     return found
@@ -74,6 +74,24 @@ def fresh(taken: list[str], *names: str) -> list[str]:
     return out
 
 
+#: Most rows of a table of common keys, which is broadcast: a key is common if it has this share of all rows.
+COMMON = 2048
+
+
+def spread(rows: DataFrame, per_key: DataFrame, on: list[str], total: int) -> DataFrame:
+    """rows joined with per_key (on, n, ...), whose n counts the rows of each key among `total` rows; both written tables.
+
+    Keys with a share of 1 in COMMON or more would each fall to one task; there are COMMON of them at most, so their part
+    of per_key is broadcast and their rows stay where they are. The rest is an ordinary join.
+    """
+    common = F.col("n") * COMMON >= total
+    hot = per_key.where(common)
+    if hot.isEmpty():
+        return rows.join(per_key, on)
+    cold = rows.join(F.broadcast(hot.select(*on)), on, "left_anti").join(per_key.where(~common), on)
+    return cold.unionByName(rows.join(F.broadcast(hot), on))
+
+
 def held_out(doc_id: str = "doc_id") -> Column:
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 5 == HELD_OUT, F.lit(False))
 

@@ -17,17 +17,12 @@ def op1_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.document_shards(documents(spark, sf_dir))
 
 
-def op2_line_dedup(spark: SparkSession, sf_dir: str, every_line: bool = False) -> DataFrame:
-    out = linededup.deduplicate(documents(spark, sf_dir).select("doc_id", "text"), every_line=every_line)
+def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = linededup.deduplicate(documents(spark, sf_dir).select("doc_id", "text"))
     spans = F.array_join(F.transform("removed_spans", lambda s: F.concat_ws("-", s["start"].cast("string"), s["end"].cast("string"))), ",")
     return out.select("doc_id", F.col("n_units").cast("long").alias("n_units"), F.col("n_removed").cast("long").alias("n_removed"), spans.alias("removed"), "text")
 
 
-def op2_line_dedup_every(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lines of any length, where op2_line_dedup leaves those of fewer than five words."""
-    return op2_line_dedup(spark, sf_dir, every_line=True)
-
-
 def op3_byte_bpe(spark: SparkSession, sf_dir: str, path: str | None = None) -> DataFrame:
     import public_tokenizers
 
@@ -63,7 +58,7 @@ def op10_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ordermin.edit_check(documents(spark, sf_dir))
 
 
-#: Lines, and sentences of lines with several, of five words or more that an earlier document or place has.
+#: Lines of any length, and sentences (of lines with several) of five words or 20 characters, that an earlier document or place has.
 LINE_DEDUP_SQL = """
 WITH lines AS (
   SELECT DISTINCT doc_id, k, unnest(range(len(l))) AS i, unnest(l) AS line
@@ -77,7 +72,7 @@ WITH lines AS (
   SELECT doc_id, k, i, j, trim(regexp_replace(lower(unit), '[ \\t\\r\\n\\f\\v]+', ' ', 'g')) AS unit FROM units
 ), ranked AS (
   SELECT *, row_number() OVER (PARTITION BY unit ORDER BY doc_id NULLS FIRST, k, i, j) AS place
-  FROM normed WHERE length(unit) - length(replace(unit, ' ', '')) >= 4
+  FROM normed WHERE unit <> '' AND (j = 0 OR length(unit) >= 20 OR length(unit) - length(replace(unit, ' ', '')) >= 4)
 ), gone AS (
   SELECT doc_id, k, i, j FROM ranked WHERE place > 1
 ), placed AS (
@@ -104,10 +99,6 @@ FROM (SELECT *, md5(coalesce(text, '')) AS k FROM documents) d
 LEFT JOIN removed r ON r.doc_id IS NOT DISTINCT FROM d.doc_id AND r.k = d.k LEFT JOIN rest t ON t.doc_id IS NOT DISTINCT FROM d.doc_id AND t.k = d.k
 """
 
-_ENOUGH = "length(unit) - length(replace(unit, ' ', '')) >= 4"
-#: The same for lines of any length, and sentences of five words or 20 characters.
-EVERY_LINE_SQL = LINE_DEDUP_SQL.replace(_ENOUGH, f"((j = 0 AND unit <> '') OR length(unit) >= 20 OR {_ENOUGH})")
-
 NEAR_DUPLICATES_SQL = """
 WITH RECURSIVE words AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
@@ -150,9 +141,9 @@ FROM placed GROUP BY conv_id, speaker, part
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_sharding, op2_line_dedup, op3_byte_bpe, op4_soft_mixing, op5_tiff, op6_toxicity, op7_minhash, op8_perspectives, op9_line_quality, op10_order_minhash, op2_line_dedup_every)
+    found = (op1_sharding, op2_line_dedup, op3_byte_bpe, op4_soft_mixing, op5_tiff, op6_toxicity, op7_minhash, op8_perspectives, op9_line_quality, op10_order_minhash)
     return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_line_dedup": LINE_DEDUP_SQL, "op2_line_dedup_every": EVERY_LINE_SQL, "op7_minhash": NEAR_DUPLICATES_SQL, "op8_perspectives": PERSPECTIVES_SQL}
+    return {"op2_line_dedup": LINE_DEDUP_SQL, "op7_minhash": NEAR_DUPLICATES_SQL, "op8_perspectives": PERSPECTIVES_SQL}
