@@ -7,7 +7,10 @@
 3. Links are joined to components by alternating large-star and small-star.
 4. A bucket whose members lie in one component needs no more. In the others, members outside the hub's component are
    compared with all members of other components, block against block: signatures first (which only mark the members
-   that can have a link), then full sets. No group is gathered in one task, and no row is made for a pair that has no link.
+   that can have a link), then full sets. A pair that shares several bands is compared in the first of them only. No
+   group is gathered in one task, and no row is made for a pair that has no link.
+
+Buckets and hubs that hold a large share of the rows are not left to one task: see spread() and SHARE.
 
 Bands follow from the least likeness that links, so that a pair at it is missed with a chance of 1e-6 at most: 24 bands
 of 5 minima at 0.85 (8e-7), 35 at 0.8 (9e-7).
@@ -25,13 +28,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, without_gc, worker_cache
+from .common import discard, materialise, spread, without_gc, worker_cache
 
 WORDS, ROWS = 5, 5
 #: Chance that a pair of just the least likeness shares no band, at most.
 MISSED = 1e-6
 #: Members of a block of a bucket that step 4 compares at once.
 BLOCK = 128
+#: A hub's text goes out once for each so many of its pairs.
+SHARE = 4096
 
 
 def bands_for(percent: int) -> int:
@@ -151,15 +156,13 @@ def components(links: DataFrame, name: str = "components", rounds: int = 50) ->
     for _ in range(rounds):
         # Large-star: every larger neighbour of a node points to the least of the node's neighbourhood.
         both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        least = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n")), name)
+        large = materialise(spread(both, least, ["u"], 2 * edges.count()).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), name)
         # Small-star: a node and its smaller neighbours point to the least of them.
-        large = large.distinct()
         small = large.groupBy("u").agg(F.min("v").alias("m"))
-        edges = materialise(
-            large.join(small, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v"))).distinct(),
-            name,
-        )
+        after = large.join(small, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(small.select("u", F.col("m").alias("v"))).distinct()
+        old, edges = edges, materialise(after, name)
+        discard(old, least, large)
         state = tuple(edges.agg(F.count("*"), F.sum(F.col("v").cast("decimal(38,0)")), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if state == before:
             break
@@ -183,7 +186,11 @@ def _verified(pairs: DataFrame, texts: DataFrame, percent: int, words: int) -> D
                 keep.append(alike(shingles(x, words), hub, percent))
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], ["a", "b"]).filter(pa.array(keep))
 
-    both = pairs.join(texts.select(F.col("rep").alias("a"), F.col("text").alias("text_a")), "a").join(texts.select(F.col("rep").alias("b"), F.col("text").alias("text_b")), "b")
+    counts = materialise(pairs.groupBy("b").agg(F.count("*").alias("n")), "pair-counts")
+    parts = F.ceil(F.col("n") / SHARE).cast("int")
+    salted = spread(pairs, counts, ["b"], pairs.count()).select("a", "b", F.pmod(F.xxhash64("a"), parts).cast("int").alias("part"))
+    hubs = counts.select("b", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part")).join(texts.select(F.col("rep").alias("b"), F.col("text").alias("text_b")), "b")
+    both = salted.join(texts.select(F.col("rep").alias("a"), F.col("text").alias("text_a")), "a").join(hubs, ["b", "part"])
     return both.select("a", "b", "text_a", "text_b").mapInArrow(without_gc(run), "a long, b long")  # a node may have several texts
 
 
@@ -201,8 +208,9 @@ def _blocks(members: DataFrame, bucket: list[str], payload: list[str]) -> DataFr
 def _compared(blocks: DataFrame, bucket: list[str], rows: int, least: float, schema: str, emit) -> DataFrame:
     """What emit(group, asking, asked, agree) gives for each pair of blocks; agree: which pairs of places to look at.
 
-    Those are in different components and their signatures agree enough. Many small blocks share one call to Python;
-    which ones goes by a hash, so calls stay near `rows` rows.
+    Those are in different components, their signatures agree enough, and no band before the bucket's own is the same in
+    both (if one is, they are looked at there: members of different components can't both be in the hub's). Many small
+    blocks share one call to Python; which ones goes by a hash, so calls stay near `rows` rows.
     """
     keys = [*bucket, "qb", "tb"]
     n = max(1, -(-blocks.count() // rows))
@@ -212,14 +220,16 @@ def _compared(blocks: DataFrame, bucket: list[str], rows: int, least: float, sch
         group = group.sort_values(keys, kind="stable")
         ids = group[keys].to_numpy()
         edges = np.flatnonzero((ids[1:] != ids[:-1]).any(axis=1)) + 1
-        side, comp = group.q.to_numpy(), group.comp.to_numpy()
+        side, comp, bands = group.q.to_numpy(), group.comp.to_numpy(), group.band.to_numpy()
         signs = np.frombuffer(b"".join(group.signature), np.uint32).reshape(len(group), -1)
         out = []
         for at in np.split(np.arange(len(group)), edges):
             q, t = at[side[at]], at[~side[at]]
             if not len(q) or not len(t):
                 continue
-            agree = (signs[q][:, None, :] == signs[t][None, :, :]).mean(axis=2) >= least
+            same = signs[q][:, None, :] == signs[t][None, :, :]
+            before = same[:, :, : bands[at[0]] * ROWS].reshape(len(q), len(t), -1, ROWS).all(axis=3).any(axis=2)
+            agree = (same.mean(axis=2) >= least) & ~before
             agree &= comp[q][:, None] != comp[t][None, :]
             if agree.any():
                 out += emit(group, q, t, agree)
@@ -285,32 +295,39 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     least = least_agreeing(percent)
     rows = materialise(sketch(docs, bands_for(percent), words), "sketch")
     classes = rows.where("n_shingles > 0 and doc_id is not null").groupBy("set_digest").agg(F.min("doc_id").alias("rep"), F.min(F.struct("signature", "bands")).alias("s"))
-    classes = classes.select("set_digest", "rep", "s.signature", "s.bands")
-    banded = classes.select("rep", F.posexplode("bands").alias("band", "h"))
-    sizes = banded.groupBy("band", "h").agg(F.count("*").alias("n")).where("n > 1")
-    members = materialise(banded.join(sizes, ["band", "h"]), "members")
-    weight = members.groupBy("rep").agg(F.sum("n").alias("w"))
-    hubs = members.join(weight, "rep").groupBy("band", "h").agg(F.max(F.struct(F.col("w"), (-F.col("rep")).alias("r"))).alias("m")).select("band", "h", (-F.col("m.r")).alias("hub"))
-    members = materialise(members.join(hubs, ["band", "h"]).select("band", "h", "rep", "hub"), "hubs")
-    stars = members.where("rep <> hub").select(F.col("rep").alias("a"), F.col("hub").alias("b")).distinct()
+    classes = materialise(classes.select("set_digest", "rep", "s.signature", "s.bands"), "classes")
+    bucket = ["band", "h"]
+    banded = classes.select("rep", F.posexplode("bands").alias(*bucket))
+    sizes = materialise(banded.groupBy(*bucket).agg(F.count("*").alias("n")).where("n > 1"), "sizes")
+    sized = materialise(spread(banded, sizes, bucket, classes.count() * bands_for(percent)).select(*bucket, "rep", "n"), "sized")
+    weight = sized.groupBy("rep").agg(F.sum("n").alias("w"))
+    hubs = sized.join(weight, "rep").groupBy(*bucket).agg(F.max(F.struct(F.col("w"), (-F.col("rep")).alias("r"))).alias("m"), F.count("*").alias("n"))
+    hubs = materialise(hubs.select(*bucket, (-F.col("m.r")).alias("hub"), "n"), "hubs")
+    total = sized.count()
+    members = materialise(spread(sized.drop("n"), hubs, bucket, total).select(*bucket, "rep", "hub", "n"), "members")
+    stars = materialise(members.where("rep <> hub").select(F.col("rep").alias("a"), F.col("hub").alias("b")).distinct(), "stars")
     wanted = members.select("rep").distinct()
     first = classes.select("set_digest", "rep").join(wanted, "rep")
     texts = docs.join(first.select(F.col("rep").alias("doc_id"), "rep").distinct(), "doc_id").select("rep", "text").distinct()
     texts = materialise(texts, "texts")
     links = materialise(_verified(stars, texts, percent, words), "links")
+    discard(sizes, sized, hubs, stars)
     found = components(links)
     # What the stars left open.
-    placed = members.join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").select("band", "h", "rep", "hub", F.coalesce("component", "rep").alias("comp"))
-    hub_at = placed.where("rep = hub").select("band", "h", F.col("comp").alias("hub_comp"))
-    open_ = placed.join(hub_at, ["band", "h"])
-    unsettled = open_.where("comp <> hub_comp").select("band", "h").distinct()
-    ask = materialise(open_.join(unsettled, ["band", "h"]).select("band", "h", "rep", "comp", (F.col("comp") != F.col("hub_comp")).alias("asks")), "open")
+    placed = members.join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").select(*bucket, "rep", "hub", "n", F.coalesce("component", "rep").alias("comp"))
+    placed = materialise(placed, "placed")
+    hub_at = materialise(placed.where("rep = hub").select(*bucket, F.col("comp").alias("hub_comp"), "n"), "hub-components")
+    open_ = materialise(spread(placed.drop("n"), hub_at, bucket, total).select(*bucket, "rep", "comp", "hub_comp", "n"), "open")
+    unsettled = materialise(open_.where("comp <> hub_comp").groupBy(*bucket).agg(F.max("n").alias("n")), "unsettled")
+    ask = materialise(spread(open_.drop("n"), unsettled, bucket, total).select(*bucket, "rep", "comp", (F.col("comp") != F.col("hub_comp")).alias("asks")), "ask")
+    discard(members, placed, hub_at, open_, unsettled)
     more = None
     if not ask.isEmpty():
         signed = materialise(ask.join(classes.select("rep", "signature"), "rep"), "signed")
-        marked = materialise(_marked(signed, ["band", "h"], least), "marked")
-        again = marked.join(signed.select("band", "h", "rep", "comp", "signature"), ["band", "h", "rep"]).join(texts, "rep")
-        more = materialise(_block_links(again, ["band", "h"], percent, words, least), "more-links")
+        marked = materialise(_marked(signed, bucket, least), "marked")
+        again = marked.join(signed.select(*bucket, "rep", "comp", "signature"), [*bucket, "rep"]).join(texts, "rep")
+        more = materialise(_block_links(again, bucket, percent, words, least), "more-links")
+        discard(signed, marked)
     if more is not None and not more.isEmpty():
         found = components(links.union(more))
     # Rows with one doc_id are one node: their classes meet in it.
