@@ -1,12 +1,15 @@
 """Quality by a linear-chain conditional random field over the lines of a document.
 
 Each line is good (1) or bad (0). Unary scores are linear in features of the line and of its neighbours; a transition
-score ties neighbouring labels. Training maximises the likelihood of line labels taken from the document's label.
-Forward-backward gives each line's marginal; a document's score is their mean, weighted by line length.
+score ties neighbouring labels. Only documents are labelled, so the lines' labels are latent: all lines of a good document
+are good, and of a bad one at least one is bad. Which ones is guessed first by a model of single lines, then by the field
+itself, which is fitted again (hard expectation maximisation). Forward-backward gives each line's marginal; a document's
+score is their mean, weighted by line length.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -15,7 +18,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType
+from pyspark.sql.types import ArrayType, DoubleType
 
 from .common import held_out, release, training_rows
 
@@ -23,6 +26,8 @@ from .common import held_out, release, training_rows
 OWN = 14
 #: Documents that score less are rejected.
 CUT = 0.3
+#: Lines of a training document that are looked at: a run of them that begins at a place given by a hash of the text.
+TRAIN_LINES = 200
 MARKS = str.maketrans(dict.fromkeys("#$%&*|{}<>=+^~\\@_[]!"))
 
 
@@ -59,13 +64,21 @@ def line_features(line: str) -> list[float]:
     ]
 
 
-def document_features(text: str | None) -> tuple[np.ndarray, np.ndarray]:
-    """(lines x (3 OWN + 1) features, weights: characters of each line + 1). No text: one empty line."""
-    lines = (text or "").split("\n")
-    own = np.array([line_features(x) for x in lines], dtype=np.float32)
+def own_features(lines: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(lines x OWN features, weights: characters of each line + 1)."""
+    return np.array([line_features(x) for x in lines], dtype=np.float32).reshape(len(lines), OWN), np.array([len(x) + 1 for x in lines], dtype=np.float64)
+
+
+def with_neighbours(own: np.ndarray) -> np.ndarray:
+    """(lines x (3 OWN + 1)): a line's features, those of the line before and of the line after, and a constant."""
     zero = np.zeros((1, OWN), dtype=np.float32)
-    both = np.hstack([own, np.vstack([zero, own[:-1]]), np.vstack([own[1:], zero]), np.ones((len(own), 1), dtype=np.float32)])
-    return both, np.array([len(x) + 1 for x in lines], dtype=np.float64)
+    return np.hstack([own, np.vstack([zero, own[:-1]]), np.vstack([own[1:], zero]), np.ones((len(own), 1), dtype=np.float32)])
+
+
+def document_features(text: str | None) -> tuple[np.ndarray, np.ndarray]:
+    """(features, weights) of the lines of a text. No text: one empty line."""
+    own, weight = own_features((text or "").split("\n"))
+    return with_neighbours(own), weight
 
 
 @dataclass
@@ -109,98 +122,167 @@ class ChainField:
         features, weight = document_features(text)
         return self.mean(features, weight) ** self.power
 
+    def raised(self, marginals: np.ndarray, weight: np.ndarray) -> float:
+        return min(1.0, float(marginals @ weight / weight.sum())) ** self.power
+
     def mean(self, features: np.ndarray, weight: np.ndarray) -> float:
         return min(1.0, float(self.marginals(features) @ weight / weight.sum()))
 
 
-def fit(documents: list[tuple[np.ndarray, int]], rounds: int = 150, rate: float = 0.15, decay: float = 1e-3) -> ChainField:
-    """Gradient ascent (Adam) on the mean log-likelihood of the chains, all chains padded to one length at a time.
+class Chains:
+    """Documents' lines packed for fitting: all chains advance one line at a time, the longest first."""
 
-    documents: (features, label), the label standing for each of the lines. Few documents or one label only: the
-    prior decides (all weights near zero). Longer documents count as several chains of 200 lines at most.
-    """
-    if not documents:
-        return ChainField(np.zeros(3 * OWN + 1), np.zeros((2, 2)))
-    documents = [(x[k : k + 200].astype(np.float64), y) for x, y in documents for k in range(0, len(x), 200)]
-    n, longest, width = len(documents), max(len(x) for x, _ in documents), 3 * OWN + 1
-    size = np.array([len(x) for x, _ in documents])
-    order = np.argsort(-size)
-    documents, size = [documents[k] for k in order], size[order]
-    flat = np.concatenate([x for x, _ in documents])
-    start = np.cumsum(size) - size
-    y = np.array([label for _, label in documents], dtype=np.float64)
-    truth = np.repeat(y, size)
-    weight = np.repeat(1.0 / size, size)  # each document counts alike
-    weight *= n / weight.sum()
-    live = [int((size > k).sum()) for k in range(longest)]  # chains still running at line k
-    theta, pull = np.zeros(width), np.zeros((2, 2))
-    m = [np.zeros(width), np.zeros((2, 2))]
-    v = [np.zeros(width), np.zeros((2, 2))]
-    fore, node = np.zeros((n, longest, 2)), np.zeros((n, longest, 2))
-    for step in range(1, rounds + 1):
-        score = np.clip(flat @ theta, -30, 30)
-        node[:] = 0
+    def __init__(self, features: list[np.ndarray]):
+        self.size = np.array([len(x) for x in features])
+        self.order = np.argsort(-self.size, kind="stable")
+        self.size = self.size[self.order]
+        self.flat = np.concatenate([features[k] for k in self.order]).astype(np.float64)
+        self.start = np.cumsum(self.size) - self.size
+        self.live = [int((self.size > k).sum()) for k in range(int(self.size[0]))]  # chains still running at line k
+        self.weight = np.full(len(features), 1.0 / len(features)) / self.size  # each document counts alike
+
+    def pack(self, labels: list[np.ndarray]) -> np.ndarray:
+        return np.concatenate([labels[k] for k in self.order]).astype(np.int64)
+
+    def gradient(self, theta: np.ndarray, pull: np.ndarray, truth: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+        """(weighted log-likelihood of the line labels, its gradients by theta and by pull)."""
+        n, longest, start, live = len(self.size), len(self.live), self.start, self.live
+        score = np.clip(self.flat @ theta, -30, 30)
+        node, pull_e = np.ones((n, longest, 2)), np.exp(pull)
         for k in range(longest):
-            node[: live[k], k, 1] = score[start[: live[k]] + k]
-        node_e, pull_e = np.exp(node), np.exp(pull)
-        fore[:, 0] = node_e[:, 0] / node_e[:, 0].sum(1, keepdims=True)
-        for k in range(1, longest):
-            x = fore[: live[k], k - 1] @ pull_e * node_e[: live[k], k]
-            fore[: live[k], k] = x / x.sum(1, keepdims=True)
-        back = np.ones((n, 2))
-        grad, pull_grad = np.zeros(width), np.zeros((2, 2))
-        diff = np.empty(len(flat))
+            node[: live[k], k, 1] = np.exp(score[start[: live[k]] + k])
+        fore, value = np.zeros((n, longest, 2)), 0.0
+        for k in range(longest):
+            c = live[k]
+            x = node[:c, 0] if not k else fore[:c, k - 1] @ pull_e * node[:c, k]
+            total = x.sum(1, keepdims=True)
+            fore[:c, k] = x / total
+            at, w = start[:c] + k, self.weight[:c]
+            value += float(w @ (score[at] * truth[at] - np.log(total[:, 0])))
+            if k:
+                value += float(w @ pull[truth[at - 1], truth[at]])
+        back, miss, pull_grad = np.ones((n, 2)), np.empty(len(self.flat)), np.zeros((2, 2))
         for k in range(longest - 1, -1, -1):
             c = live[k]
+            at, w = start[:c] + k, self.weight[:c]
             p = fore[:c, k] * back[:c]
             p /= p.sum(1, keepdims=True)
-            at = start[:c] + k
-            diff[at] = (truth[at] - p[:, 1]) * weight[at]
+            miss[at] = (truth[at] - p[:, 1]) * w
             if k:
-                right = node_e[:c, k] * back[:c]
+                right = node[:c, k] * back[:c]
                 pair = fore[:c, k - 1][:, :, None] * pull_e[None] * right[:, None, :]
                 pair /= pair.sum((1, 2), keepdims=True)
-                w = weight[at]
                 pull_grad -= (pair * w[:, None, None]).sum(0)
-                pull_grad[0, 0] += (w * (1 - y[:c])).sum()
-                pull_grad[1, 1] += (w * y[:c]).sum()
+                np.add.at(pull_grad, (truth[at - 1], truth[at]), w)
                 new = right @ pull_e.T
                 back[:c] = new / new.sum(1, keepdims=True)
-        grad = flat.T @ diff
-        for i, (g, target) in enumerate(((grad / n - decay * theta, theta), (pull_grad / n - 20 * decay * pull, pull))):
+        return value, self.flat.T @ miss, pull_grad
+
+
+def _ascend(chains: Chains, truth: np.ndarray, rounds: int, rate: float, decay: float) -> ChainField:
+    """Gradient ascent (Adam) on the log-likelihood of line labels, less a ridge."""
+    state = [np.zeros(chains.flat.shape[1]), np.zeros((2, 2))]
+    m, v = [np.zeros_like(x) for x in state], [np.zeros_like(x) for x in state]
+    for step in range(1, rounds + 1):
+        _, *grads = chains.gradient(*state, truth)
+        for i, (g, ridge) in enumerate(zip(grads, (decay, 20 * decay), strict=True)):
+            g = g - ridge * state[i]
             m[i] = 0.9 * m[i] + 0.1 * g
             v[i] = 0.99 * v[i] + 0.01 * g * g
-            target += rate * (m[i] / (1 - 0.9**step)) / (np.sqrt(v[i] / (1 - 0.99**step)) + 1e-8)
-    return ChainField(theta, pull)
+            state[i] = state[i] + rate * (m[i] / (1 - 0.9**step)) / (np.sqrt(v[i] / (1 - 0.99**step)) + 1e-8)
+    return ChainField(*state)
+
+
+def _single_lines(documents: list[tuple[np.ndarray, int]], rounds: int = 200) -> list[np.ndarray]:
+    """Chance that each line is good by its own features alone: logistic regression on the documents' labels.
+
+    Documents count alike within a label, and both labels alike, so a kind of line that bad documents have no more often
+    than good ones comes out at a half or more.
+    """
+    x = np.concatenate([f[:, :OWN] for f, _ in documents]).astype(np.float64)
+    x = np.hstack([x, np.ones((len(x), 1))])
+    y = np.concatenate([np.full(len(f), float(label)) for f, label in documents])
+    w = np.concatenate([np.full(len(f), 1.0 / len(f)) for f, _ in documents])
+    for label in (0.0, 1.0):
+        w[y == label] /= max(w[y == label].sum(), 1e-12)
+    theta = np.zeros(x.shape[1])
+    for _ in range(rounds // 10):  # Newton steps
+        p = 1 / (1 + np.exp(-np.clip(x @ theta, -30, 30)))
+        h = (x * (w * p * (1 - p))[:, None]).T @ x + 1e-3 * np.eye(len(theta))
+        theta = theta + np.linalg.solve(h, x.T @ (w * (y - p)) - 1e-3 * theta)
+    p = 1 / (1 + np.exp(-np.clip(x @ theta, -30, 30)))
+    return np.split(p, np.cumsum([len(f) for f, _ in documents])[:-1])
+
+
+def _line_labels(documents: list[tuple[np.ndarray, int]], good: list[np.ndarray]) -> list[np.ndarray]:
+    """All lines of good documents are good; of a bad one those of a chance under a half are bad, or else the least likely."""
+    out = []
+    for (_, label), p in zip(documents, good, strict=True):
+        y = np.ones(len(p), dtype=np.int64) if label else (p >= 0.5).astype(np.int64)
+        if not label and y.all():
+            y[int(np.argmin(p))] = 0
+        out.append(y)
+    return out
+
+
+def fit(documents: list[tuple[np.ndarray, int]], rounds: int = 80, relabel: int = 2, rate: float = 0.15, decay: float = 1e-3) -> ChainField:
+    """documents: (features of the lines, label). None: all weights zero. One label only: lines all have it."""
+    if not documents:
+        return ChainField(np.zeros(3 * OWN + 1), np.zeros((2, 2)))
+    chains = Chains([x for x, _ in documents])
+    if len({y for _, y in documents}) < 2:
+        return _ascend(chains, chains.pack([np.full(len(x), y, dtype=np.int64) for x, y in documents]), rounds, rate, decay)
+    good = _single_lines(documents)
+    for _ in range(relabel):
+        field = _ascend(chains, chains.pack(_line_labels(documents, good)), rounds, rate, decay)
+        good = [field.marginals(x) for x, _ in documents]
+    return field
 
 
 def train(docs: DataFrame, labelled: DataFrame, most: int = 3000) -> ChainField:
-    """Fit on at most `most` labelled rows that are not held out. Only their features come to the driver, in float32."""
+    """Fit on at most `most` labelled rows that are not held out, TRAIN_LINES lines of each: what comes to the driver is bounded."""
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release()
         for batch in batches:
-            data = [document_features(t)[0].tobytes() for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), pa.array(data, pa.binary())], ["doc_id", "label", "features"])
-
-    rows = training_rows(docs, labelled, "quality", most).select("doc_id", "label", "text").mapInArrow(features, "doc_id long, label int, features binary").collect()
-    rows.sort(key=lambda r: (r["doc_id"], bytes(r["features"])))
-    samples = [(np.frombuffer(r["features"], np.float32).reshape(-1, 3 * OWN + 1), r["label"]) for r in rows]
-    return calibrate(fit(samples), samples)
-
-
-def calibrate(field: ChainField, samples: list[tuple[np.ndarray, int]]) -> ChainField:
+            own, weights = [], []
+            for t in batch.column("text").to_pylist():
+                lines = t.split("\n")
+                begin = zlib.crc32(t.encode()) % max(1, len(lines) - TRAIN_LINES + 1)
+                x, w = own_features(lines[begin : begin + TRAIN_LINES])
+                own.append(x.tobytes())
+                weights.append(w.tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column("label"), pa.array(own, pa.binary()), pa.array(weights, pa.binary())], ["label", "own", "weights"])
+
+    rows = training_rows(docs, labelled, "quality", most).select("label", "text").mapInArrow(features, "label int, own binary, weights binary").collect()
+    rows.sort(key=lambda r: (r["label"], bytes(r["own"]), bytes(r["weights"])))
+    samples = [(with_neighbours(np.frombuffer(r["own"], np.float32).reshape(-1, OWN)), int(r["label"] > 0), np.frombuffer(r["weights"], np.float64)) for r in rows]
+    return calibrate(fit([(x, y) for x, y, _ in samples]), samples)
+
+
+def calibrate(field: ChainField, samples: list[tuple[np.ndarray, int, np.ndarray]]) -> ChainField:
     """Set the power. The best cut has the fewest errors, a lost good document counting five times; of equal ones the middle."""
-    if len({y for _, y in samples}) < 2:
+    if len({y for _, y, _ in samples}) < 2:
         return field
-    means = np.array([field.mean(x, x[:, 1] * 400.0 + 1) for x, _ in samples])  # weights: line lengths up to 400
-    good = np.array([y for _, y in samples]) == 1
-    cuts = np.linspace(0.05, 0.95, 181)
+    means = np.array([field.mean(x, w) for x, _, w in samples])
+    good = np.array([y for _, y, _ in samples]) == 1
+    cuts = np.linspace(0.05, 0.995, 190)
     cost = np.array([5 * (means[good] < c).sum() + (means[~good] >= c).sum() for c in cuts])
     best = float(np.median(cuts[cost == cost.min()]))
     return ChainField(field.unary, field.pull, float(np.log(CUT) / np.log(best)))
 
 
+def line_scores(docs: DataFrame, field: ChainField, text: str = "text", out: str = "lines") -> DataFrame:
+    """Add an array with the chance of each line of the text that it is good, in order. Null: one empty line. Narrow: no shuffle."""
+
+    @F.pandas_udf(ArrayType(DoubleType()))
+    def of(texts: pd.Series) -> pd.Series:
+        release()
+        return pd.Series([field.marginals(document_features(t)[0]) for t in texts], dtype=object)
+
+    return docs.withColumn(out, of(F.col(text)))
+
+
 def score(docs: DataFrame, field: ChainField, text: str = "text", out: str = "score") -> DataFrame:
     """Add the score of each whole text. Null and empty texts score as one empty line. Narrow: no shuffle."""
 
@@ -217,5 +299,18 @@ def keeps(column: str = "score", least: float = CUT) -> Column:
 
 
 def document_quality(docs: DataFrame, labelled: DataFrame, most: int = 3000) -> DataFrame:
-    scored = score(docs.select("doc_id", "text"), train(docs, labelled, most))
-    return scored.select("doc_id", held_out().alias("held_out"), "score", keeps().cast("int").alias("predicted"))
+    """(doc_id, held_out, score, predicted, n_lines, n_bad_lines) of each row; a bad line's chance to be good is under a half."""
+    field = train(docs, labelled, most)
+
+    @F.pandas_udf("score double, n_lines int, n_bad_lines int")
+    def of(texts: pd.Series) -> pd.DataFrame:
+        release()
+        rows = []
+        for t in texts:
+            features, weight = document_features(t)
+            p = field.marginals(features)
+            rows.append((field.raised(p, weight), len(p), int((p < 0.5).sum())))
+        return pd.DataFrame(rows, columns=["score", "n_lines", "n_bad_lines"])
+
+    scored = docs.select("doc_id", of(F.col("text")).alias("found"))
+    return scored.select("doc_id", held_out().alias("held_out"), "found.score", keeps("found.score").cast("int").alias("predicted"), "found.n_lines", "found.n_bad_lines")
