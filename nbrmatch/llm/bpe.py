@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import re
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -229,37 +230,61 @@ def coder(ranks: bytes, pattern: str) -> Transducer:
     return worker_cache(key, lambda: Transducer(parse_ranks(ranks), pattern))
 
 
-#: UTF-8 lead bytes: how many bytes follow. Others can't start a character.
-def _follow(b: int) -> int:
-    return 1 if 0xC2 <= b <= 0xDF else 2 if 0xE0 <= b <= 0xEF else 3 if 0xF0 <= b <= 0xF4 else 0
+#: Fixed values of UTF-8. By lead byte: (continuation bytes that follow, least and greatest value of the first of them).
+LEADS = (
+    {b: (1, 0x80, 0xBF) for b in range(0xC2, 0xE0)}
+    | {0xE0: (2, 0xA0, 0xBF)} | {b: (2, 0x80, 0xBF) for b in (*range(0xE1, 0xED), 0xEE, 0xEF)} | {0xED: (2, 0x80, 0x9F)}
+    | {0xF0: (3, 0x90, 0xBF)} | {b: (3, 0x80, 0xBF) for b in range(0xF1, 0xF4)} | {0xF4: (3, 0x80, 0x8F)}
+)
+ASCII = re.compile(rb"[\x00-\x7f]+")
+REPLACEMENT = "\ufffd"
 
 
 class Utf8Stream:
-    """Incremental UTF-8: push() bytes, get the characters that are complete; an open character stays in the state.
+    """Incremental UTF-8 decoding by a state machine: push() bytes, get the characters that they complete.
 
-    The state is the bytes of the open character (three at most). Bytes that can't continue it become U+FFFD.
+    The state is the open character: how many bytes it still lacks, between which values the next one must lie, and the
+    bits so far. A byte that can't go on with it ends it as U+FFFD and is looked at again as a first byte; one that can't
+    be a first byte is U+FFFD itself. Runs of ASCII bytes are taken whole while no character is open.
     """
 
     def __init__(self) -> None:
-        self.open = b""
+        self.lacks, self.low, self.high, self.bits = 0, 0, 0, 0
 
     def push(self, data: bytes) -> str:
-        data = self.open + data
-        cut = len(data)
-        for back in range(1, min(3, cut) + 1):
-            c = data[cut - back]
-            if c >= 0xC0:
-                if _follow(c) >= back:
-                    cut -= back
-                break
-            if c < 0x80:
-                break
-        self.open = data[cut:]
-        return data[:cut].decode("utf-8", "replace")
+        if not self.lacks and data.isascii():
+            return data.decode("ascii")
+        lacks, low, high, bits = self.lacks, self.low, self.high, self.bits
+        out, k, n = [], 0, len(data)
+        while k < n:
+            c = data[k]
+            if lacks:
+                if low <= c <= high:
+                    bits, lacks, low, high = bits << 6 | c & 0x3F, lacks - 1, 0x80, 0xBF
+                    if not lacks:
+                        out.append(chr(bits))
+                    k += 1
+                else:
+                    out.append(REPLACEMENT)
+                    lacks = 0
+            elif c < 0x80:
+                run = ASCII.match(data, k)
+                out.append(run.group().decode("ascii"))
+                k = run.end()
+            else:
+                if c in LEADS:
+                    lacks, low, high = LEADS[c]
+                    bits = c & (0x3F >> lacks)
+                else:
+                    out.append(REPLACEMENT)
+                k += 1
+        self.lacks, self.low, self.high, self.bits = lacks, low, high, bits
+        return "".join(out)
 
     def close(self) -> str:
-        rest, self.open = self.open, b""
-        return rest.decode("utf-8", "replace")
+        """What the end of the stream leaves: U+FFFD for an open character."""
+        rest, self.lacks = REPLACEMENT if self.lacks else "", 0
+        return rest
 
 
 def decode_stream(ids: Iterable[int], text: dict[int, bytes], block: int = 4096) -> Iterator[tuple[bytes, str]]:
