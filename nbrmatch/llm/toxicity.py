@@ -1,9 +1,9 @@
 """Toxicity by a counterfactually regularised linear classifier.
 
-A text's features are which words and word prefixes it has (lower case, outer punctuation off). The loss is the log loss of the labels plus
-a penalty on the squared change of the logit when a labelled sentence's identity term is swapped for another of its
-group, with all features of both (the bare words and their prefixes): terms are pulled together and to no effect, so
-neutral mentions aren't marked.
+A text's features are which words and word prefixes it has (lower case, outer punctuation off). The loss is the log loss of
+the labels plus a penalty on the squared change of the logit when a labelled sentence's identity term is swapped for
+another of its group, or taken out, with all features of both (the bare words and their prefixes): terms are pulled
+together and to no effect, so neutral mentions aren't marked. Terms that no labelled sentence has are swapped on their own.
 """
 
 from __future__ import annotations
@@ -21,7 +21,7 @@ from pyspark.sql.types import DoubleType
 
 from .common import held_out, training_rows
 
-#: Identity terms by group; terms of a group stand for each other in a counterfactual.
+#: Identity terms by group, in the corpus's languages; terms of a group stand for each other in a counterfactual.
 IDENTITY_TERMS = (
     ("women", "men", "girls", "boys"),
     ("woman", "man", "girl", "boy"),
@@ -32,6 +32,27 @@ IDENTITY_TERMS = (
     ("immigrants", "refugees", "foreigners", "natives"),
     ("deaf", "blind", "disabled", "autistic"),
     ("old", "young", "elderly"),
+    ("femmes", "hommes", "filles", "garçons"),
+    ("musulman", "chrétien", "juif", "hindou", "bouddhiste", "athée"),
+    ("musulmans", "chrétiens", "juifs", "hindous", "bouddhistes", "athées"),
+    ("noirs", "blancs", "asiatiques", "arabes"),
+    ("immigrés", "réfugiés", "étrangers"),
+    ("homosexuel", "hétérosexuel", "lesbienne", "transgenre"),
+    ("sourd", "aveugle", "handicapé", "autiste"),
+    ("frauen", "männer", "mädchen", "jungen"),
+    ("muslimisch", "christlich", "jüdisch", "hinduistisch", "buddhistisch", "atheistisch"),
+    ("muslime", "christen", "juden", "buddhisten", "atheisten"),
+    ("schwarze", "weiße", "asiaten", "araber"),
+    ("einwanderer", "flüchtlinge", "ausländer", "einheimische"),
+    ("schwul", "lesbisch", "heterosexuell", "bisexuell"),
+    ("gehörlos", "behindert", "autistisch"),
+    ("mujeres", "hombres", "chicas", "chicos"),
+    ("musulmán", "cristiano", "judío", "budista", "ateo"),
+    ("musulmanes", "cristianos", "judíos", "budistas", "ateos"),
+    ("negros", "blancos", "asiáticos", "árabes"),
+    ("inmigrantes", "refugiados", "extranjeros"),
+    ("gais", "lesbianas", "bisexuales", "transexuales"),
+    ("sordo", "ciego", "discapacitado", "autista"),
 )
 OUTER = ".,;:!?\"'()[]{}<>*#&%$|+=~^_-…«»“”‘’/\\@"
 
@@ -51,17 +72,16 @@ def words_of(text: str | None) -> set[str]:
     return {f for w in set((text or "").lower().split()) for f in features_of(w)}
 
 
-def swapped(words: set[str], term: str, other: str) -> tuple[set[str], set[str]]:
-    """(features that go, features that come) when a text with these features has `other` in the place of `term`.
+def swapped(words: set[str], term: str, other: str | None) -> tuple[set[str], set[str]]:
+    """(features that go, features that come) when a text with these features has `other`, or nothing, in the place of `term`.
 
     A prefix that another word of the text has too stays.
     """
     rest = [w for w in words if w != term and not w.endswith("-")]
     shared = lambda f: f.endswith("-") and any(len(w) >= len(f) and w.startswith(f[:-1]) for w in rest)
     out = {f for f in features_of(term) if f in words and not shared(f)}
-    into = set(features_of(other)) - words
-    both = set(features_of(other)) & out
-    return out - both, into
+    new = set(features_of(other)) if other else set()
+    return out - new, new - words
 
 
 class Active(dict):
@@ -122,52 +142,51 @@ def _select(samples: list[tuple[set[str], int]], most: int) -> list[str]:
     return [w for _, w in sorted(found)[:most]]
 
 
-def fit(samples: list[tuple[set[str], int]], most_words: int = 4000, swap: float = 4.0, rounds: int = 300, rate: float = 0.1, decay: float = 2e-3) -> Linear:
-    """Full-batch Adam on log loss + swap * mean squared change of the logit over counterfactuals + decay.
+def counterfactuals(samples: list[tuple[set[str], int]]) -> list[list[tuple[set[str], set[str]]]]:
+    """What goes and what comes in each counterfactual, in two sets: of the labelled texts, and of the terms on their own."""
+    group = {w: ws for ws in IDENTITY_TERMS for w in ws}
+    labelled = [swapped(words, w, v) for words, _ in samples for w in sorted(words & group.keys()) for v in (*group[w], None) if v != w]
+    alone = [swapped(set(features_of(w)), w, v) for ws in IDENTITY_TERMS for w in ws for v in (*ws, None) if v != w]
+    return [c for c in (labelled, alone) if c]
+
+
+def fit(samples: list[tuple[set[str], int]], most_words: int = 4000, swap: float = 20.0, rounds: int = 300, rate: float = 0.1, decay: float = 2e-3) -> Linear:
+    """Full-batch Adam on log loss + swap * mean squared change of the logit over each set of counterfactuals + decay.
 
     samples: (words, label 0 or 1). One label only, or none: the prior alone scores.
     """
     positive = sum(y for _, y in samples)
     prior = float(np.log((positive + 0.5) / (len(samples) - positive + 0.5)))
-    group = {w: ws for ws in IDENTITY_TERMS for w in ws}
-    terms = sorted(group)
     chosen = _select(samples, most_words)
     if not chosen:
         return Linear({}, prior)
-    chosen = [*chosen, *(t for t in terms if t not in set(chosen))]
-    index = {w: k for k, w in enumerate(chosen)}
-    rows, columns, y = [], [], np.array([y for _, y in samples], dtype=np.float64)
-    changes = []  # (features out, features in): the counterfactuals of the labelled texts
+    index = {w: k for k, w in enumerate(dict.fromkeys([*chosen, *sorted(w for ws in IDENTITY_TERMS for w in ws)]))}
+    at_text, feature, y = [], [], np.array([y for _, y in samples], dtype=np.float64)
     for k, (words, _) in enumerate(samples):
         own = [index[w] for w in words if w in index]
-        rows += [k] * len(own)
-        columns += own
-        for w in sorted(words & group.keys()):
-            changes += [swapped(words, w, v) for v in group[w] if v != w]
-    # A term without a labelled mention is still held to its group: one pair each.
-    changes += [swapped(set(features_of(ws[0])), ws[0], v) for ws in IDENTITY_TERMS for v in ws[1:]]
-    rows, columns = np.array(rows), np.array(columns)
-    # The counterfactuals as a sparse matrix: a row each, -1 where a feature goes and 1 where one comes; then terms swapped for none.
-    entries = [(k, index[f], sign) for k, sides in enumerate(changes) for side, sign in zip(sides, (-1.0, 1.0), strict=True) for f in sorted(side) if f in index]
-    nothing = [(k, index[f]) for k, t in enumerate(terms) for f in features_of(t) if f in index]
-    at, feature, signs = (np.array(c) for c in zip(*entries, strict=True))
-    at_term, of_term = np.array(nothing).T
-    w, bias = np.zeros(len(chosen)), prior
+        at_text += [k] * len(own)
+        feature += own
+    at_text, feature = np.array(at_text, dtype=np.int64), np.array(feature, dtype=np.int64)
+    # Each set of counterfactuals as a sparse matrix: a row each, -1 where a feature goes and 1 where one comes.
+    changes = []
+    for one in counterfactuals(samples):
+        entries = [(k, index[f], sign) for k, sides in enumerate(one) for side, sign in zip(sides, (-1.0, 1.0), strict=True) for f in sorted(side) if f in index]
+        changes.append((len(one), *(np.array(c) for c in zip(*entries, strict=True))))
+    w, bias = np.zeros(len(index)), prior
     m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
     for step in range(1, rounds + 1):
-        z = bias + np.bincount(rows, w[columns], minlength=len(y))
+        z = bias + np.bincount(at_text, w[feature], minlength=len(y))
         miss = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(y)
-        g = np.bincount(columns, miss[rows], minlength=len(w)) + decay * w / 10
-        change = 2 * swap * np.bincount(at, signs * w[feature], minlength=len(changes)) / len(changes)
-        g += np.bincount(feature, signs * change[at], minlength=len(w))
-        effect = 2 * swap * np.bincount(at_term, w[of_term], minlength=len(terms)) / len(terms)
-        g += np.bincount(of_term, effect[at_term], minlength=len(w))
+        g = np.bincount(feature, miss[at_text], minlength=len(w)) + decay * w / 10
+        for n, row, of, sign in changes:
+            change = 2 * swap * np.bincount(row, sign * w[of], minlength=n) / n
+            g += np.bincount(of, sign * change[row], minlength=len(w))
         g = np.append(g, miss.sum())
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         move = rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
         w -= move[:-1]
         bias -= move[-1]
-    return Linear({t: float(x) for t, x in zip(chosen, w, strict=True) if abs(x) > 1e-4}, float(bias))
+    return Linear({t: float(x) for t, x in zip(index, w, strict=True) if abs(x) > 1e-4}, float(bias))
 
 
 def train(docs: DataFrame, labelled: DataFrame, most: int = 6000, **options) -> Linear:
