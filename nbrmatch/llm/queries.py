@@ -29,8 +29,12 @@ def op3_byte_bpe(spark: SparkSession, sf_dir: str, path: str | None = None) -> D
     return bpe.digest(documents(spark, sf_dir), bpe.load_ranks(path or public_tokenizers.path(BPE_FILE)), public_tokenizers.PATTERN)
 
 
+#: Target shares of the domains' tokens in op4_soft_mixing: other languages than the largest are weighted up, that one down.
+MIX_WEIGHTS = {"en": 0.4, "fr": 0.2, "de": 0.2, "es": 0.2}
+
+
 def op4_soft_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.rates(documents(spark, sf_dir), labels(spark, sf_dir))
+    return mixing.rates(documents(spark, sf_dir), labels(spark, sf_dir), weights=MIX_WEIGHTS)
 
 
 def op5_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -121,20 +125,27 @@ SELECT d.doc_id, coalesce(s.n, 0)::BIGINT AS n_shingles, l.component AS componen
 FROM documents d LEFT JOIN sizes s USING (doc_id) JOIN least l ON l.node = d.doc_id
 """
 
+#: Every part of 256 turns, after the conversation's first system turn where the part doesn't hold it. (Turns all have numbers here.)
 PERSPECTIVES_SQL = """
 WITH turns AS (
-  SELECT DISTINCT conv_id, turn, coalesce(role, 'unknown') AS role, text FROM conversations
+  SELECT DISTINCT conv_id, turn, coalesce(role, 'unknown') AS role, text, floor(turn / 256)::BIGINT AS part FROM conversations
+), lead AS (
+  SELECT * FROM turns WHERE role = 'system' AND turn IS NOT NULL QUALIFY row_number() OVER (PARTITION BY conv_id ORDER BY turn, text NULLS FIRST) = 1
+), full_ AS (
+  SELECT conv_id, turn, role, text, part, 1 AS own FROM turns
+  UNION ALL SELECT l.conv_id, l.turn, l.role, l.text, p.part, 0 FROM lead l JOIN (SELECT DISTINCT conv_id, part FROM turns) p ON p.conv_id IS NOT DISTINCT FROM l.conv_id AND p.part <> l.part
 ), cast_ AS (
   SELECT DISTINCT conv_id, role AS speaker FROM turns WHERE role <> 'system'
 ), seg AS (
-  SELECT t.conv_id, c.speaker, coalesce(floor(t.turn / 256)::BIGINT, -1) AS part, t.turn, t.role, t.text,
-    '<|im_start|>' || CASE WHEN t.role = c.speaker THEN 'assistant' WHEN t.role = 'system' THEN 'system' ELSE 'user name=' || t.role END || chr(10) AS head,
+  SELECT t.conv_id, c.speaker, t.part, t.turn, t.role, t.text, t.own,
+    '<|im_start|>' || CASE WHEN t.role = c.speaker THEN 'assistant' WHEN t.role = 'system' THEN 'system'
+      ELSE 'user name=' || translate(replace(t.role, '<|im_', '<| im_'), chr(10) || chr(13), '  ') END || chr(10) AS head,
     replace(coalesce(t.text, ''), '<|im_', '<| im_') || '<|im_end|>' || chr(10) AS body
-  FROM turns t JOIN cast_ c ON c.conv_id IS NOT DISTINCT FROM t.conv_id
+  FROM full_ t JOIN cast_ c ON c.conv_id IS NOT DISTINCT FROM t.conv_id
 ), placed AS (
-  SELECT *, coalesce(sum(length(head) + length(body)) OVER (PARTITION BY conv_id, speaker, part ORDER BY turn NULLS FIRST, role, text NULLS FIRST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + length(head) AS s FROM seg
+  SELECT *, coalesce(sum(length(head) + length(body)) OVER (PARTITION BY conv_id, speaker, part ORDER BY own, turn, role, text NULLS FIRST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + length(head) AS s FROM seg
 )
-SELECT conv_id, speaker, part::BIGINT AS part, count(*)::BIGINT AS n_turns, string_agg(head || body, '' ORDER BY turn NULLS FIRST, role, text NULLS FIRST) AS rendered,
+SELECT conv_id, speaker, part::BIGINT AS part, sum(own)::BIGINT AS n_turns, string_agg(head || body, '' ORDER BY own, turn, role, text NULLS FIRST) AS rendered,
   coalesce(string_agg(s::BIGINT || '-' || (s + length(body))::BIGINT, ',' ORDER BY s) FILTER (role = speaker), '') AS mask
 FROM placed GROUP BY conv_id, speaker, part
 """
