@@ -208,18 +208,33 @@ def _fold(acc: Column, n: Column) -> Column:
 
 
 def ncode_decimal(counts: list[Column], most: int = 64) -> Column:
-    """The code as DECIMAL(38, 0), by Pascal sums alone: dividing decimals would wrap or round.
+    """The code as DECIMAL(38, 0); null where it, or a product on the way, has over 32 digits.
 
-    C(s + j - 1, j) is read from a table of literals of the sums 0 to `most`; larger sums give null.
+    C(s + j - 1, j) is read from a table of literals for the sums 0 to `most`. Larger sums are multiplied and divided in
+    turn; these divisions leave no rest, so a quotient is exact while its digits and the six decimals it gets fit.
     """
     code = None
     for j, s in enumerate(_prefix(counts), 1):
         known = F.array(*(F.lit(str(step(j, v)) if step(j, v) <= DECIMAL else None).cast("decimal(38,0)") for v in range(most + 1)))
-        term = F.get(known, F.when(s <= most, s.cast("int")))
-        code = term if code is None else (code + term).cast("decimal(38,0)")
+        value = s.cast("decimal(38,0)")
+        for t in range(2, j + 1):
+            value = F.try_divide(F.try_multiply(value, (s + (t - 1)).cast("decimal(20,0)")), F.lit(t).cast("decimal(10,0)")).cast("decimal(38,0)")
+        term = F.when(s <= most, F.get(known, F.least(s, F.lit(most)).cast("int"))).otherwise(value)
+        code = term if code is None else F.try_add(code, term).cast("decimal(38,0)")
     return code
 
 
+def edge_dims(x: list[Column], e: list[Column], how: str = "separate") -> Column:
+    """The vector of vertex-label counts x and edge-label counts e as one array: in dimensions of their own, or shared (added rank by rank)."""
+    if how == "separate":
+        return F.array(*x, *e)
+    if how != "shared":
+        raise ValueError(how)
+    zero = F.lit(0).cast("long")
+    both = max(len(x), len(e))
+    return F.array(*(a + b for a, b in zip([*x, *[zero] * (both - len(x))], [*e, *[zero] * (both - len(e))], strict=True)))
+
+
 def ncode_log(counts: list[Column], slack: float = 0.0) -> Column:
     """ln(1 + code) as a double, by log-gamma-free sums of logs; finite for code 0."""
     terms = []
@@ -248,14 +263,33 @@ def bump_column(code: Column, counts: list[Column], rank: int) -> Column:
     return code
 
 
+def drop_column(code: Column, counts: list[Column], rank: int) -> Column:
+    """ncode after one neighbour of this rank is gone, from the code so far; its count must be 1 at least."""
+    sums = _prefix(counts)
+    for j in range(rank, len(counts) + 1):
+        code = code - (step_column(j - 1, sums[j - 1]) if j > 1 else F.lit(1).cast("long"))
+    return code
+
+
 @F.pandas_udf(StringType())
 def ncode_text(x: pd.Series) -> pd.Series:
     """Codes of any size in decimal digits. Null for null."""
     return pd.Series([None if v is None else str(ncode([int(n) for n in v])) for v in x], dtype=object)
 
 
-@F.pandas_udf(BinaryType())
-def ncode_bytes(x: pd.Series) -> pd.Series:
-    """Codes of any size as 64 bytes, high byte first: Spark compares them as unsigned, so as the numbers. Null for null or larger."""
-    found = [None if v is None else ncode([int(n) for n in v]) for v in x]
-    return pd.Series([None if c is None or c >= 1 << 512 else c.to_bytes(64, "big") for c in found])
+def bytes_width(degree: int, k: int) -> int:
+    """Bytes that hold the code of every vector of length k with a sum of up to `degree`."""
+    return (math.comb(degree + k, k).bit_length() + 7) // 8
+
+
+def ncode_bytes(x: Column, width: int = 64) -> Column:
+    """Codes of any size as `width` bytes (bytes_width() tells how many), high byte first: Spark compares them as unsigned, so as the numbers.
+
+    Null for null; a code that doesn't fit is an error.
+    """
+
+    @F.pandas_udf(BinaryType())
+    def of(x: pd.Series) -> pd.Series:
+        return pd.Series([None if v is None else ncode([int(n) for n in v]).to_bytes(width, "big") for v in x])
+
+    return of(x)

@@ -16,31 +16,34 @@ from .pattern import Pattern
 
 
 def one_shot(g: LabeledGraph, q: Pattern, test: filters.Test, need_mnd: bool = False) -> tuple[filters.Start, DataFrame]:
-    """(label-pruned graph, candidates) by one filter, applied once."""
+    """(label-pruned graph, candidates) by one filter, applied once. Adjacency and candidates are written, as each pattern edge reads them."""
     s = filters.start(g, q)
+    s = filters.Start(s.vertices, cut(s.adj, "adj"), s.ranks, s.directed, s.simple)
     features = filters.one_hop(s)
-    return s, filters.candidates(filters.with_mnd(features, s) if need_mnd else features, q, test)
+    if need_mnd:
+        features = filters.with_mnd(cut(features, "features"), s)
+    return s, cut(filters.candidates(features, q, test), "cand")
 
 
 def brute(g: LabeledGraph, q: Pattern) -> DataFrame:
     """Labels and edges alone."""
     s, cand = one_shot(g, q, filters.label)
-    return search.joins(s.adj, cand, q, search.order(q, how="bfs"))
+    return search.joins(s.adj, cand, q, search.order(q, how="bfs"), simple=s.simple)
 
 
 def degree_only(g: LabeledGraph, q: Pattern) -> DataFrame:
     s, cand = one_shot(g, q, filters.degree)
-    return search.joins(s.adj, cand, q)
+    return search.joins(s.adj, cand, q, simple=s.simple)
 
 
 def nlf(g: LabeledGraph, q: Pattern) -> DataFrame:
     s, cand = one_shot(g, q, filters.nlf)
-    return search.joins(s.adj, cand, q)
+    return search.joins(s.adj, cand, q, simple=s.simple)
 
 
 def mnd_nlf(g: LabeledGraph, q: Pattern) -> DataFrame:
     s, cand = one_shot(g, q, filters.mnd_nlf, need_mnd=True)
-    return search.joins(s.adj, cand, q)
+    return search.joins(s.adj, cand, q, simple=s.simple)
 
 
 def refine(g: LabeledGraph, q: Pattern, levels: int | None = None) -> DataFrame:
@@ -49,7 +52,7 @@ def refine(g: LabeledGraph, q: Pattern, levels: int | None = None) -> DataFrame:
     Rounds until nothing changes, or `levels` of them.
     """
     s, cand = one_shot(g, q, filters.degree)
-    cand, before, n = cut(cand, "refine"), -1, 0
+    before, n = -1, 0
     while levels is None or n < levels:
         size = cand.count()
         if size == before:
@@ -59,7 +62,7 @@ def refine(g: LabeledGraph, q: Pattern, levels: int | None = None) -> DataFrame:
         for u in sorted(q.vertices):
             own = cand.where(F.col("u") == u)
             for w in sorted(set(q.neighbours(u))):
-                own = own.join(search.edge_table(s.adj, cand, q, w, u).select(F.col(f"m_{u}").alias("vid")), "vid", "left_semi")
+                own = own.join(search.edge_table(s.adj, cand, q, w, u, s.simple).select(F.col(f"m_{u}").alias("vid")), "vid", "left_semi")
             own = own.select("u", "vid")
             kept = own if kept is None else kept.union(own)
         cand = cut(kept, "refine")
@@ -67,7 +70,7 @@ def refine(g: LabeledGraph, q: Pattern, levels: int | None = None) -> DataFrame:
 
 
 def refined(g: LabeledGraph, q: Pattern) -> DataFrame:
-    return search.joins(filters.start(g, q).adj, refine(g, q), q)
+    return search.joins(cut(filters.start(g, q).adj, "adj"), refine(g, q), q, simple=g.simple)
 
 
 @dataclass
@@ -78,6 +81,7 @@ class TreeIndex:
     cand: DataFrame
     order: list[str]
     adj: DataFrame
+    simple: bool = False
 
     def rows(self) -> DataFrame:
         """(parent, child, n): what the index stores."""
@@ -93,7 +97,7 @@ def tree_index(g: LabeledGraph, q: Pattern) -> TreeIndex:
     if not q.connected or len(q.vertices) < 2:
         raise ValueError("the tree index takes connected patterns with an edge")
     s, cand = one_shot(g, q, filters.mnd_nlf, need_mnd=True)
-    adj, cand = cut(s.adj, "adj"), cut(cand, "cand")
+    adj = s.adj
     core = q.core()
     root = min(core, key=lambda u: (-q.pdeg(u), u))
     parent: dict[str, str] = {}
@@ -107,7 +111,7 @@ def tree_index(g: LabeledGraph, q: Pattern) -> TreeIndex:
     tables: dict[tuple[str, str], DataFrame] = {}
     for u in line[1:]:  # top-down: a child needs a parent that is left
         w = parent[u]
-        found = search.edge_table(adj, cand, q, w, u).join(of[w].select(F.col("vid").alias(f"m_{w}")), f"m_{w}", "left_semi")
+        found = search.edge_table(adj, cand, q, w, u, s.simple).join(of[w].select(F.col("vid").alias(f"m_{w}")), f"m_{w}", "left_semi")
         tables[w, u] = cut(found, "index")
         of[u] = tables[w, u].select(F.col(f"m_{u}").alias("vid")).distinct()
     for u in reversed(line[1:]):  # bottom-up: a parent needs a child that is left
@@ -128,7 +132,7 @@ def tree_index(g: LabeledGraph, q: Pattern) -> TreeIndex:
     order: list[str] = []
     while len(order) < len(line):
         order.append(min((u for u in line if u not in order and (u == root or parent[u] in order)), key=rank.get))
-    return TreeIndex(tables, cut(left, "index-cand"), order, adj)
+    return TreeIndex(tables, cut(left, "index-cand"), order, adj, s.simple)
 
 
 def tree_index_match(index: TreeIndex, q: Pattern) -> DataFrame:
@@ -141,7 +145,7 @@ def tree_index_match(index: TreeIndex, q: Pattern) -> DataFrame:
         else:
             rows = rows.join(index.tables[tree], f"m_{tree[0]}")
             for w in sorted({w for w in q.neighbours(u) if w in placed and w != tree[0]}):
-                rows = rows.join(search.edge_table(index.adj, index.cand, q, w, u), [f"m_{w}", f"m_{u}"], "left_semi")
+                rows = rows.join(search.edge_table(index.adj, index.cand, q, w, u, index.simple), [f"m_{w}", f"m_{u}"], "left_semi")
         for w in placed:
             if q.vertices[w] == q.vertices[u]:
                 rows = rows.where(F.col(f"m_{w}") != F.col(f"m_{u}"))

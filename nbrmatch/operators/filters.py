@@ -26,12 +26,13 @@ def rank_column(label: Column, ranks: dict[str, int]) -> Column:
 
 @dataclass
 class Start:
-    """The label-pruned graph: vertices (vid, vlabel, rank); adj (src, dst, elabel, dir, rank of dst)."""
+    """The label-pruned graph: vertices (vid, vlabel, rank); adj (src, dst, elabel, dir, rank of dst). simple: as LabeledGraph."""
 
     vertices: DataFrame
     adj: DataFrame
     ranks: dict[str, int]
     directed: bool
+    simple: bool = False
 
 
 def start(g: LabeledGraph, q: Pattern, triples: bool = True, ranks: dict[str, int] | None = None) -> Start:
@@ -51,31 +52,42 @@ def start(g: LabeledGraph, q: Pattern, triples: bool = True, ranks: dict[str, in
                 same = (same & (F.col("dir") == "O")) | ((F.col("src_rank") == ranks[b]) & (F.col("dst_rank") == ranks[a]) & (F.col("dir") == "I"))
             some = some | (same if e is None else same & (F.col("elabel") == e))
         adj = adj.where(some)
-    return Start(vertices, adj.select("src", "dst", "elabel", "dir", F.col("dst_rank").alias("rank")), ranks, q.directed)
+    return Start(vertices, adj.select("src", "dst", "elabel", "dir", F.col("dst_rank").alias("rank")), ranks, q.directed, g.simple)
 
 
 def count_columns(k: int, kind: str = "x") -> list[str]:
     return [f"{kind}{j}" for j in range(1, k + 1)]
 
 
+def count_tests(s: Start, elabels: list[str] | None = None, rank: str = "rank") -> dict[str, Column]:
+    """The counts of a vertex's edges: name to what an edge must be. x: by the neighbour's rank; e, i, o: by edge label."""
+    tests = {c: F.col(rank) == j for j, c in enumerate(count_columns(len(s.ranks)), 1)}
+    for j, e in enumerate(elabels or [], 1):
+        same = F.col("elabel") == e
+        tests[f"e{j}"] = same
+        if s.directed:
+            tests |= {f"{d}{j}": same & (F.col("dir") == d.upper()) for d in ("i", "o")}
+    return tests
+
+
 def one_hop(s: Start, elabels: list[str] | None = None) -> DataFrame:
     """(vid, vlabel, rank, x1..xk, pdeg [, e1..el, i1..il, o1..ol]) of all vertices of s, from one aggregation by src.
 
     pdeg counts incident edges; in simple undirected graphs that's the neighbours. With edge labels also counts of edges
     by label: all (e), and for directed graphs ingoing (i) and outgoing (o).
     """
-    k = len(s.ranks)
-    sums = [F.count(F.when(F.col("rank") == j, 1)).alias(c) for j, c in enumerate(count_columns(k), 1)]
-    for j, e in enumerate(elabels or [], 1):
-        same = F.col("elabel") == e
-        sums.append(F.count(F.when(same, 1)).alias(f"e{j}"))
-        if s.directed:
-            sums += [F.count(F.when(same & (F.col("dir") == d.upper()), 1)).alias(f"{d}{j}") for d in ("i", "o")]
+    sums = [F.count(F.when(t, 1)).alias(c) for c, t in count_tests(s, elabels).items()]
     counted = s.adj.groupBy(F.col("src").alias("vid")).agg(*sums, F.count("*").alias("pdeg"))
     made = [c for c in counted.columns if c != "vid"]
     return s.vertices.join(counted, "vid", "left").select("vid", "vlabel", "rank", *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in made))
 
 
+def unrestricted_degree(g: LabeledGraph, features: DataFrame) -> DataFrame:
+    """Add deg: all edges of a vertex, whatever the labels at their other ends (for full_degree)."""
+    every = g.adjacency().groupBy(F.col("src").alias("vid")).agg(F.count("*").alias("deg"))
+    return features.join(every, "vid", "left").withColumn("deg", F.coalesce("deg", F.lit(0)).cast("long"))
+
+
 def with_mnd(features: DataFrame, s: Start) -> DataFrame:
     """Add mnd: the largest pdeg among the neighbours (0 without)."""
     near = s.adj.select("src", "dst").join(features.select(F.col("vid").alias("dst"), "pdeg"), "dst").groupBy(F.col("src").alias("vid")).agg(F.max("pdeg").alias("mnd"))
@@ -122,6 +134,11 @@ def degree(q: Pattern, u: str) -> Column:
     return label(q, u) & (F.col("pdeg") >= q.pdeg(u))
 
 
+def full_degree(q: Pattern, u: str) -> Column:
+    """The degree without regard to labels: what counting only pattern labels adds is the difference to degree()."""
+    return label(q, u) & (F.col("deg") >= q.pdeg(u))
+
+
 def mnd(q: Pattern, u: str) -> Column:
     return degree(q, u) & (F.col("mnd") >= q.mnd(u))
 
@@ -151,13 +168,27 @@ def code_strict(q: Pattern, u: str) -> Column:
     return label(q, u) & ((F.col("pdeg") > q.pdeg(u)) | ((F.col("pdeg") == q.pdeg(u)) & (own == q.code(u))))
 
 
-def code_packets(width: int) -> Test:
-    """Each packet of `width` labels passes the strict test: width 1 is nlf, the full width code_strict."""
+def code_log(slack: float = 1e-9) -> Test:
+    """code_lemma by logarithms of codes, compared loosely: rounding must lose no candidate, so smaller by `slack` (relative) still passes."""
+
+    def test(q: Pattern, u: str) -> Column:
+        want = codes.log_code(q.vector(u))
+        return degree(q, u) & ((F.col("pdeg") > q.pdeg(u)) | (codes.ncode_log(_x(q)) >= want - slack * max(1.0, want)))
+
+    return test
+
+
+def code_packets(width: int | None = None) -> Test:
+    """Each packet of `width` labels passes the strict test: width 1 is nlf, the full width code_strict.
+
+    None: the widest packets whose codes fit 64 bits at the pattern's largest degree, over which codes aren't looked at.
+    """
 
     def test(q: Pattern, u: str) -> Column:
         x, y, out = _x(q), q.vector(u), label(q, u)
-        for k in range(0, len(x), width):
-            part, want = x[k : k + width], y[k : k + width]
+        step = width or max(1, min(len(x), codes.max_width(q.max_degree)))
+        for k in range(0, len(x), step):
+            part, want = x[k : k + step], y[k : k + step]
             total, need = sum(part[1:], part[0]), sum(want)
             own = codes.ncode_column(part, q.max_degree)
             out = out & ((total > need) | ((total == need) & (own == codes.ncode(want))))
@@ -206,6 +237,16 @@ def shell(hops: int, degree_only: bool = False) -> Test:
     return test
 
 
+def shell_packed(hops: int) -> Test:
+    """Codes at exactly 1 to `hops` hops, packed to one code and compared as one: at least the pattern's. Opt in, as shell()."""
+
+    def test(q: Pattern, u: str) -> Column:
+        parts = [codes.ncode_column(_hop_columns(q, h, False)) for h in range(1, hops + 1)]
+        return label(q, u) & (codes.ncode_column(parts) >= codes.ncode([codes.ncode(q.ball(u, h, exactly=True)) for h in range(1, hops + 1)]))
+
+    return test
+
+
 def edge_vectors(q: Pattern, u: str, elabels: list[str]) -> tuple[list[int], list[int], list[int]]:
     """(all, ingoing, outgoing) counts of u's edges by label."""
     every, into, out = ([0] * len(elabels) for _ in range(3))
@@ -244,6 +285,18 @@ def edge_aware(elabels: list[str], directed: bool = False, packed: bool = False)
     return test
 
 
+def edge_labels(q: Pattern) -> list[str] | None:
+    """The edge labels that edge-aware codes of q count; None where an edge of q may have any label, as counts would mislead."""
+    names = {e for _, _, e in q.edges}
+    return None if None in names or not names else sorted(names)
+
+
+def code_for(q: Pattern) -> tuple[Test, list[str] | None]:
+    """(the code test that fits q, the edge labels it counts): edge-aware, in each direction where q is directed, or plain."""
+    names = edge_labels(q)
+    return (code_strict, None) if names is None else (edge_aware(names, q.directed), names)
+
+
 def candidates(features: DataFrame, q: Pattern, test: Test, extra: list[str] | None = None) -> DataFrame:
     """(u, vid): every pair that passes. One pass over the features, without a join."""
     passed = F.filter(F.array(*(F.when(test(q, u), F.lit(u)) for u in sorted(q.vertices))), lambda u: u.isNotNull())
@@ -259,4 +312,4 @@ def any_match(q: Pattern, test: Test) -> Column:
 
 def restricted(s: Start, keep: DataFrame) -> Start:
     """s on the vertices of keep (vid)."""
-    return Start(s.vertices.join(keep.select("vid"), "vid", "left_semi"), both_ends(s.adj, keep), s.ranks, s.directed)
+    return Start(s.vertices.join(keep.select("vid"), "vid", "left_semi"), both_ends(s.adj, keep), s.ranks, s.directed, s.simple)

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.codes import labeled_code, ncode, ncode_column
+from ..session import cut
 from . import search
 from .pattern import Pattern
 
@@ -45,6 +46,13 @@ def graph_codes(coded: DataFrame) -> DataFrame:
     return coded.select("graph_id", "own").groupBy("graph_id").applyInPandas(one, "graph_id long, n_vertices long, digits long, digest string")
 
 
+def collisions(coded: DataFrame) -> DataFrame:
+    """(digests, shared, signatures): digests of graphs, how many have graphs that differ in their sorted vertex codes, and those in all."""
+    listed = coded.groupBy("graph_id").agg(F.sort_array(F.collect_list("own")).alias("codes"))  # graphs of a database are small
+    per = graph_codes(coded).join(listed, "graph_id").groupBy("digest").agg(F.countDistinct("codes").alias("n"))
+    return per.agg(F.count("*").alias("digests"), F.sum((F.col("n") > 1).cast("long")).alias("shared"), F.sum("n").alias("signatures"))
+
+
 def equal_groups(coded: DataFrame) -> DataFrame:
     """(digest, n): how many graphs share a code."""
     return graph_codes(coded).groupBy("digest").agg(F.count("*").alias("n"))
@@ -54,32 +62,35 @@ def lookup(coded: DataFrame, digest: str) -> DataFrame:
     return graph_codes(coded).where(F.col("digest") == digest).select("graph_id")
 
 
-def top_codes(coded: DataFrame) -> DataFrame:
-    """(graph_id, rank, codes): the codes of each label's vertices, largest first."""
-    return coded.groupBy("graph_id", "rank").agg(F.sort_array(F.collect_list("code"), asc=False).alias("codes"))
-
-
 def may_contain(coded: DataFrame, q: Pattern, labels: list[str]) -> DataFrame:
     """(graph_id): graphs that can contain q: for each label, the k-th largest code is at least the pattern's k-th largest.
 
-    Sound, as an image's code is at least its pattern vertex's, and images are distinct.
+    Sound, as an image's code is at least its pattern vertex's, and images are distinct. The k-th largest code is at least
+    c where k codes are, so one aggregation of counts by graph decides, and no graph's codes are listed.
     """
     ranks = {n: k for k, n in enumerate(sorted(labels), 1)}
-    tops, kept = top_codes(coded), coded.select("graph_id").distinct()
+    enough, sums = F.lit(True), []
     for n in q.labels:
         want = sorted((ncode(q.vector(u, ranks)) for u in q.vertices if q.vertices[u] == n), reverse=True)
-        enough = tops.where((F.col("rank") == ranks.get(n, -1)) & (F.size("codes") >= len(want)))
-        for k, c in enumerate(want):
-            enough = enough.where(F.get("codes", F.lit(k)) >= c)
-        kept = kept.join(enough.select("graph_id"), "graph_id", "left_semi")
-    return kept
-
-
-def containment(vertices: DataFrame, edges: DataFrame, q: Pattern, labels: list[str]) -> DataFrame:
-    """(graph_id, n): graphs that contain q and how many embeddings; the key filters, the search then confirms."""
-    kept = may_contain(vertex_codes(vertices, edges, labels), q, labels)
-    v, e = vertices.join(kept, "graph_id", "left_semi"), edges.join(kept, "graph_id", "left_semi")
-    adj = e.select("graph_id", "src", "dst", "elabel").union(e.select("graph_id", "dst", "src", "elabel")).distinct()
+        for k, c in enumerate(want, 1):
+            name = f"n{len(sums)}"
+            sums.append(F.count(F.when((F.col("rank") == ranks.get(n, -1)) & (F.col("code") >= c), 1)).alias(name))
+            enough = enough & (F.col(name) >= k)
+    return coded.groupBy("graph_id").agg(*sums).where(enough).select("graph_id")
+
+
+def containment(vertices: DataFrame, edges: DataFrame, q: Pattern) -> DataFrame:
+    """(graph_id, n): graphs that contain q and how many embeddings; the key filters, the search then confirms.
+
+    Vertices and edges without the pattern's labels are left out first; what remains, and what the key leaves of it, is
+    written once.
+    """
+    v = cut(vertices.where(F.col("vlabel").isin(q.labels)).select("graph_id", "vid", "vlabel"), "graph-v")
+    side = lambda c: v.select("graph_id", F.col("vid").alias(c))
+    e = cut(edges.join(side("src"), ["graph_id", "src"], "left_semi").join(side("dst"), ["graph_id", "dst"], "left_semi").select("graph_id", "src", "dst", "elabel"), "graph-e")
+    kept = cut(may_contain(vertex_codes(v, e, q.labels), q, q.labels), "graph-ids")
+    v, e = v.join(kept, "graph_id", "left_semi"), e.join(kept, "graph_id", "left_semi")
+    adj = cut(e.union(e.select("graph_id", "dst", "src", "elabel")).distinct(), "graph-adj")
     sequence, rows, placed = search.order(q, how="bfs"), None, []
     for u in sequence:
         own = v.where(F.col("vlabel") == q.vertices[u]).select("graph_id", F.col("vid").alias(f"m_{u}"))

@@ -15,12 +15,14 @@ class LabeledGraph:
     """vertices: (vid long, vlabel string). edges: (src long, dst long, elabel string or null).
 
     Undirected edges are stored once, src < dst; directed ones as they are. Vertices without label match nothing.
+    multi: edges may repeat. simple: no two edges join the same two vertices, whatever their labels.
     """
 
     vertices: DataFrame
     edges: DataFrame
     directed: bool = False
     multi: bool = False
+    simple: bool = False
 
     def adjacency(self) -> DataFrame:
         """(src, dst, elabel, dir): every edge from both of its ends; dir 'B', or 'O' and 'I' as src sees a directed edge."""
@@ -31,7 +33,7 @@ class LabeledGraph:
     def induced(self, keep: DataFrame) -> LabeledGraph:
         """The subgraph on the vertices whose vid is in keep (vid)."""
         vertices = self.vertices.join(keep.select("vid"), "vid", "left_semi")
-        return LabeledGraph(vertices, both_ends(self.edges, keep), self.directed, self.multi)
+        return LabeledGraph(vertices, both_ends(self.edges, keep), self.directed, self.multi, self.simple)
 
 
 def both_ends(edges: DataFrame, keep: DataFrame) -> DataFrame:

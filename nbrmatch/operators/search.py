@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import SMALL_ROWS
+from .filters import Start
 from .pattern import Pattern
 
 ORDERS = ("given", "bfs", "rarest_candidates", "min_edge_card", "degree_desc", "core_first")
@@ -41,25 +42,48 @@ def order(q: Pattern, sizes: dict[str, int] | None = None, edge_sizes: dict[tupl
     return out
 
 
-def edge_table(adj: DataFrame, cand: DataFrame, q: Pattern, w: str, u: str) -> DataFrame:
-    """(m_w, m_u): the edges between candidates of w and of u that satisfy every pattern edge between them."""
+def edge_sizes(s: Start, q: Pattern) -> dict[tuple[str, str], int]:
+    """How many edges of the label-pruned graph fit each pattern edge, by the labels of both ends and of the edge. One aggregation."""
+    ends = s.vertices.select(F.col("vid").alias("src"), F.col("rank").alias("src_rank"))
+    some = s.adj.where(F.col("dir") != "I").join(ends, "src").groupBy("src_rank", "rank", "elabel").agg(F.count("*").alias("n"))
+    found: dict[tuple[int, int, str | None], int] = {}
+    for r in some.collect():  # as many rows as there are triples of pattern labels and edge labels
+        for e in (None, r["elabel"]) if r["elabel"] is not None else (None,):
+            key = (r["src_rank"], r["rank"], e)
+            found[key] = found.get(key, 0) + r["n"]
+    rank = lambda u: s.ranks[q.vertices[u]]
+    return {(a, b): found.get((rank(a), rank(b), e), 0) for a, b, e in q.edges}
+
+
+def edge_table(adj: DataFrame, cand: DataFrame, q: Pattern, w: str, u: str, simple: bool = False, sizes: dict[str, int] | None = None) -> DataFrame:
+    """(m_w, m_u): the edges between candidates of w and of u that satisfy every pattern edge between them.
+
+    simple: the graph has no parallel edges, so rows are distinct as they are. sizes: candidates of each pattern vertex;
+    small sets are broadcast.
+    """
     out = None
     for a, b, e in q.edges:
         if {a, b} != {w, u}:
             continue
         way = F.lit(True) if not q.directed else F.col("dir") == ("O" if a == w else "I")
-        found = adj.where(way if e is None else way & (F.col("elabel") == e)).select(F.col("src").alias(f"m_{w}"), F.col("dst").alias(f"m_{u}")).distinct()
+        found = adj.where(way if e is None else way & (F.col("elabel") == e)).select(F.col("src").alias(f"m_{w}"), F.col("dst").alias(f"m_{u}"))
+        found = found if simple else found.distinct()
         out = found if out is None else out.join(found, [f"m_{w}", f"m_{u}"], "left_semi")
-    of = lambda x: cand.where(F.col("u") == x).select(F.col("vid").alias(f"m_{x}"))
-    return out.join(of(w), f"m_{w}", "left_semi").join(of(u), f"m_{u}", "left_semi")
+    return out.join(_of(cand, w, sizes), f"m_{w}", "left_semi").join(_of(cand, u, sizes), f"m_{u}", "left_semi")
 
 
-def joins(adj: DataFrame, cand: DataFrame, q: Pattern, sequence: list[str] | None = None, unique: str = "mapping") -> DataFrame:
+def _of(cand: DataFrame, u: str, sizes: dict[str, int] | None) -> DataFrame:
+    own = cand.where(F.col("u") == u).select(F.col("vid").alias(f"m_{u}"))
+    return F.broadcast(own) if sizes and sizes.get(u, SMALL_ROWS + 1) <= SMALL_ROWS else own
+
+
+def joins(adj: DataFrame, cand: DataFrame, q: Pattern, sequence: list[str] | None = None, unique: str = "mapping", simple: bool = False, sizes: dict[str, int] | None = None) -> DataFrame:
     """One row m_<u> for each embedding: injective, keeps labels and edges, need not be induced.
 
     Left-deep joins; edges back to matched vertices are further keys of the same join, and inequality is asked only
-    between vertices of one label. unique='subgraph' keeps one of the mappings that differ by an automorphism. Parts of a
-    disconnected pattern are combined by a product, as its answer is one: ask for a count (count()) if that is enough.
+    between vertices of one label. unique='subgraph' keeps one of the mappings that differ by an automorphism. adj and
+    cand should be written tables, as each pattern edge reads them. Parts of a disconnected pattern are combined by a
+    product, as its answer is one; count() multiplies instead.
     """
     sequence = sequence or order(q)
     placed: list[str] = []
@@ -73,8 +97,11 @@ def joins(adj: DataFrame, cand: DataFrame, q: Pattern, sequence: list[str] | Non
             rows = rows.crossJoin(own)
         else:
             for k, w in enumerate(near):
-                found = edge_table(adj, cand, q, w, u)
-                rows = rows.join(found, f"m_{w}") if k == 0 else rows.join(found, [f"m_{w}", f"m_{u}"], "left_semi")
+                found = edge_table(adj, cand, q, w, u, simple, sizes)
+                if k == 0:  # the first edge table has the candidates of both ends already
+                    rows = found if len(placed) == 1 else rows.join(found, f"m_{w}")
+                else:
+                    rows = rows.join(found, [f"m_{w}", f"m_{u}"], "left_semi")
         for w in placed:
             if q.vertices[w] == q.vertices[u]:
                 rows = rows.where(F.col(f"m_{w}") != F.col(f"m_{u}"))
@@ -96,17 +123,38 @@ def as_maps(rows: DataFrame) -> DataFrame:
     return rows.select(F.create_map(*(x for c in sorted(rows.columns) for x in (F.lit(c[2:]), F.col(c)))).alias("embedding"))
 
 
-def count(adj: DataFrame, cand: DataFrame, q: Pattern) -> DataFrame:
-    """(n) embeddings, without listing the last leaves: leaves of one parent multiply, if no other vertex has their label."""
+def parts(q: Pattern) -> list[Pattern]:
+    """The connected parts of a pattern."""
+    out, left = [], set(q.vertices)
+    while left:
+        own = q.hops(min(left)).keys()
+        out.append(Pattern({u: n for u, n in q.vertices.items() if u in own}, tuple(e for e in q.edges if e[0] in own), q.directed))
+        left -= own
+    return out
+
+
+def count(adj: DataFrame, cand: DataFrame, q: Pattern, simple: bool = False) -> DataFrame:
+    """(n) embeddings, without listing the last leaves: leaves of one parent multiply, if no other vertex has their label.
+
+    Parts of a disconnected pattern that share no label are counted by themselves and multiplied.
+    """
+    own = parts(q)
+    if len(own) > 1 and sum(len(set(p.labels)) for p in own) == len(q.labels):
+        n, product = None, F.lit(1).cast("long")
+        for k, p in enumerate(own):
+            one = count(adj, cand, p, simple).select(F.col("n").alias(f"n_{k}"))
+            n = one if n is None else n.crossJoin(one)  # one row each
+            product = product * F.col(f"n_{k}")
+        return n.select(product.alias("n"))
     labels = list(q.vertices.values())
     leaves = [u for u in sorted(q.vertices) if q.pdeg(u) == 1 and labels.count(q.vertices[u]) == 1 and q.pdeg(q.neighbours(u)[0]) > 1]
     if len(q.vertices) - len(leaves) < 1 or not leaves:
-        return joins(adj, cand, q).agg(F.count("*").alias("n"))
+        return joins(adj, cand, q, simple=simple).agg(F.count("*").alias("n"))
     inner = Pattern({u: n for u, n in q.vertices.items() if u not in leaves}, tuple(e for e in q.edges if e[0] not in leaves and e[1] not in leaves), q.directed)
-    rows, product = joins(adj, cand, inner), F.lit(1).cast("long")
+    rows, product = joins(adj, cand, inner, simple=simple), F.lit(1).cast("long")
     for u in leaves:
         w = q.neighbours(u)[0]
-        rows = rows.join(edge_table(adj, cand, q, w, u).groupBy(f"m_{w}").agg(F.count("*").alias(f"n_{u}")), f"m_{w}")
+        rows = rows.join(edge_table(adj, cand, q, w, u, simple).groupBy(f"m_{w}").agg(F.count("*").alias(f"n_{u}")), f"m_{w}")
         product = product * F.col(f"n_{u}")
     return rows.agg(F.coalesce(F.sum(product), F.lit(0)).alias("n"))
 
@@ -120,12 +168,12 @@ def merged_equivalents(q: Pattern) -> list[list[str]]:
     return [g for g in groups.values() if len(g) > 1]
 
 
-def joins_merged(adj: DataFrame, cand: DataFrame, q: Pattern) -> DataFrame:
+def joins_merged(adj: DataFrame, cand: DataFrame, q: Pattern, simple: bool = False) -> DataFrame:
     """joins() where swappable vertices are matched once in increasing order, then expanded to all their orders."""
     from itertools import permutations
 
     groups = merged_equivalents(q)
-    rows = joins(adj, cand, q)
+    rows = joins(adj, cand, q, simple=simple)
     for g in groups:
         for a, b in zip(g, g[1:], strict=False):
             rows = rows.where(F.col(f"m_{a}") < F.col(f"m_{b}"))
@@ -135,15 +183,20 @@ def joins_merged(adj: DataFrame, cand: DataFrame, q: Pattern) -> DataFrame:
     return rows.select(*(f"m_{u}" for u in sorted(q.vertices)))
 
 
+def fits_dfs(adj: DataFrame, cand: DataFrame, most_rows: int = SMALL_ROWS) -> bool:
+    """Whether dfs() searches depth-first, or leaves the work to joins()."""
+    return adj.limit(most_rows + 1).count() <= most_rows and cand.limit(most_rows + 1).count() <= most_rows
+
+
 def dfs(adj: DataFrame, cand: DataFrame, q: Pattern, sequence: list[str] | None = None, lookahead: bool = False, most_rows: int = SMALL_ROWS) -> DataFrame:
     """Depth-first search over a broadcast copy of the filtered graph, one task for a share of the first vertex's candidates.
 
     For filtered graphs of at most `most_rows` adjacency rows and candidates: their sizes are checked first, and larger
-    ones go to joins(). lookahead: a vertex is tried only if it has as many unused neighbours as its pattern vertex
+    ones go to joins(), see fits_dfs(). lookahead: a vertex is tried only if it has as many unused neighbours as its pattern vertex
     has unmatched ones.
     """
     sequence = sequence or order(q)
-    if adj.limit(most_rows + 1).count() > most_rows or cand.limit(most_rows + 1).count() > most_rows:
+    if not fits_dfs(adj, cand, most_rows):
         return joins(adj, cand, q, sequence)
     spark = adj.sparkSession
     sets: dict[str, set[int]] = {u: set() for u in q.vertices}

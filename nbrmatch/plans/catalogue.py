@@ -12,6 +12,7 @@ from ..functions import codes
 from ..operators import baselines, filters, fixpoint, gindex, graph, search
 from ..operators.pattern import Pattern, parse
 from ..sources import graphs
+from ..session import cut
 from ..streaming import edgepass, live
 from . import oracle as o
 from . import measures
@@ -102,8 +103,8 @@ def g_order_graphs(spark, d):
 
 @query(
     f"""WITH l AS (SELECT DISTINCT doc_id, trim(x) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE trim(x) <> ''),
-    u AS (SELECT line FROM l GROUP BY 1 HAVING count(*) BETWEEN 2 AND 50)
-    SELECT DISTINCT {7 * o.SPACE}+a.doc_id AS src, {7 * o.SPACE}+b.doc_id AS dst FROM l a JOIN u USING (line) JOIN l b USING (line) WHERE a.doc_id < b.doc_id"""
+    u AS (SELECT line, min(doc_id) AS first FROM l GROUP BY 1)
+    SELECT DISTINCT {7 * o.SPACE}+first AS src, {7 * o.SPACE}+doc_id AS dst FROM l JOIN u USING (line) WHERE doc_id <> first"""
 )
 def g_doc_shared_lines(spark, d):
     return graphs.document_lines(spark, d).edges.select("src", "dst")
@@ -180,10 +181,9 @@ def c_code_full(spark, d):
     return features(spark, d, "T", TRIANGLE).select("vid", codes.ncode_column(_xs(TRIANGLE)).alias("code"))
 
 
-@query(_F3 + f"SELECT vid, CASE WHEN pdeg <= 400 THEN (({_code_sql(_SUMS[:3])})::DECIMAL(38,0))::VARCHAR END AS code FROM f")
+@query(_F3 + f"SELECT vid, (({_code_sql(_SUMS[:3])})::DECIMAL(38,0))::VARCHAR AS code FROM f")
 def c_code_decimal(spark, d):
-    f = features(spark, d, "T", TRIANGLE)
-    return f.select("vid", codes.ncode_decimal(_xs(TRIANGLE), 400).cast("string").alias("code"))
+    return features(spark, d, "T", TRIANGLE).select("vid", codes.ncode_decimal(_xs(TRIANGLE)).cast("string").alias("code"))
 
 
 @query(_F3 + f"SELECT vid, ({_code_sql(_SUMS[:3])})::BIGINT AS code FROM f")
@@ -191,10 +191,10 @@ def c_code_array(spark, d):
     return features(spark, d, "T", TRIANGLE).select("vid", codes.ncode_array(F.array(*_xs(TRIANGLE))).alias("code"))
 
 
-@query(_F3 + f"SELECT vid, lower(lpad(hex(({_code_sql(_SUMS[:3])})::BIGINT), 16, '0')) AS code FROM f")
+@query(_F3 + f"SELECT vid, lower(lpad(hex(({_code_sql(_SUMS[:3])})::BIGINT), 128, '0')) AS code FROM f")
 def c_code_bytes(spark, d):
     x = F.array(*_xs(TRIANGLE))
-    return features(spark, d, "T", TRIANGLE).select("vid", F.substring(F.lower(F.hex(codes.ncode_bytes(x))), 113, 16).alias("code"))
+    return features(spark, d, "T", TRIANGLE).select("vid", F.lower(F.hex(codes.ncode_bytes(x))).alias("code"))
 
 
 @query(_F3 + f"SELECT vid, round(ln(1 + ({_code_sql(_SUMS[:3], 'DOUBLE')})), 6) AS code FROM f".replace("//", "/"))
@@ -235,25 +235,32 @@ def c_band_check(spark, d):
     return f.groupBy("pdeg").agg(F.min("code").alias("least"), F.max("code").alias("most"), F.bool_and(F.col("code").between(low, high)).alias("inside"))
 
 
+_S5, _S6 = "(x1+x2+x3+e1+e2)::HUGEINT", "(x1+x2+x3+e1+e2+e3)::HUGEINT"
+_STEP5 = "*".join(f"({_S5}+{t})" for t in range(5)) + "//120"
+_STEP6 = "*".join(f"({_S6}+{t})" for t in range(6)) + "//720"
 _REL = ["contains", "sourced", "supplies"]
 _FE = o.with_(o.graph("T"), o.pruned(RELATIONS), f"fe AS (SELECT v.vid, v.vlabel, {', '.join(f'count(*) FILTER (WHERE a.dlabel={o.text(n)}) AS x{k}' for k, n in enumerate(RELATIONS.labels, 1))}, {', '.join(f'count(*) FILTER (WHERE a.elabel={o.text(n)}) AS e{k}' for k, n in enumerate(_REL, 1))}, count(a.dst) AS pdeg FROM lv v LEFT JOIN la a ON a.src=v.vid GROUP BY 1, 2)")
 
 
-@query(_FE + f", c AS (SELECT vid, ({_code_sql(_SUMS[:3])}) AS cv, ({_code_sql(['e1', 'e1+e2', 'e1+e2+e3'])}) AS ce FROM fe WHERE pdeg <= 50) SELECT vid, cv::BIGINT AS vertex_code, ce::BIGINT AS edge_code, ({_code_sql(['cv', 'cv+ce'])})::BIGINT AS code FROM c")
-def c_code_edge_aware(spark, d):
-    f = filters.one_hop(filters.start(view(spark, d, "T"), RELATIONS), _REL).where("pdeg <= 50")
-    f = f.select("vid", codes.ncode_column(_xs(RELATIONS)).alias("vertex_code"), codes.ncode_column([F.col(f"e{j}") for j in (1, 2, 3)]).alias("edge_code"))
-    return f.withColumn("code", codes.ncode_column([F.col("vertex_code"), F.col("edge_code")]))
-
-
 @query(_FE + f", c AS (SELECT vid, ({_code_sql(_SUMS[:3])}) AS cv, ({_code_sql(['e1', 'e1+e2', 'e1+e2+e3'])}) AS ce FROM fe) SELECT vid, cv::VARCHAR AS vertex_code, ce::VARCHAR AS edge_code, ({_code_sql(['cv', 'cv+ce'])})::VARCHAR AS code FROM c")
-def c_code_edge_aware_every(spark, d):
-    """A row for every vertex, in digits as hubs' codes have no bound, where c_code_edge_aware has those of degree 50 at most."""
+def c_code_edge_aware(spark, d):
+    """Codes of all vertices, in digits as hubs' codes have no bound."""
     f = filters.one_hop(filters.start(view(spark, d, "T"), RELATIONS), _REL)
     f = f.select("vid", codes.ncode_text(F.array(*_xs(RELATIONS))).alias("vertex_code"), codes.ncode_text(F.array("e1", "e2", "e3")).alias("edge_code"))
     return f.withColumn("code", codes.ncode_text(F.array("vertex_code", "edge_code")))
 
 
+_SHARED = [f"x{k}+e{k}" for k in (1, 2, 3)]
+
+
+@query(_FE + f"SELECT vid, ({_code_sql(['+'.join(_SHARED[:k]) for k in (1, 2, 3)])})::VARCHAR AS shared, ({_code_sql(_SUMS[:3] + ['x1+x2+x3+e1'])} + ({_STEP5}) + ({_STEP6}))::VARCHAR AS separate FROM fe")
+def c_code_edge_dims(spark, d):
+    """Edge labels in the vertex labels' dimensions (rank by rank added), or in dimensions of their own after them."""
+    f = filters.one_hop(filters.start(view(spark, d, "T"), RELATIONS), _REL)
+    x, e = _xs(RELATIONS), [F.col(f"e{j}") for j in (1, 2, 3)]
+    return f.select("vid", codes.ncode_text(codes.edge_dims(x, e, "shared")).alias("shared"), codes.ncode_text(codes.edge_dims(x, e, "separate")).alias("separate"))
+
+
 _GAPS = ["<1d", "<1h", ">=1d"]
 
 
@@ -340,6 +347,22 @@ def _packet2_sql() -> str:
     return " UNION ALL ".join(out)
 
 
+query(o.features("T", TAILED) + o.candidates(TAILED, "strict"), "f_packets_auto")(lambda spark, d: filters.candidates(features(spark, d, "T", TAILED), TAILED, filters.code_packets()))
+query(o.features("T", TAILED) + o.candidates(TAILED, "lemma"), "f_code_log")(lambda spark, d: filters.candidates(features(spark, d, "T", TAILED), TAILED, filters.code_log()))
+
+
+def _full_degree_sql() -> str:
+    parts = [f"SELECT {o.text(u)} AS u, vid FROM w WHERE vlabel={o.text(n)} AND deg>={TAILED.pdeg(u)}" for u, n in sorted(TAILED.vertices.items())]
+    return o.with_(o.graph("T"), "w AS (SELECT v.vid, v.vlabel, count(a.dst) AS deg FROM v LEFT JOIN adj a ON a.src=v.vid GROUP BY 1, 2)") + " UNION ALL ".join(parts)
+
+
+@query(_full_degree_sql())
+def f_full_degree(spark, d):
+    """Degrees of the whole graph, where f_degree counts edges between pattern labels only."""
+    g = view(spark, d, "T")
+    return filters.candidates(filters.unrestricted_degree(g, filters.start(g, TAILED).vertices), TAILED, filters.full_degree)
+
+
 query(o.features("T", TAILED) + _packet2_sql(), "f_packets_w2")(lambda spark, d: filters.candidates(features(spark, d, "T", TAILED), TAILED, filters.code_packets(2)))
 
 
@@ -364,6 +387,23 @@ query(_HOPS + _hop_sql(lambda u: _code_test("s1_{0}", CLIQUE4.ball(u, 1)) + " AN
 query(_HOPS + _hop_sql(lambda u: _code_test("s1_{0}", CLIQUE4.ball(u, 1, True)) + " AND " + _code_test("s2_{0}", CLIQUE4.ball(u, 2, True))), "f_shell_optin")(lambda spark, d: filters.candidates(_hops(spark, d), CLIQUE4, filters.shell(2)))
 
 
+def _sum(kind: str) -> str:
+    return "+".join(kind.format(k) for k in range(1, 5))
+
+
+query(_HOPS + _hop_sql(lambda u: f"({_sum('s1_{0}')}) >= {sum(CLIQUE4.ball(u, 1, True))} AND ({_sum('s2_{0}')}) >= {sum(CLIQUE4.ball(u, 2, True))}"), "f_shell_degree")(lambda spark, d: filters.candidates(_hops(spark, d), CLIQUE4, filters.shell(2, degree_only=True)))
+
+
+def _packed_sql() -> str:
+    one, two = _code_sql(_prefix_sql("s1_{0}")), _code_sql(_prefix_sql("s2_{0}"))
+    pack = _code_sql(["c1", "c1+c2"])
+    base = _HOPS.rstrip() + f", pc AS (SELECT vid, vlabel, {one} AS c1, {two} AS c2 FROM hc), hp AS (SELECT vid, vlabel, {pack} AS packed FROM pc) "
+    return base + " UNION ALL ".join(f"SELECT {o.text(u)} AS u, vid FROM hp WHERE vlabel={o.text(CLIQUE4.vertices[u])} AND packed >= {codes.ncode([codes.ncode(CLIQUE4.ball(u, h, True)) for h in (1, 2)])}" for u in sorted(CLIQUE4.vertices))
+
+
+query(_packed_sql(), "f_shell_packed")(lambda spark, d: filters.candidates(_hops(spark, d), CLIQUE4, filters.shell_packed(2)))
+
+
 def _edge_aware_sql() -> str:
     out = []
     for u in sorted(RELATIONS.vertices):
@@ -377,10 +417,18 @@ for _p in (False, True):
     query(_FE + _edge_aware_sql(), "f_edge_aware_packed" if _p else "f_edge_aware")(lambda spark, d, p=_p: filters.candidates(filters.one_hop(filters.start(view(spark, d, "T"), RELATIONS), _REL), RELATIONS, filters.edge_aware(_REL, packed=p)))
 
 
-@query()
+def _directed_sql() -> str:
+    parts = []
+    for u in sorted(DIRPATH.vertices):
+        parts.append(f"SELECT {o.text(u)} AS u, vid FROM f WHERE {o.test(DIRPATH, u, 'edges', ['<1d'])}")
+    return o.with_(o.graph("E", True), o.pruned(DIRPATH), o.counts(DIRPATH, elabels=["<1d"])) + " UNION ALL ".join(parts)
+
+
+@query(_directed_sql())
 def f_directed(spark, d):
     s = filters.start(view(spark, d, "E"), DIRPATH)
-    return filters.candidates(filters.one_hop(s, _GAPS), DIRPATH, filters.edge_aware(_GAPS, directed=True))
+    test, names = filters.code_for(DIRPATH)
+    return filters.candidates(filters.one_hop(s, names), DIRPATH, test)
 
 
 # ---- peeling --------------------------------------------------------------------------------------------------------
@@ -402,6 +450,20 @@ query(_peel_sql(TAILED, 5, "nlf") + "SELECT vid, vlabel FROM k4", "peel_nlf")(la
 query(_peel_sql(TAILED, 5) + "SELECT vlabel, count(*) AS n FROM k4 GROUP BY 1", "peel_kept_by_label")(lambda spark, d: peeled(spark, d, TAILED).state.groupBy("vlabel").agg(F.count("*").alias("n")))
 
 
+def _edge_peel_sql(name: str, q: Pattern, rounds: int) -> str:
+    return o.with_(o.graph(name, q.directed), o.pruned(q), o.peel(q, rounds, "edges", filters.edge_labels(q))) + f"SELECT vid, vlabel FROM k{rounds - 1}"
+
+
+def _edge_peel(spark, d, name: str, q: Pattern) -> DataFrame:
+    test, names = filters.code_for(q)
+    return peeled(spark, d, q, name, test=test, elabels=names).state.select("vid", "vlabel")
+
+
+query(_edge_peel_sql("T", RELATIONS, 4), "peel_edge_aware")(lambda spark, d: _edge_peel(spark, d, "T", RELATIONS))
+query(_edge_peel_sql("D", FLAGGED, 4), "peel_edge_flagged")(lambda spark, d: _edge_peel(spark, d, "D", FLAGGED))
+query(_edge_peel_sql("E", DIRPATH, 5), "peel_directed")(lambda spark, d: _edge_peel(spark, d, "E", DIRPATH))
+
+
 def _log_sql(q: Pattern, rounds: int) -> str:
     fails = [f"SELECT {r + 1} AS round, count(*) AS removed, count(*) FILTER (WHERE NOT coalesce({o.some(q, 'degree')}, false)) AS by_degree FROM f{r} WHERE NOT ({o.some(q, 'strict')})" for r in range(rounds)]
     return _peel_sql(q, rounds) + f"SELECT round::INTEGER AS round, removed, by_degree, removed-by_degree AS by_code FROM ({' UNION ALL '.join(fails)}) WHERE removed > 0"
@@ -428,11 +490,11 @@ query(o.embeddings("T", TAILED), "m_edge_pass")(lambda spark, d: match(view(spar
 query(o.embeddings("T", TAILED), "m_local_only")(lambda spark, d: match(view(spark, d, "T"), TAILED, max_rounds=1).embeddings)
 for _how in search.ORDERS:
     query(o.embeddings("T", TAILED), f"m_order_{_how}")(lambda spark, d, h=_how: match(view(spark, d, "T"), TAILED, how=h).embeddings)
-query(o.embeddings("T", SAME), "m_merged_equivalents")(lambda spark, d: search.joins_merged(*_parts(spark, d, "T", SAME), SAME))
+query(o.embeddings("T", SAME), "m_merged_equivalents")(lambda spark, d: search.joins_merged(*_parts(spark, d, "T", SAME), SAME, simple=True))
 query(o.embeddings("T", ABSENT), "m_absent_label")(lambda spark, d: match(view(spark, d, "T"), ABSENT).embeddings)
 query(o.embeddings("T", STAR3, "count(*) AS n"), "m_count_only")(lambda spark, d: count(view(spark, d, "T"), STAR3))
 query(o.embeddings("T", TAILED, "count(*) AS n"), "m_count_tailed")(lambda spark, d: count(view(spark, d, "T"), TAILED))
-query(o.embeddings("T", APART, "count(*) AS n"), "m_disconnected_count")(lambda spark, d: match(view(spark, d, "T"), APART).embeddings.agg(F.count("*").alias("n")))
+query(o.embeddings("T", APART, "count(*) AS n"), "m_disconnected_count")(lambda spark, d: count(view(spark, d, "T"), APART))
 query(o.embeddings("T", SAME) + " AND v_a.vid < v_b.vid", "m_unique_subgraphs")(lambda spark, d: match(view(spark, d, "T"), SAME, unique="subgraph").embeddings)
 query(o.embeddings("T", TRIANGLE, "DISTINCT [v_o.vid, v_p.vid, v_s.vid]::VARCHAR AS embedding"), "m_as_arrays")(lambda spark, d: search.as_arrays(match(view(spark, d, "T"), TRIANGLE).embeddings).select(F.concat(F.lit("["), F.array_join("embedding", ", "), F.lit("]")).alias("embedding")))
 
@@ -450,7 +512,7 @@ def m_exists(spark, d):
 
 def _parts(spark, d, name: str, q: Pattern) -> tuple[DataFrame, DataFrame]:
     p = peeled(spark, d, q, name)
-    return p.adj, fixpoint.candidate_sets(p, q)
+    return p.adj, cut(fixpoint.candidate_sets(p, q), "cand")
 
 
 # ---- baselines ------------------------------------------------------------------------------------------------------
@@ -488,7 +550,7 @@ def b_agreement(spark, d):
     adj, cand = _parts(spark, d, "T", TAILED)
     own = match(g, TAILED).embeddings
     others = {
-        "dfs": search.dfs(adj, cand, TAILED), "lookahead": search.dfs(adj, cand, TAILED, lookahead=True), "merged": search.joins_merged(adj, cand, TAILED),
+        "dfs": search.dfs(adj, cand, TAILED), "lookahead": search.dfs(adj, cand, TAILED, lookahead=True), "merged": search.joins_merged(adj, cand, TAILED, simple=True),
         "nlf": baselines.nlf(g, TAILED), "pass": match(g, TAILED, access="pass").embeddings, "tree_index": baselines.tree_index_match(baselines.tree_index(g, TAILED), TAILED),
     }
     out = None
@@ -563,15 +625,67 @@ def s_live_state(spark, d):
     return out.groupBy("vid").agg(F.max("n").alias("n"))
 
 
+@query(_LIVE + f"SELECT vid, pdeg, {o.some(TAILED, 'strict')} AS keep FROM f WHERE pdeg > 0")
+def s_live_filter(spark, d):
+    """Each vertex's last word on the stream of placed edges: kept as soon as it passes, dropped when it is sealed."""
+    g = view(spark, d, "T")
+    out = edgepass.run_to_memory(live.live_filter(live.order_stream(spark, d), g.vertices, TAILED, idle="1 day"), "s_live_filter", "append")
+    return out.groupBy("vid").agg(F.max("pdeg").alias("pdeg"), F.max_by("keep", "pdeg").alias("keep"))
+
+
+@query("SELECT o.o_orderkey AS order_id, c.c_mktsegment AS segment FROM orders o JOIN customer c ON o.o_custkey = c.c_custkey")
+def s_join_static(spark, d):
+    """A stream joined with a table that stands still."""
+    out = live.order_stream(spark, d).join(graphs.table(spark, d, "customer").select(graphs.vid("customer", "c_custkey").alias("src"), "c_mktsegment"), "src")
+    rows = edgepass.run_to_memory(out.select((F.col("dst") - 2 * o.SPACE).alias("order_id"), F.col("c_mktsegment").alias("segment")), "s_join_static", "append")
+    return rows
+
+
+@query("SELECT v.event_id AS view_id, c.event_id AS click_id FROM events v JOIN events c ON v.user_id = c.user_id AND v.event_type = 'view' AND c.event_type = 'click' AND c.ts >= v.ts AND c.ts <= v.ts + INTERVAL 2 HOURS")
+def s_join_streams(spark, d):
+    """Two streams joined within an interval; rows older than the watermark leave the state."""
+    return edgepass.run_to_memory(edgepass.followed_by(edgepass.event_stream(spark, d), "view", "click", "2 hours"), "s_join_streams", "append")
+
+
 # ---- graph databases ------------------------------------------------------------------------------------------------
 
 _ROLES = ["assistant", "system", "user"]
 
 
-@query("WITH s AS (SELECT conv_id, string_agg(role, ',' ORDER BY turn) AS a, string_agg(role, ',' ORDER BY turn DESC) AS b, count(*) AS n FROM conversations GROUP BY 1) SELECT conv_id AS graph_id, n AS n_vertices FROM s")
+_CONV = """WITH t AS (SELECT conv_id, role, lag(role) OVER w AS p, lead(role) OVER w AS q FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)),
+    x AS (SELECT conv_id, CASE role WHEN 'assistant' THEN 1 WHEN 'system' THEN 2 WHEN 'user' THEN 3 ELSE 0 END AS r, (coalesce(p='assistant', false)::INT + coalesce(q='assistant', false)::INT)::HUGEINT AS x1,
+      (coalesce(p='system', false)::INT + coalesce(q='system', false)::INT)::HUGEINT AS x2, (coalesce(p='user', false)::INT + coalesce(q='user', false)::INT)::HUGEINT AS x3 FROM t),
+    c AS (SELECT conv_id, r, x1 + (x1+x2)*(x1+x2+1)//2 + (x1+x2+x3)*(x1+x2+x3+1)*(x1+x2+x3+2)//6 AS code FROM x),
+    k AS (SELECT conv_id AS graph_id, count(*) AS n_vertices, string_agg((r + (r+code)*(r+code+1)//2)::VARCHAR, ',' ORDER BY r + (r+code)*(r+code+1)//2) AS codes FROM c GROUP BY 1) """
+
+
+@query(_CONV + "SELECT graph_id, n_vertices, codes FROM k")
 def x_conversation_codes(spark, d):
+    """Each graph's vertex codes with labels folded in, sorted: what its graph code is made of."""
     coded = gindex.vertex_codes(*graphs.conversation_graphs(spark, d), _ROLES)
-    return gindex.graph_codes(coded).select("graph_id", "n_vertices")
+    sorted_ = F.sort_array(F.collect_list("own"))  # turns of one conversation
+    return coded.groupBy("graph_id").agg(F.count("*").alias("n_vertices"), sorted_.alias("c")).select("graph_id", "n_vertices", F.array_join(F.transform("c", lambda x: x.cast("string")), ",").alias("codes"))
+
+
+@query()
+def x_conversation_digests(spark, d):
+    """The graph codes themselves, as digits and digest; tests hold them against plain integers."""
+    return gindex.graph_codes(gindex.vertex_codes(*graphs.conversation_graphs(spark, d), _ROLES))
+
+
+@query(_CONV + "SELECT a.graph_id FROM k a JOIN k b USING (codes) WHERE b.graph_id = (SELECT min(graph_id) FROM k)")
+def x_lookup(spark, d):
+    """The conversations that have the graph code of the first one, found by digest."""
+    v, e = graphs.conversation_graphs(spark, d)
+    coded = cut(gindex.vertex_codes(v, e, _ROLES), "coded")
+    first = coded.agg(F.min("graph_id").alias("graph_id"))
+    wanted = gindex.graph_codes(coded.join(F.broadcast(first), "graph_id")).first()["digest"]
+    return gindex.lookup(coded, wanted)
+
+
+@query(_CONV + "SELECT count(DISTINCT codes) AS digests, 0::BIGINT AS shared, count(DISTINCT codes) AS signatures FROM k")
+def x_digest_collisions(spark, d):
+    return gindex.collisions(cut(gindex.vertex_codes(*graphs.conversation_graphs(spark, d), _ROLES), "coded"))
 
 
 @query("""WITH t AS (SELECT conv_id, turn, role, lag(role) OVER w AS p, lead(role) OVER w AS q FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)),
@@ -588,14 +702,12 @@ _CHAIN = parse("(a:user)-(b:assistant)-(c:user)")
 @query("""WITH t AS (SELECT conv_id, role, lag(role) OVER w AS p, lead(role) OVER w AS q FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn))
     SELECT conv_id AS graph_id, (2*count(*))::BIGINT AS n FROM t WHERE role='assistant' AND p='user' AND q='user' GROUP BY 1""")
 def x_conversation_containment(spark, d):
-    return gindex.containment(*graphs.conversation_graphs(spark, d), _CHAIN, _ROLES)
+    return gindex.containment(*graphs.conversation_graphs(spark, d), _CHAIN)
 
 
 @query(f"WITH g AS ({o.embeddings('T', TRIANGLE)}), s AS (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey FROM lineitem), a AS (SELECT DISTINCT l_orderkey k, l_suppkey s FROM lineitem), b AS (SELECT DISTINCT l_orderkey k, l_partkey p FROM lineitem) SELECT l_orderkey AS graph_id, count(*) AS n FROM s JOIN g ON g.m_o={2 * o.SPACE}+l_orderkey AND g.m_p={3 * o.SPACE}+l_partkey AND g.m_s={4 * o.SPACE}+l_suppkey GROUP BY 1")
 def x_order_containment(spark, d):
-    v, e = graphs.order_graphs(spark, d)
-    labels = [r["vlabel"] for r in v.select("vlabel").distinct().collect()]  # the label alphabet: 21 names
-    return gindex.containment(v, e, TRIANGLE, labels)
+    return gindex.containment(*graphs.order_graphs(spark, d), TRIANGLE)
 
 
 # ---- measures -------------------------------------------------------------------------------------------------------

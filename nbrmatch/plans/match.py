@@ -10,34 +10,47 @@ from pyspark.sql import functions as F
 from ..operators import filters, fixpoint, search
 from ..operators.graph import LabeledGraph
 from ..operators.pattern import Pattern, parse
-from ..session import cut
+from ..session import cut, discard
 
 
 @dataclass
 class Match:
+    """engine: which search ran. written: the tables that embeddings read; discard(*written) when they are done with."""
+
     embeddings: DataFrame
     peeled: fixpoint.Peeled
     candidates: DataFrame
     sizes: dict[str, int]
     order: list[str]
+    engine: str = "joins"
+
+    @property
+    def written(self) -> tuple[DataFrame, ...]:
+        return self.peeled.state, self.peeled.adj, self.peeled.start.adj, self.candidates
 
 
 def empty(spark: SparkSession, q: Pattern) -> DataFrame:
     return spark.createDataFrame([], ", ".join(f"m_{u} long" for u in sorted(q.vertices)))
 
 
-def prepare(s: filters.Start, q: Pattern, test: filters.Test = filters.code_strict, max_rounds: int | None = None, how: str = "rarest_candidates") -> tuple[fixpoint.Peeled, DataFrame, dict[str, int], list[str]]:
-    p = fixpoint.peel(s, q, test, max_rounds)
-    cand = fixpoint.candidate_sets(p, q, test)
+def prepare(s: filters.Start, q: Pattern, test: filters.Test | None = None, max_rounds: int | None = None, how: str = "rarest_candidates") -> tuple[fixpoint.Peeled, DataFrame, dict[str, int], list[str]]:
+    """Peeled graph, candidates (both written), their sizes and the order. test: None takes the code that fits q (filters.code_for)."""
+    elabels = None
+    if test is None:
+        test, elabels = filters.code_for(q)
+    p = fixpoint.peel(s, q, test, max_rounds, elabels=elabels)
+    cand = cut(fixpoint.candidate_sets(p, q, test), "cand")
     sizes = fixpoint.candidate_sizes(cand, q)
-    return p, cand, sizes, search.order(q, sizes, how=how)
+    edges = search.edge_sizes(p.start, q) if how == "min_edge_card" else None
+    return p, cand, sizes, search.order(q, sizes, edges, how=how)
 
 
-def match(g: LabeledGraph, q: Pattern, *, access: str = "table", engine: str = "joins", how: str = "rarest_candidates", unique: str = "mapping", max_rounds: int | None = None, test: filters.Test = filters.code_strict, triples: bool = True) -> Match:
+def match(g: LabeledGraph, q: Pattern, *, access: str = "table", engine: str = "joins", how: str = "rarest_candidates", unique: str = "mapping", max_rounds: int | None = None, test: filters.Test | None = None, triples: bool = True) -> Match:
     """All embeddings of q in g.
 
     access: table reads the graph as it is; pass filters it first while edges are read once, grouped by source
     (streaming.edgepass). engine: joins or dfs. A pattern vertex without candidates ends the work before any search.
+    Where all edges of q have labels, codes count edge labels too, by direction if q is directed.
     """
     spark = g.edges.sparkSession
     s = filters.start(g, q, triples)
@@ -47,9 +60,11 @@ def match(g: LabeledGraph, q: Pattern, *, access: str = "table", engine: str = "
         s = edgepass.prefilter(s, q)
     p, cand, sizes, sequence = prepare(s, q, test, max_rounds, how)
     if not all(sizes.values()):
-        return Match(empty(spark, q), p, cand, sizes, sequence)
-    rows = search.dfs(p.adj, cand, q, sequence) if engine == "dfs" else search.joins(p.adj, cand, q, sequence, unique)
-    return Match(rows, p, cand, sizes, sequence)
+        return Match(empty(spark, q), p, cand, sizes, sequence, "none")
+    if engine == "dfs":
+        ran = "dfs" if search.fits_dfs(p.adj, cand) else "joins"
+        return Match(search.dfs(p.adj, cand, q, sequence), p, cand, sizes, sequence, ran)
+    return Match(search.joins(p.adj, cand, q, sequence, unique, g.simple, sizes), p, cand, sizes, sequence)
 
 
 def exists(g: LabeledGraph, q: Pattern) -> bool:
@@ -57,11 +72,11 @@ def exists(g: LabeledGraph, q: Pattern) -> bool:
 
 
 def count(g: LabeledGraph, q: Pattern) -> DataFrame:
-    """(n): the number of embeddings; last leaves are counted, not listed."""
+    """(n): the number of embeddings; last leaves are counted, not listed, and parts that share no label multiply."""
     p, cand, sizes, _ = prepare(filters.start(g, q), q)
     if not all(sizes.values()):
         return g.edges.sparkSession.createDataFrame([(0,)], "n long")
-    return search.count(p.adj, cand, q)
+    return search.count(p.adj, cand, q, g.simple)
 
 
 def match_sql(spark: SparkSession, text: str, vertices: str = "g_vertices", edges: str = "g_edges", directed: bool = False) -> DataFrame:
@@ -87,9 +102,11 @@ def run_set(g: LabeledGraph, patterns: dict[str, Pattern]) -> DataFrame:
     spark = g.edges.sparkSession
     labels = sorted({n for q in patterns.values() for n in q.labels})
     shared = g.induced(g.vertices.where(F.col("vlabel").isin(*labels)))
-    shared = LabeledGraph(cut(shared.vertices, "set-v"), cut(shared.edges, "set-e"), g.directed, g.multi)
+    shared = LabeledGraph(cut(shared.vertices, "set-v"), cut(shared.edges, "set-e"), g.directed, g.multi, g.simple)
     rows = []
     for name, q in patterns.items():
         m = match(shared, q)
         rows.append((name, sum(m.sizes.values()), m.peeled.state.count(), len(m.peeled.log), m.embeddings.count()))
+        discard(*m.written)
+    discard(shared.vertices, shared.edges)
     return spark.createDataFrame(rows, "pattern_id string, n_candidates long, kept_vertices long, rounds int, n long")

@@ -69,9 +69,13 @@ def pruned(q: Pattern) -> str:
     return f"lv AS (SELECT * FROM v WHERE vlabel IN ({labels})), la AS (SELECT a.*, d.vlabel AS dlabel FROM adj a JOIN lv s ON s.vid=a.src JOIN lv d ON d.vid=a.dst WHERE {triple(q)})"
 
 
-def counts(q: Pattern, vertices: str = "lv", edges: str = "la", name: str = "f") -> str:
-    """CTE of features: x1..xk, pdeg."""
+def counts(q: Pattern, vertices: str = "lv", edges: str = "la", name: str = "f", elabels: list[str] | None = None) -> str:
+    """CTE of features: x1..xk, pdeg; with edge labels also e1.., or i1.. and o1.. for directed patterns."""
     xs = ", ".join(f"count(*) FILTER (WHERE a.dlabel={text(n)}) AS x{k}" for k, n in enumerate(q.labels, 1))
+    for k, n in enumerate(elabels or [], 1):
+        for kind in "io" if q.directed else "e":
+            way = f" AND a.dir='{kind.upper()}'" if q.directed else ""
+            xs += f", count(*) FILTER (WHERE a.elabel={text(n)}{way}) AS {kind}{k}"
     return f"{name} AS (SELECT v.vid, v.vlabel, {xs}, count(a.dst) AS pdeg FROM {vertices} v LEFT JOIN {edges} a ON a.src=v.vid GROUP BY 1, 2)"
 
 
@@ -79,7 +83,17 @@ def mnd(name: str = "m") -> str:
     return f"{name} AS (SELECT f.*, coalesce(n.mnd, 0) AS mnd FROM f LEFT JOIN (SELECT a.src, max(g.pdeg) AS mnd FROM la a JOIN f g ON g.vid=a.dst GROUP BY 1) n ON n.src=f.vid)"
 
 
-def test(q: Pattern, u: str, kind: str) -> str:
+def edge_test(q: Pattern, u: str, elabels: list[str]) -> str:
+    """Larger degree (in each direction), or all counts equal: by neighbour label, and by edge label and direction."""
+    want = {kind: [sum(e == n and (kind == "e" and u in (a, b) or kind == "i" and b == u or kind == "o" and a == u) for a, b, e in q.edges) for n in elabels] for kind in ("io" if q.directed else "e")}
+    equal = " AND ".join([*(f"x{k}={n}" for k, n in enumerate(q.vector(u), 1)), *(f"{kind}{k}={n}" for kind, ns in want.items() for k, n in enumerate(ns, 1))])
+    more = "".join(f" AND {'+'.join(f'{kind}{k}' for k in range(1, len(ns) + 1))}>={sum(ns)}" for kind, ns in want.items()) if q.directed else ""
+    return f"vlabel={text(q.vertices[u])} AND ((pdeg>{q.pdeg(u)}{more}) OR (pdeg={q.pdeg(u)} AND {equal}))"
+
+
+def test(q: Pattern, u: str, kind: str, elabels: list[str] | None = None) -> str:
+    if kind == "edges":
+        return edge_test(q, u, elabels)
     x = q.vector(u)
     d = q.pdeg(u)
     is_label = f"vlabel={text(q.vertices[u])}"
@@ -108,16 +122,16 @@ def candidates(q: Pattern, kind: str, source: str = "f") -> str:
     return " UNION ALL ".join(f"SELECT {text(u)} AS u, vid FROM {source} WHERE {test(q, u, kind)}" for u in sorted(q.vertices))
 
 
-def some(q: Pattern, kind: str) -> str:
-    return " OR ".join(f"({test(q, u, kind)})" for u in sorted(q.vertices))
+def some(q: Pattern, kind: str, elabels: list[str] | None = None) -> str:
+    return " OR ".join(f"({test(q, u, kind, elabels)})" for u in sorted(q.vertices))
 
 
-def peel(q: Pattern, rounds: int, kind: str = "strict") -> str:
+def peel(q: Pattern, rounds: int, kind: str = "strict", elabels: list[str] | None = None) -> str:
     """CTEs f0, k0, a0, f1, ...: features, kept vertices and edges of each round, unrolled."""
     parts, vertices, edges = [], "lv", "la"
     for r in range(rounds):
-        parts.append(counts(q, vertices, edges, f"f{r}"))
-        parts.append(f"k{r} AS (SELECT vid, vlabel FROM f{r} WHERE {some(q, kind)})")
+        parts.append(counts(q, vertices, edges, f"f{r}", elabels))
+        parts.append(f"k{r} AS (SELECT vid, vlabel FROM f{r} WHERE {some(q, kind, elabels)})")
         parts.append(f"a{r} AS (SELECT a.* FROM {edges} a JOIN k{r} s ON s.vid=a.src JOIN k{r} d ON d.vid=a.dst)")
         vertices, edges = f"k{r}", f"a{r}"
     return ", ".join(parts)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -35,7 +37,7 @@ def trade(spark: SparkSession, sf_dir: str, directed: bool = False) -> LabeledGr
     order, part, supplier = vid("orders", "l_orderkey"), vid("part", "l_partkey"), vid("supplier", "l_suppkey")
     edges = o.select(vid("customer", "o_custkey").alias("src"), vid("orders", "o_orderkey").alias("dst"), F.lit("placed").alias("elabel"))
     edges = edges.union(_edges(li, order, part, "contains")).union(_edges(li, order, supplier, "sourced")).union(_edges(li, part, supplier, "supplies"))
-    return LabeledGraph(vertices, edges, directed)
+    return LabeledGraph(vertices, edges, directed, simple=True)
 
 
 def dense(spark: SparkSession, sf_dir: str) -> LabeledGraph:
@@ -43,7 +45,7 @@ def dense(spark: SparkSession, sf_dir: str) -> LabeledGraph:
     p, s, li = (table(spark, sf_dir, n) for n in ("part", "supplier", "lineitem"))
     vertices = p.select(vid("part", "p_partkey").alias("vid"), F.col("p_brand").alias("vlabel")).union(s.select(vid("supplier", "s_suppkey"), F.concat(F.lit("N"), F.col("s_nationkey").cast("string"))))
     edges = li.groupBy(vid("part", "l_partkey").alias("src"), vid("supplier", "l_suppkey").alias("dst")).agg(F.min("l_returnflag").alias("elabel"))
-    return LabeledGraph(vertices, edges)
+    return LabeledGraph(vertices, edges, simple=True)
 
 
 def few_labels(spark: SparkSession, sf_dir: str) -> LabeledGraph:
@@ -52,7 +54,7 @@ def few_labels(spark: SparkSession, sf_dir: str) -> LabeledGraph:
     vertices = p.select(vid("part", "p_partkey").alias("vid"), F.concat("p_brand", F.lit("/"), (F.col("p_size") % 3).cast("string")).alias("vlabel"))
     returned = li.where("l_returnflag = 'R'").select("l_orderkey", vid("part", "l_partkey").alias("v")).distinct()
     pairs = returned.alias("a").join(returned.alias("b"), "l_orderkey").where("a.v < b.v")
-    return LabeledGraph(vertices, _edges(pairs, F.col("a.v"), F.col("b.v"), None))
+    return LabeledGraph(vertices, _edges(pairs, F.col("a.v"), F.col("b.v"), None), simple=True)
 
 
 def many_labels(spark: SparkSession, sf_dir: str) -> LabeledGraph:
@@ -61,7 +63,7 @@ def many_labels(spark: SparkSession, sf_dir: str) -> LabeledGraph:
     vertices = p.select(vid("part", "p_partkey").alias("vid"), F.concat("p_brand", F.lit("/"), "p_type").alias("vlabel"))
     placed = o.select("o_orderkey", "o_custkey").join(c.select("c_custkey", "c_nationkey", "c_mktsegment"), F.col("o_custkey") == F.col("c_custkey"))
     vertices = vertices.union(placed.select(vid("orders", "o_orderkey"), F.concat(F.lit("N"), F.col("c_nationkey").cast("string"), F.lit("/"), "c_mktsegment")))
-    return LabeledGraph(vertices, _edges(li, vid("part", "l_partkey"), vid("orders", "l_orderkey"), None))
+    return LabeledGraph(vertices, _edges(li, vid("part", "l_partkey"), vid("orders", "l_orderkey"), None), simple=True)
 
 
 def event_succession(spark: SparkSession, sf_dir: str) -> LabeledGraph:
@@ -71,7 +73,7 @@ def event_succession(spark: SparkSession, sf_dir: str) -> LabeledGraph:
     after = e.select("event_id", F.lead("event_id").over(w).alias("next"), (F.lead(F.unix_micros("ts")).over(w) - F.unix_micros("ts")).alias("gap")).where("next is not null")
     label = F.when(F.col("gap") < 3_600_000_000, "<1h").when(F.col("gap") < 86_400_000_000, "<1d").otherwise(">=1d")
     edges = after.select(vid("event", "event_id").alias("src"), vid("event", "next").alias("dst"), label.alias("elabel"))
-    return LabeledGraph(e.select(vid("event", "event_id").alias("vid"), F.col("event_type").alias("vlabel")), edges, directed=True)
+    return LabeledGraph(e.select(vid("event", "event_id").alias("vid"), F.col("event_type").alias("vlabel")), edges, directed=True, simple=True)
 
 
 def conversation_graphs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
@@ -93,22 +95,20 @@ def order_graphs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame
     return members.join(g.vertices, "vid").select("graph_id", "vid", "vlabel"), edges
 
 
-def document_lines(spark: SparkSession, sf_dir: str, most: int = 50) -> LabeledGraph:
-    """L: documents that share a trimmed line used by 2 to `most` documents. The bound is the view's definition: lines used by more say nothing."""
+def document_lines(spark: SparkSession, sf_dir: str) -> LabeledGraph:
+    """L: documents that share a trimmed line, however many they are: each is joined to the least one that has the line.
+
+    These stars connect what all pairs would, with one edge for a document and line, not one for each pair.
+    """
     d = table(spark, sf_dir, "documents")
-    lines = d.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.sha2(F.trim("line"), 256).alias("h"), F.trim("line").alias("line")).where("line <> ''").select("doc_id", "h").distinct()
-    used = lines.groupBy("h").agg(F.count("*").alias("n")).where(F.col("n").between(2, most)).select("h")
-    few = lines.join(used, "h")
-    pairs = few.alias("a").join(few.alias("b"), "h").where("a.doc_id < b.doc_id")
+    members = document_line_members(spark, sf_dir)
+    least = members.groupBy("line").agg(F.min("vid").alias("first"))
     vertices = d.select(vid("document", "doc_id").alias("vid"), F.concat("lang", F.lit("/"), "source").alias("vlabel"))
-    return LabeledGraph(vertices, _edges(pairs, vid("document", F.col("a.doc_id")), vid("document", F.col("b.doc_id")), None))
+    return LabeledGraph(vertices, _edges(members.join(least, "line").where("vid <> first"), F.col("first"), F.col("vid"), None), simple=True)
 
 
 def document_line_members(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(vid, line): which document has which line (sha-256 of the trimmed line) that two or more documents have, however many.
-
-    The exact form of L without a bound: documents share a line where they meet in one, and no row is made for a pair.
-    """
+    """(vid, line): which document has which line (sha-256 of the trimmed line) that two or more documents have, however many."""
     d = table(spark, sf_dir, "documents")
     lines = d.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where("line <> ''")
     lines = lines.select("doc_id", F.sha2("line", 256).alias("line")).distinct()
@@ -116,13 +116,38 @@ def document_line_members(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.join(used, "line").select(vid("document", "doc_id").alias("vid"), "line")
 
 
+#: Vectors of a block that are compared at once.
+VECTOR_BLOCK = 2048
+
+
 def vector_neighbours(spark: SparkSession, sf_dir: str, least: float = 0.3) -> LabeledGraph:
-    """K: embeddings whose cosine is over `least`. All pairs of a small table, as the view defines; not for large ones."""
+    """K: embeddings whose cosine is over `least`, exactly: every block of vectors against every block, as matrix products.
+
+    The work is quadratic, as the view is all pairs; a vector is sent once for each block, not once for each vector.
+    """
     e = table(spark, sf_dir, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    e = e.withColumn("norm", F.sqrt(dot("v", "v")))
-    pairs = e.alias("a").join(e.alias("b"), F.col("a.vec_id") < F.col("b.vec_id")).where(dot("a.v", "b.v") / (F.col("a.norm") * F.col("b.norm")) > least)
-    return LabeledGraph(e.select(vid("vector", "vec_id").alias("vid"), F.concat(F.lit("V"), F.col("label").cast("string")).alias("vlabel")), _edges(pairs, vid("vector", F.col("a.vec_id")), vid("vector", F.col("b.vec_id")), None))
+    blocks = max(1, -(-e.count() // VECTOR_BLOCK))
+    own = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    each = lambda from_, to, side: e.select("vec_id", "v", own.alias("b")).select("vec_id", "v", F.col("b"), F.explode(F.sequence(from_, to)).alias("o"), F.lit(side).alias("left"))
+    left = each(F.col("b"), F.lit(blocks - 1), True).select(F.col("b").alias("i"), F.col("o").alias("j"), "left", "vec_id", "v")
+    right = each(F.lit(0), F.col("b"), False).select(F.col("o").alias("i"), F.col("b").alias("j"), "left", "vec_id", "v")
+
+    def over(group: pd.DataFrame) -> pd.DataFrame:
+        sides = []
+        for part in (group[group.left], group[~group.left]):
+            m = np.stack(part.v.to_numpy()) if len(part) else np.empty((0, 1))
+            norm = np.sqrt((m * m).sum(axis=1, keepdims=True))
+            sides.append((part.vec_id.to_numpy(), np.divide(m, norm, out=np.zeros_like(m), where=norm > 0)))
+        (ids, a), (others, b) = sides
+        if not len(ids) or not len(others):
+            return pd.DataFrame({"a": [], "b": []}, dtype="int64")
+        x, y = np.nonzero(a @ b.T > least)
+        x, y = ids[x], others[y]
+        keep = x != y if group.i.iloc[0] != group.j.iloc[0] else x < y
+        return pd.DataFrame({"a": np.minimum(x, y)[keep], "b": np.maximum(x, y)[keep]})
+
+    pairs = left.union(right).groupBy("i", "j").applyInPandas(over, "a long, b long")
+    return LabeledGraph(e.select(vid("vector", "vec_id").alias("vid"), F.concat(F.lit("V"), F.col("label").cast("string")).alias("vlabel")), _edges(pairs, vid("vector", "a"), vid("vector", "b"), None), simple=True)
 
 
 def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:

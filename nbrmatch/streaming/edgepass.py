@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 from ..operators.filters import Start, any_match, code_strict, count_columns, one_hop, rank_column
 from ..operators.fixpoint import restricted_adj
 from ..operators.pattern import Pattern
-from ..session import cut
+from ..session import cut, discard
 
 
 def prefilter(s: Start, q: Pattern) -> Start:
@@ -19,8 +20,9 @@ def prefilter(s: Start, q: Pattern) -> Start:
 
     Counting is one aggregation, so hubs are never gathered; edges to dropped vertices go as well.
     """
+    s = Start(s.vertices, cut(s.adj, "adj"), s.ranks, s.directed, s.simple)
     kept = cut(one_hop(s).where(any_match(q, code_strict)).select("vid", "vlabel", "rank"), "pass-kept")
-    return Start(kept, cut(restricted_adj(s.adj, kept), "pass-adj"), s.ranks, s.directed)
+    return Start(kept, cut(restricted_adj(s.adj, kept), "pass-adj"), s.ranks, s.directed, s.simple)
 
 
 def _passes(q: Pattern, ranks: dict[str, int]) -> dict[int, list[tuple[int, list[int]]]]:
@@ -32,39 +34,62 @@ def _passes(q: Pattern, ranks: dict[str, int]) -> dict[int, list[tuple[int, list
 
 
 def sorted_pass(s: Start, q: Pattern) -> DataFrame:
-    """(src, dst, elabel): the edges of kept vertices, by reading edges sorted by source with one vertex in memory.
+    """(src, dst, elabel): the edges of kept vertices, by reading edges sorted by source with one open vertex in memory.
 
-    All edges of a source are in one partition, sorted. A vertex whose degree passes that of every pattern vertex of its
-    label is certain to stay, so its edges are handed on without being held; the rest wait for the vertex's last edge.
+    All edges of a source are in one partition, sorted, and read in batches of columns. Sources that end in a batch are
+    judged by their counts at its group boundaries. The source that is still open keeps its counts and its edges, unless
+    its degree passes that of some pattern vertex of its label: then it is certain to stay and its edges are handed on.
     Vertices without edges never appear.
     """
     k, wanted = len(s.ranks), _passes(q, s.ranks)
     own = s.vertices.select(F.col("vid").alias("src"), F.col("rank").alias("src_rank"))
     edges = s.adj.join(own, "src").select("src", "dst", "elabel", "rank", "src_rank")
     dealt = edges.repartitionByRange("src").sortWithinPartitions("src", "dst")
+    names = ["src", "dst", "elabel"]
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        current, held, x, rank = None, [], [0] * k, 0
+    def stays(rank: np.ndarray, x: np.ndarray) -> np.ndarray:
+        """Of vertices (rank, counts) those that pass; a degree over a pattern vertex's is enough whatever follows."""
+        n, out = x.sum(axis=1), np.zeros(len(x), dtype=bool)
+        for r, ways in wanted.items():
+            for d, y in ways:
+                out |= (rank == r) & ((n > d) | ((n == d) & (x == np.array(y)).all(axis=1)))
+        return out
 
-        def verdict() -> bool:
-            n = sum(x)
-            return any(n > d or (n == d and x == y) for d, y in wanted.get(rank, ()))
+    least = {r: min(d for d, _ in ways) for r, ways in wanted.items()}
 
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held, counts, rank = [], np.zeros(k, dtype=np.int64), 0  # of the open source
+        current = None
         for batch in batches:
-            out = []
-            for src, dst, elabel, r, own_rank in batch.itertuples(index=False):
-                if src != current:
-                    if held and verdict():
-                        out += held
-                    current, held, x, rank = src, [], [0] * k, own_rank
-                x[r - 1] += 1
-                held.append((src, dst, elabel))
-                if sum(x) > min((d for d, _ in wanted.get(rank, ())), default=1 << 60):
-                    out += held  # larger than a pattern vertex's degree: stays whatever follows
-                    held = []
-            yield pd.DataFrame(out, columns=["src", "dst", "elabel"])
-        if held and verdict():
-            yield pd.DataFrame(held, columns=["src", "dst", "elabel"])
+            if not len(batch):
+                continue
+            src, r = batch.src.to_numpy(), batch["rank"].to_numpy()
+            starts = np.concatenate([[0], np.flatnonzero(src[1:] != src[:-1]) + 1])
+            x = np.zeros((len(starts), k), dtype=np.int64)
+            np.add.at(x, (np.repeat(np.arange(len(starts)), np.diff([*starts, len(src)])), r - 1), 1)
+            own_rank = batch.src_rank.to_numpy()[starts]
+            goes_on = src[0] == current
+            if held and not goes_on and stays(np.array([rank]), counts[None])[0]:
+                yield from held
+            if goes_on:
+                x[0] += counts
+            else:
+                held = []
+            keep = stays(own_rank, x)
+            sure = x[-1].sum() > least.get(int(own_rank[-1]), 1 << 60)
+            keep[-1] = sure  # the last source is open: only its degree can tell already
+            if goes_on and len(starts) > 1 and keep[0] or goes_on and len(starts) == 1 and sure:
+                yield from held
+            if goes_on and (len(starts) > 1 or sure):
+                held = []
+            yield batch.loc[np.repeat(keep, np.diff([*starts, len(src)])), names]
+            if len(starts) > 1:
+                held = []
+            if not sure:
+                held.append(batch.iloc[starts[-1] :][names])
+            current, counts, rank = src[-1], x[-1], int(own_rank[-1])
+        if held and stays(np.array([rank]), counts[None])[0]:
+            yield from held
 
     found = cut(dealt.mapInPandas(run, "src long, dst long, elabel string"), "sorted-pass")
     return found.join(found.select(F.col("src").alias("dst")).distinct(), "dst", "left_semi").select("src", "dst", "elabel")
@@ -79,16 +104,19 @@ def random_pass(edges: DataFrame, vertices: DataFrame, q: Pattern, batches: int
     ranks = q.ranks()
     v = vertices.where(F.col("vlabel").isin(*ranks)).select("vid", "vlabel", rank_column(F.col("vlabel"), ranks).alias("rank"))
     xs, held, state = count_columns(len(ranks)), [], None
-    part = F.pmod(F.xxhash64("src", "dst"), F.lit(batches))
+    part = F.pmod(F.xxhash64("src", "dst"), F.lit(batches)).cast("int")
+    dealt = cut(edges.select("src", "dst", part.alias("part")), "arrivals", "part")  # a batch reads its own folder
     for b in range(batches):
-        some = edges.where(part == b)
+        some = dealt.where(F.col("part") == b)
         both = some.select("src", "dst").union(some.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
         near = both.join(v.select(F.col("vid").alias("dst"), "rank"), "dst").join(v.select(F.col("vid").alias("src")), "src", "left_semi")
         counted = near.groupBy(F.col("src").alias("vid")).agg(*(F.count(F.when(F.col("rank") == j, 1)).alias(c) for j, c in enumerate(xs, 1)), F.count("*").alias("pdeg"))
         merged = counted if state is None else state.union(counted).groupBy("vid").agg(*(F.sum(c).alias(c) for c in (*xs, "pdeg")))
-        state = cut(merged, "random-pass")
+        before, state = state, cut(merged, "random-pass")
+        discard(before)
         row = state.agg(F.count("*"), F.coalesce(F.sum("pdeg"), F.lit(0))).first()
         held.append({"batch": b, "vertices": row[0], "edges": row[1] // 2})
+    discard(dealt)
     full = v.join(state, "vid", "left").select("vid", "vlabel", "rank", *(F.coalesce(c, F.lit(0)).alias(c) for c in (*xs, "pdeg")))
     return full.where(any_match(q, code_strict)).select("vid"), held
 
@@ -143,3 +171,10 @@ def windowed_counts(events: DataFrame, size: str, slide: str | None = None, late
 
 def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("window"), "user_id").agg(F.count("*").alias("n"))
+
+
+def followed_by(events: DataFrame, first: str, then: str, within: str, late: str = "1 hour") -> DataFrame:
+    """(<first>_id, <then>_id): events of one user and two types, the second at most `within` after the first. A join of two streams."""
+    of = lambda kind: events.where(F.col("event_type") == kind).select(F.col("event_id").alias(f"{kind}_id"), F.col("user_id").alias(f"{kind}_user"), F.col("ts").alias(f"{kind}_ts")).withWatermark(f"{kind}_ts", late)
+    after = (F.col(f"{then}_ts") >= F.col(f"{first}_ts")) & (F.col(f"{then}_ts") <= F.col(f"{first}_ts") + F.expr(f"interval {within}"))
+    return of(first).join(of(then), (F.col(f"{first}_user") == F.col(f"{then}_user")) & after).select(f"{first}_id", f"{then}_id")

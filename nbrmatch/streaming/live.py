@@ -9,6 +9,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..functions.codes import bump
+from ..operators.filters import count_columns, rank_column
+from ..operators.pattern import Pattern
 from ..sources.graphs import vid
 
 
@@ -47,3 +50,49 @@ def stateful_counts(edges: DataFrame, idle: str = "30 days") -> DataFrame:
 
     keyed = edges.select("dst", "ts").withWatermark("ts", idle).groupBy("dst")
     return keyed.applyInPandasWithState(update, "vid long, n long, sealed boolean", "n long", "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def live_filter(edges: DataFrame, vertices: DataFrame, q: Pattern, idle: str = "30 days") -> DataFrame:
+    """(vid, x1..xk, pdeg, keep, sealed): verdicts on vertices with a pattern label while edges (src, dst, ts) arrive.
+
+    Each vertex has state of its own: its label's rank, its neighbours by rank, and the code of these, which grows term by
+    term with each neighbour. In a stream that only adds edges a vertex that passes stays, so keep is sent at once; that
+    one doesn't pass is sent as it stands, and is final only when the watermark has passed `idle` after the vertex's last
+    edge: then it is sealed and its state goes. Edges that come later than the watermark are dropped.
+    """
+    ranks = q.ranks()
+    k, xs = len(ranks), count_columns(len(ranks))
+    wanted: dict[int, list[tuple[int, int]]] = {}
+    for u, n in q.vertices.items():
+        wanted.setdefault(ranks[n], []).append((q.pdeg(u), q.code(u)))
+    v = vertices.where(F.col("vlabel").isin(*ranks)).select("vid", rank_column(F.col("vlabel"), ranks).alias("rank"))
+    ends = F.array(F.struct(F.col("src").alias("a"), F.col("dst").alias("b")), F.struct(F.col("dst").alias("a"), F.col("src").alias("b")))
+    both = edges.select("ts", F.explode(ends).alias("e")).select("ts", "e.a", "e.b").withWatermark("ts", idle)
+    near = both.join(v.select(F.col("vid").alias("b"), F.col("rank").alias("r")), "b").join(v.select(F.col("vid").alias("a"), "rank"), "a")
+
+    def row(vid: int, rank: int, x: list[int], code: int, sealed: bool) -> pd.DataFrame:
+        n = sum(x)
+        keep = any(n > d or (n == d and code == c) for d, c in wanted.get(rank, ()))
+        return pd.DataFrame([[vid, *x, n, keep, sealed]], columns=["vid", *xs, "pdeg", "keep", "sealed"])
+
+    def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            rank, code, *x = state.get
+            state.remove()
+            yield row(key[0], rank, x, int(code), True)
+            return
+        rank, code, *x = state.get if state.exists else (0, "0", *[0] * k)
+        code, last = int(code), 0
+        for b in batches:
+            for r, n in b["r"].value_counts().items():
+                for _ in range(int(n)):
+                    if sum(x) <= q.max_degree:  # over it the degree decides, and the code isn't looked at any more
+                        code = bump(code, x, int(r))
+                    x[int(r) - 1] += 1
+            rank, last = int(b["rank"].iloc[0]), max(last, int(b["ts"].max().timestamp() * 1000))
+        state.update((rank, str(code), *x))
+        state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + 1)
+        yield row(key[0], rank, x, code, False)
+
+    counts = ", ".join(f"{c} long" for c in xs)
+    return near.select("a", "ts", "r", "rank").groupBy("a").applyInPandasWithState(update, f"vid long, {counts}, pdeg long, keep boolean, sealed boolean", f"rank int, code string, {counts}", "append", GroupStateTimeout.EventTimeTimeout)

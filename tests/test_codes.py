@@ -94,6 +94,7 @@ def test_columns(spark):
     got = df.select(
         *x, codes.ncode_column(x).alias("c"), codes.ncode_column(x, 10).alias("capped"), codes.ncode_array(F.array(*x)).alias("a"), codes.ncode_decimal(x).alias("d"),
         codes.ncode_bytes(F.array(*x)).alias("b"), codes.ncode_log(x).alias("log"), codes.packet_columns(x, 2).alias("p"), codes.bump_column(codes.ncode_column(x), x, 2).alias("bumped"),
+        codes.drop_column(codes.bump_column(codes.ncode_column(x), x, 2), [x[0], x[1] + 1, *x[2:]], 2).alias("dropped"),
         udfs.decode_column(5)(codes.ncode_column(x)).alias("v"),
     ).collect()
     for r in got:
@@ -104,6 +105,7 @@ def test_columns(spark):
         assert r["log"] == pytest.approx(codes.log_code(v), abs=1e-9)
         assert list(r["p"]) == codes.packets(v, 2)
         assert r["bumped"] == codes.bump(c, v, 2)
+        assert r["dropped"] == c
         assert list(r["v"]) == v
 
 
@@ -128,3 +130,20 @@ def test_automorphisms_and_core():
     assert len(parse("(a:X)-(b:X)").automorphisms()) == 2
     assert len(parse("(a:X)-(b:X), (b)-(c:X), (a)-(c)").automorphisms()) == 6
     assert WORKED.core() == ["u1", "u2", "u3"]
+
+
+def test_decimals_and_bytes_of_large_sums(spark):
+    rows = [[n, n // 2, 3, n, 1] for n in (0, 63, 64, 65, 1000, 10**5)]
+    df = spark.createDataFrame(rows, ", ".join(f"x{k} long" for k in range(1, 6)))
+    x = [F.col(f"x{k}") for k in range(1, 6)]
+    width = codes.bytes_width(3 * 10**5, 5)
+    for r in df.select(*x, codes.ncode_decimal(x).alias("d"), codes.ncode_bytes(F.array(*x), width).alias("b")).collect():
+        c = codes.ncode(list(r)[:5])
+        assert int(r["d"]) == int.from_bytes(r["b"], "big") == c
+
+
+def test_edge_dims(spark):
+    df = spark.createDataFrame([(1, 2, 3, 4)], "x1 long, x2 long, e1 long, e2 long")
+    x, e = [F.col("x1"), F.col("x2")], [F.col("e1"), F.col("e2")]
+    got = df.select(codes.edge_dims(x, e).alias("a"), codes.edge_dims(x, e[:1], "shared").alias("b")).first()
+    assert list(got["a"]) == [1, 2, 3, 4] and list(got["b"]) == [4, 2]
