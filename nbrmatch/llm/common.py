@@ -86,8 +86,6 @@ def spread(rows: DataFrame, per_key: DataFrame, on: list[str], total: int) -> Da
     """
     common = F.col("n") * COMMON >= total
     hot = per_key.where(common)
-    if hot.isEmpty():
-        return rows.join(per_key, on)
     cold = rows.join(F.broadcast(hot.select(*on)), on, "left_anti").join(per_key.where(~common), on)
     return cold.unionByName(rows.join(F.broadcast(hot), on))
 

@@ -195,10 +195,10 @@ def _verified(pairs: DataFrame, texts: DataFrame, percent: int, words: int) -> D
 
 
 def _blocks(members: DataFrame, bucket: list[str], payload: list[str]) -> DataFrame:
-    """Members dealt to pairs of blocks: (bucket..., qb, tb, rep, comp, side, payload); side q: asks, side t: is asked."""
-    sizes = members.groupBy(*bucket).agg(F.sum(F.col("asks").cast("int")).alias("nq"), F.count("*").alias("nt"))
+    """Members (a written table) dealt to pairs of blocks: (bucket..., qb, tb, rep, comp, side, payload); side q: asks, side t: is asked."""
+    sizes = materialise(members.groupBy(*bucket).agg(F.sum(F.col("asks").cast("int")).alias("nq"), F.count("*").alias("n")), "block-sizes")
     blocks = lambda n: F.greatest(F.ceil(F.col(n) / BLOCK), F.lit(1)).cast("int")
-    sized = members.join(sizes.select(*bucket, blocks("nq").alias("bq"), blocks("nt").alias("bt")), bucket)
+    sized = spread(members, sizes.select(*bucket, "n", blocks("nq").alias("bq"), blocks("n").alias("bt")), bucket, members.count())
     own = lambda n, salt: F.pmod(F.xxhash64(F.lit(salt), "rep"), F.col(n)).cast("int")
     asking = sized.where("asks").select(*bucket, own("bq", 1).alias("qb"), F.explode(F.sequence(F.lit(0), F.col("bt") - 1)).alias("tb"), "rep", "comp", F.lit(True).alias("q"), *payload)
     asked = sized.select(*bucket, F.explode(F.sequence(F.lit(0), F.col("bq") - 1)).alias("qb"), own("bt", 2).alias("tb"), "rep", "comp", F.lit(False).alias("q"), *payload)
@@ -325,9 +325,9 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     if not ask.isEmpty():
         signed = materialise(ask.join(classes.select("rep", "signature"), "rep"), "signed")
         marked = materialise(_marked(signed, bucket, least), "marked")
-        again = marked.join(signed.select(*bucket, "rep", "comp", "signature"), [*bucket, "rep"]).join(texts, "rep")
+        again = materialise(marked.join(signed.select(*bucket, "rep", "comp", "signature"), [*bucket, "rep"]).join(texts, "rep"), "again")
         more = materialise(_block_links(again, bucket, percent, words, least), "more-links")
-        discard(signed, marked)
+        discard(signed, marked, again)
     if more is not None and not more.isEmpty():
         found = components(links.union(more))
     # Rows with one doc_id are one node: their classes meet in it.
