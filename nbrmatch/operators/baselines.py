@@ -117,7 +117,7 @@ def tree_index(g: LabeledGraph, q: Pattern) -> TreeIndex:
     for u in reversed(line[1:]):  # bottom-up: a parent needs a child that is left
         w = parent[u]
         children = of[u].select(F.col("vid").alias(f"m_{u}"))
-        tables[w, u] = tables[w, u].join(children, f"m_{u}", "left_semi")
+        tables[w, u] = cut(tables[w, u].join(children, f"m_{u}", "left_semi"), "index")
         of[w] = of[w].join(tables[w, u].select(F.col(f"m_{w}").alias("vid")), "vid", "left_semi")
     for u in line[1:]:  # and once more down, so that the tables agree
         w = parent[u]

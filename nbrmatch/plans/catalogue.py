@@ -15,8 +15,8 @@ from ..sources import graphs
 from ..session import cut
 from ..streaming import edgepass, live
 from . import oracle as o
-from . import measures
-from .match import count, match, match_sql, register_views, same_rows
+from . import measures, workloads
+from .match import count, match, match_sql, register_views, run_set, same_rows
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -774,6 +774,124 @@ def k_shell_loss(spark, d):
     return out
 
 
+# ---- experiment workloads -------------------------------------------------------------------------------------------
+
+#: Patterns that workloads.walk() has drawn (two a size, seed 42) from each graph at sf0.01, by graph, kind and size.
+WALKED: dict[str, list[str]] = {
+    "D_sparse_3": [
+        "(u0:Brand#7)-(u1:N9), (u2:Brand#21)-(u1:N9)",
+        "(u2:Brand#24)-(u1:N6), (u0:Brand#16)-(u1:N6)",
+    ],
+    "D_sparse_4": [
+        "(u0:Brand#7)-(u1:N9), (u2:Brand#21)-(u3:N11), (u2:Brand#21)-(u1:N9)",
+        "(u2:Brand#24)-(u3:N17), (u2:Brand#24)-(u1:N6), (u0:Brand#16)-(u1:N6)",
+    ],
+    "D_dense_3": [
+        "(u2:Brand#4)-(u1:N19), (u0:Brand#7)-(u1:N19)",
+        "(u2:Brand#1)-(u1:N7), (u0:Brand#16)-(u1:N7)",
+    ],
+    "D_dense_4": [
+        "(u2:Brand#4)-(u3:N8), (u2:Brand#4)-(u1:N19), (u0:Brand#7)-(u1:N19)",
+        "(u2:Brand#1)-(u3:N16), (u2:Brand#1)-(u1:N7), (u0:Brand#16)-(u1:N7)",
+    ],
+    "Y_sparse_3": [
+        "(u1:Brand#7/2)-(u0:Brand#7/2), (u1:Brand#7/2)-(u2:Brand#18/2)",
+        "(u1:Brand#8/2)-(u2:Brand#12/0), (u1:Brand#8/2)-(u0:Brand#16/1)",
+    ],
+    "Y_sparse_5": [
+        "(u3:Brand#21/2)-(u2:Brand#18/2), (u3:Brand#21/2)-(u4:Brand#13/0), (u1:Brand#7/2)-(u0:Brand#7/2), (u1:Brand#7/2)-(u2:Brand#18/2)",
+        "(u4:Brand#16/2)-(u3:Brand#8/2), (u3:Brand#8/2)-(u2:Brand#12/0), (u1:Brand#8/2)-(u2:Brand#12/0), (u1:Brand#8/2)-(u0:Brand#16/1)",
+    ],
+    "Y_dense_3": [
+        "(u0:Brand#7/2)-(u1:Brand#16/2), (u1:Brand#16/2)-(u2:Brand#15/1)",
+        "(u2:Brand#2/0)-(u1:Brand#16/1), (u1:Brand#16/1)-(u0:Brand#16/1)",
+    ],
+    "Y_dense_5": [
+        "(u4:Brand#2/1)-(u3:Brand#18/1), (u0:Brand#7/2)-(u1:Brand#16/2), (u3:Brand#18/1)-(u2:Brand#15/1), (u1:Brand#16/2)-(u2:Brand#15/1)",
+        "(u2:Brand#2/0)-(u1:Brand#16/1), (u2:Brand#2/0)-(u3:Brand#15/1), (u1:Brand#16/1)-(u0:Brand#16/1), (u4:Brand#2/1)-(u3:Brand#15/1)",
+    ],
+    "H_sparse_3": [
+        "(u1:Brand#7/MEDIUM)-(u2:N19/AUTOMOBILE), (u1:Brand#7/MEDIUM)-(u0:N13/BUILDING)",
+        "(u1:Brand#2/LARGE)-(u2:N1/BUILDING), (u1:Brand#2/LARGE)-(u0:N2/FURNITURE)",
+    ],
+    "H_sparse_5": [
+        "(u3:Brand#1/MEDIUM)-(u2:N19/AUTOMOBILE), (u3:Brand#1/MEDIUM)-(u4:N0/MACHINERY), (u1:Brand#7/MEDIUM)-(u2:N19/AUTOMOBILE), (u1:Brand#7/MEDIUM)-(u0:N13/BUILDING)",
+        "(u3:Brand#11/SMALL)-(u2:N1/BUILDING), (u3:Brand#11/SMALL)-(u4:N13/MACHINERY), (u1:Brand#2/LARGE)-(u2:N1/BUILDING), (u1:Brand#2/LARGE)-(u0:N2/FURNITURE)",
+    ],
+    "H_dense_3": [
+        "(u1:Brand#20/PROMO)-(u0:N13/BUILDING), (u1:Brand#20/PROMO)-(u2:N23/HOUSEHOLD)",
+        "(u1:Brand#6/ECONOMY)-(u0:N2/FURNITURE), (u1:Brand#6/ECONOMY)-(u2:N6/MACHINERY)",
+    ],
+    "H_dense_5": [
+        "(u3:Brand#2/STANDARD)-(u4:N16/AUTOMOBILE), (u3:Brand#2/STANDARD)-(u2:N23/HOUSEHOLD), (u1:Brand#20/PROMO)-(u0:N13/BUILDING), (u1:Brand#20/PROMO)-(u2:N23/HOUSEHOLD)",
+        "(u3:Brand#2/SMALL)-(u4:N9/HOUSEHOLD), (u3:Brand#2/SMALL)-(u2:N6/MACHINERY), (u1:Brand#6/ECONOMY)-(u0:N2/FURNITURE), (u1:Brand#6/ECONOMY)-(u2:N6/MACHINERY)",
+    ],
+}
+
+
+def walked(name: str, kind: str) -> dict[str, Pattern]:
+    """The drawn patterns of a graph and kind: size/number to pattern."""
+    found = {}
+    for key, texts in WALKED.items():
+        g, k, size = key.split("_")
+        if (g, k) == (name, kind):
+            found |= {f"{size}/{n}": parse(t) for n, t in enumerate(texts)}
+    return found
+
+
+def _walked_sql(name: str, kind: str) -> str:
+    each = [f"SELECT {o.text(key)} AS pattern, n AS codes, n AS nlf, n AS tree_index FROM ({o.embeddings(name, q, 'count(*) AS n')})" for key, q in walked(name, kind).items()]
+    return " UNION ALL ".join(each)
+
+
+for _n, _full in (("D", "dense"), ("Y", "fewlabel"), ("H", "manylabel")):
+    for _k in ("sparse", "dense"):
+        query(_walked_sql(_n, _k), f"w_{_k}_{_full}")(lambda spark, d, n=_n, k=_k: workloads.fixed_set(view(spark, d, n), walked(n, k)))
+
+
+def _pruning_sql() -> str:
+    kinds, parts = ("label", "degree", "mnd", "nlf", "mnd_nlf", "lemma", "strict"), []
+    for q in walked("Y", "sparse").values():
+        base = o.with_(o.graph("Y"), o.pruned(q), o.counts(q), o.mnd())
+        parts += [f"SELECT * FROM ({base} SELECT '{k}' AS filter, count(*) AS pairs, count(DISTINCT vid) AS vertices FROM ({o.candidates(q, k, 'm')}))" for k in kinds]
+        peel_ = o.with_(o.graph("Y"), o.pruned(q), o.peel(q, 9))
+        parts.append(f"SELECT * FROM ({peel_} SELECT 'peel' AS filter, NULL AS pairs, count(*) AS vertices FROM k8)")
+    return f"SELECT filter, sum(pairs)::BIGINT AS pairs, sum(vertices)::BIGINT AS vertices FROM ({' UNION ALL '.join(parts)}) GROUP BY 1"
+
+
+@query(_pruning_sql())
+def w_pruning_fewlabel(spark, d):
+    """What each filter leaves, one shot, and what peeling leaves, summed over the sparse patterns of Y."""
+    return workloads.pruning(view(spark, d, "Y"), list(walked("Y", "sparse").values()))
+
+
+@query()
+def w_memory(spark, d):
+    """Bytes written by the own method and by the tree index, and by index tables alone, for the sparse patterns of each graph."""
+    rows = []
+    for name in "DYH":
+        g = view(spark, d, name)
+        for key, q in walked(name, "sparse").items():
+            if key.endswith("/0"):
+                for r in measures.stored(spark, g, q).collect():
+                    rows.append((name, int(key.split("/")[0]), r["engine"], r["vertices"], r["edge_rows"], r["bytes"]))
+    return spark.createDataFrame(rows, "graph string, size int, engine string, vertices long, edge_rows long, bytes long")
+
+
+@query()
+def w_random_pass_held(spark, d):
+    """Edges and vertices that a random-arrival pass holds at its end, by pattern size."""
+    g = view(spark, d, "T")
+    rows = [(len(q.vertices), e["vertices"], e["edges"]) for q in (EDGE, PATH3, TAILED) for e in edgepass.random_pass(g.edges, g.vertices, q)[1][-1:]]
+    return spark.createDataFrame(rows, "size int, vertices long, edges long")
+
+
+@query(" UNION ALL ".join(f"SELECT '{n}' AS pattern_id, (SELECT count(*) FROM ({o.embeddings('T', q)})) AS n" for n, q in (("edge", EDGE), ("path3", PATH3), ("triangle", TRIANGLE))))
+def m_run_set(spark, d):
+    """Several patterns over one graph that is read once."""
+    return run_set(view(spark, d, "T"), {"edge": EDGE, "path3": PATH3, "triangle": TRIANGLE}).select("pattern_id", "n")
+
+
 def queries() -> dict[str, Query]:
     return {n: f for n, (f, _) in _REGISTERED.items()}
 

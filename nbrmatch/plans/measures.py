@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from ..operators import baselines, filters, fixpoint
 from ..operators.graph import LabeledGraph
 from ..operators.pattern import Pattern
+from ..session import written_bytes
 
 
 def round_log(spark: SparkSession, p: fixpoint.Peeled) -> DataFrame:
@@ -68,14 +69,18 @@ def digits(coded: DataFrame) -> DataFrame:
     return coded.groupBy(F.length(F.col("code").cast("string")).cast("long").alias("digits")).agg(F.count("*").alias("n"))
 
 
+def stored_bytes(tables: list[DataFrame]) -> int:
+    """Bytes of the files that cut() wrote for these tables."""
+    return sum(written_bytes(t) for t in tables if t.__dict__.get("_written"))
+
+
 def stored(spark: SparkSession, g: LabeledGraph, q: Pattern) -> DataFrame:
-    """(engine, vertices, edge_rows, bytes): what the peeled graph and the tree index keep; 8 bytes an id, 16 a pair."""
+    """(engine, vertices, edge_rows, bytes): what the peeled graph and the tree index keep for the search, as written to files."""
     p = fixpoint.peel(filters.start(g, q), q)
-    v, e = p.state.count(), p.adj.count() // 2
     index = baselines.tree_index(g, q)
     rows = index.rows().agg(F.sum("n")).first()[0] or 0
-    cand = index.cand.count()
-    return spark.createDataFrame([("peeled", v, e, 8 * v + 16 * e), ("tree_index", cand, rows, 8 * cand + 16 * rows)], "engine string, vertices long, edge_rows long, bytes long")
+    own = ("peeled", p.state.count(), p.adj.count() // 2, stored_bytes([p.state, p.adj]))
+    return spark.createDataFrame([own, ("tree_index", index.cand.count(), rows, stored_bytes([index.cand, *index.tables.values()]))], "engine string, vertices long, edge_rows long, bytes long")
 
 
 def comparisons(q: Pattern, vertices: int, width: int | None = None) -> dict[str, int]:

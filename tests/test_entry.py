@@ -37,7 +37,7 @@ SAMPLE = [
     "g_summary_trade", "g_doc_shared_lines", "g_doc_line_members", "g_vector_similarity", "c_code_full", "c_code_directed", "c_code_decimal", "c_code_bytes", "c_code_edge_aware", "c_code_edge_dims",
     "f_code_strict", "f_code_log", "f_packets_auto", "f_full_degree", "f_nested_balls", "f_shell_degree", "f_shell_packed", "f_directed", "peel_round_log", "peel_edge_aware", "peel_directed",
     "m_tailed", "m_directed_path", "m_disconnected_count", "m_order_min_edge_card", "b_tree_index_match", "b_agreement", "s_sorted_pass_kept", "s_random_pass_kept", "s_live_counts", "s_live_filter",
-    "s_join_static", "s_join_streams", "x_order_containment", "x_conversation_codes", "x_lookup", "x_digest_collisions", "k_filter_precision", "r_join_asof", "r_agg_cube",
+    "s_join_static", "s_join_streams", "x_order_containment", "x_conversation_codes", "x_lookup", "x_digest_collisions", "w_sparse_fewlabel", "m_run_set", "k_filter_precision", "r_join_asof", "r_agg_cube",
 ]
 
 

@@ -298,7 +298,7 @@ def test_walk_patterns_occur(spark):
     g = in_memory(spark, list(labels.items()), edges)
     for kind in ("sparse", "dense"):
         for q in workloads.walk(g, 3, kind, n=2):
-            assert len(q.vertices) == 3 and q.connected
+            assert len(q.vertices) == 3 and q.connected and parse(workloads.as_text(q)).code("u0") == q.code("u0")
             assert not m.match(g, q).embeddings.isEmpty()
 
 
