@@ -9,6 +9,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -178,6 +179,26 @@ def code_log(slack: float = 1e-9) -> Test:
     return test
 
 
+# ---- the tests that peeling uses, over arrays: (pattern, pattern vertex, rank of its label, columns by name) to a mask -----
+
+
+def _plain_strict(q: Pattern, u: str, rank: int, f: dict[str, np.ndarray]) -> np.ndarray:
+    same = f["pdeg"] == q.pdeg(u)
+    for c, n in zip(count_columns(len(q.labels)), q.vector(u), strict=True):
+        same = same & (f[c] == n)
+    return (f["rank"] == rank) & ((f["pdeg"] > q.pdeg(u)) | same)
+
+
+def _plain_nlf(q: Pattern, u: str, rank: int, f: dict[str, np.ndarray]) -> np.ndarray:
+    out = f["rank"] == rank
+    for c, n in zip(count_columns(len(q.labels)), q.vector(u), strict=True):
+        out = out & (f[c] >= n)
+    return out
+
+
+code_strict.plain, nlf.plain = _plain_strict, _plain_nlf
+
+
 def code_packets(width: int | None = None) -> Test:
     """Each packet of `width` labels passes the strict test: width 1 is nlf, the full width code_strict.
 
@@ -282,6 +303,19 @@ def edge_aware(elabels: list[str], directed: bool = False, packed: bool = False)
             more = more & (sum(columns[1][1:], columns[1][0]) >= sum(into)) & (sum(columns[2][1:], columns[2][0]) >= sum(out))
         return label(q, u) & (more | ((F.col("pdeg") == q.pdeg(u)) & same))
 
+    def plain(q: Pattern, u: str, rank: int, f: dict[str, np.ndarray]) -> np.ndarray:
+        every, into, out = edge_vectors(q, u, elabels)
+        wants = {"x": q.vector(u)} | ({"i": into, "o": out} if directed else {"e": every})
+        same, more = f["pdeg"] == q.pdeg(u), f["pdeg"] > q.pdeg(u)
+        for kind, want in wants.items():
+            columns = [f[c] for c in count_columns(len(want), kind)]
+            for c, n in zip(columns, want, strict=True):
+                same = same & (c == n)
+            if kind in "io":
+                more = more & (sum(columns) >= sum(want))
+        return (f["rank"] == rank) & (more | same)
+
+    test.plain = plain
     return test
 
 

@@ -5,6 +5,9 @@ whole rounds are set operations. There are two kinds of rounds. One that removes
 that removes few reads and writes only what it touches: state and adjacency lie in folders by a hash of the vertex, and
 such a round reads the folders of removed vertices (adjacency) and of their neighbours (state), and notes the touched
 vertices' new rows in a small table beside the state. These notes are merged into one table now and then.
+
+A label-pruned graph of at most SMALL_ROWS vertices and adjacency rows (both are counted first) needs no rounds of jobs:
+`auto` runs the same rounds over arrays on the driver, with the same result and log.
 """
 
 from __future__ import annotations
@@ -12,11 +15,13 @@ from __future__ import annotations
 from dataclasses import dataclass
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import SMALL_ROWS, cut, discard
-from .filters import Start, Test, any_match, candidates, code_strict, count_tests, label, one_hop
+from .filters import Start, Test, any_match, candidates, code_strict, count_columns, count_tests, label, one_hop
 from .pattern import Pattern
 
 #: Rows of a folder of state or adjacency, about, and the most folders there are.
@@ -35,6 +40,7 @@ class Peeled:
     adj: DataFrame
     log: list[dict]
     start: Start
+    engine: str = "frontier"
 
 
 def _by_degree(q: Pattern):
@@ -59,8 +65,9 @@ def _ids(df: DataFrame, n: int) -> DataFrame:
     return F.broadcast(df) if n <= SMALL_ROWS else df
 
 
-def peel(s: Start, q: Pattern, test: Test = code_strict, max_rounds: int | None = None, engine: str = "frontier", elabels: list[str] | None = None) -> Peeled:
-    """engine: frontier looks at touched vertices, full at all of them in every round. Stopping early is sound.
+def peel(s: Start, q: Pattern, test: Test = code_strict, max_rounds: int | None = None, engine: str = "auto", elabels: list[str] | None = None) -> Peeled:
+    """engine: frontier looks at touched vertices, full at all of them in every round; auto is arrays where the graph is
+    small, else frontier. Peeled.engine says which ran. Stopping early is sound.
 
     test must depend on label, counts and pdeg alone. elabels: edge labels that are counted too (filters.edge_aware).
     """
@@ -68,6 +75,10 @@ def peel(s: Start, q: Pattern, test: Test = code_strict, max_rounds: int | None
     rows = ["vid", "vlabel", "rank", *counted, "pdeg"]
     adj = cut(s.adj, "adj")
     s = Start(s.vertices, adj, s.ranks, s.directed, s.simple)
+    if engine == "auto":
+        if hasattr(test, "plain") and adj.count() <= SMALL_ROWS and s.vertices.limit(SMALL_ROWS + 1).count() <= SMALL_ROWS:
+            return _in_arrays(s, q, test, max_rounds, elabels)
+        engine = "frontier"
     state = cut(one_hop(s, elabels).select(*rows).withColumn("touched", F.lit(True)), "state")
     log: list[dict] = []
     foldered: tuple[DataFrame, DataFrame, int] | None = None  # state and adjacency in folders, and how many
@@ -118,7 +129,49 @@ def peel(s: Start, q: Pattern, test: Test = code_strict, max_rounds: int | None
     kept = state.select(*rows) if not foldered else cut(_current(foldered[0], notes, rows), "state")
     if foldered:
         discard(*foldered[:2], *notes)
-    return Peeled(kept, cut(restricted_adj(adj, kept, left), "kept-adj") if log else adj, log, s)
+    return Peeled(kept, cut(restricted_adj(adj, kept, left), "kept-adj") if log else adj, log, s, engine)
+
+
+def _in_arrays(s: Start, q: Pattern, test: Test, max_rounds: int | None, elabels: list[str] | None) -> Peeled:
+    """peel() over arrays, for graphs whose size has been checked."""
+    spark = s.adj.sparkSession
+    vertices, adj = s.vertices.select("vid", "vlabel", "rank").orderBy("vid").toArrow(), s.adj.toArrow()
+    vid, rank = (vertices[c].to_numpy() for c in ("vid", "rank"))
+    src, dst = (np.searchsorted(vid, adj[c].to_numpy()) for c in ("src", "dst"))
+    near, labels, dirs = adj["rank"].to_numpy(), np.array(adj["elabel"].to_pylist(), dtype=object), np.array(adj["dir"].to_pylist(), dtype=object)
+    kinds: dict[str, np.ndarray] = {c: near == j for j, c in enumerate(count_columns(len(s.ranks)), 1)}
+    for j, e in enumerate(elabels or [], 1):
+        kinds[f"e{j}"] = labels == e
+        if s.directed:
+            kinds |= {f"{d}{j}": (labels == e) & (dirs == d.upper()) for d in ("i", "o")}
+    counted = lambda at: {c: np.bincount(src[at & k], minlength=len(vid)) for c, k in (*kinds.items(), ("pdeg", np.ones(len(src), dtype=bool)))}
+    f = {"rank": rank} | counted(np.ones(len(src), dtype=bool))
+    alive, touched, log = np.ones(len(vid), dtype=bool), np.ones(len(vid), dtype=bool), []
+    while max_rounds is None or len(log) < max_rounds:
+        see, passes, degree = alive & touched, np.zeros(len(vid), dtype=bool), np.zeros(len(vid), dtype=bool)
+        for u, name in q.vertices.items():
+            passes |= test.plain(q, u, s.ranks[name], f)
+            degree |= (rank == s.ranks[name]) & (f["pdeg"] >= q.pdeg(u))
+        gone = see & ~passes
+        n, by_degree = int(gone.sum()), int((gone & ~degree).sum())
+        if not n:
+            break
+        log.append({"round": len(log) + 1, "checked": int(see.sum()), "removed": n, "by_degree": by_degree, "by_code": n - by_degree})
+        alive &= ~gone
+        lost = gone[dst]
+        for c, less in counted(lost).items():
+            f[c] = f[c] - less
+        touched = np.zeros(len(vid), dtype=bool)
+        touched[src[lost]] = True
+    state = vertices.filter(pa.array(alive))
+    for c in (*kinds, "pdeg"):
+        state = state.append_column(c, pa.array(f[c][alive].astype(np.int64)))
+    schema = s.vertices.select("vid", "vlabel", "rank").schema
+    for c in (*kinds, "pdeg"):
+        schema = schema.add(c, "long")
+    left = adj.filter(pa.array(alive[src] & alive[dst])) if log else None
+    kept = cut(spark.createDataFrame(state, schema=schema), "state")
+    return Peeled(kept, s.adj if left is None else cut(spark.createDataFrame(left, schema=s.adj.schema), "kept-adj"), log, s, "arrays")
 
 
 def _losses(counted: dict[str, Column]) -> list[Column]:

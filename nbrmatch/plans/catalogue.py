@@ -434,8 +434,8 @@ def f_directed(spark, d):
 # ---- peeling --------------------------------------------------------------------------------------------------------
 
 
-def peeled(spark, d, q: Pattern, name: str = "T", **options) -> fixpoint.Peeled:
-    return fixpoint.peel(filters.start(view(spark, d, name), q), q, **options)
+def peeled(spark, d, q: Pattern, name: str = "T", engine: str = "frontier", **options) -> fixpoint.Peeled:
+    return fixpoint.peel(filters.start(view(spark, d, name), q), q, engine=engine, **options)
 
 
 def _peel_sql(q: Pattern, rounds: int, kind: str = "strict") -> str:
@@ -446,6 +446,7 @@ query(_peel_sql(TAILED, 1) + "SELECT vid, vlabel FROM k0", "peel_round1")(lambda
 query(_peel_sql(TRIANGLE, 4) + "SELECT vid, vlabel FROM k3", "peel_fixpoint_tri")(lambda spark, d: peeled(spark, d, TRIANGLE).state.select("vid", "vlabel"))
 query(_peel_sql(TAILED, 5) + "SELECT vid, vlabel FROM k4", "peel_fixpoint_tailed")(lambda spark, d: peeled(spark, d, TAILED).state.select("vid", "vlabel"))
 query(_peel_sql(TAILED, 5) + "SELECT vid, vlabel FROM k4", "peel_full_rescan")(lambda spark, d: peeled(spark, d, TAILED, engine="full").state.select("vid", "vlabel"))
+query(_peel_sql(TAILED, 5) + "SELECT vid, vlabel FROM k4", "peel_auto")(lambda spark, d: peeled(spark, d, TAILED, engine="auto").state.select("vid", "vlabel"))
 query(_peel_sql(TAILED, 5, "nlf") + "SELECT vid, vlabel FROM k4", "peel_nlf")(lambda spark, d: peeled(spark, d, TAILED, test=filters.nlf).state.select("vid", "vlabel"))
 query(_peel_sql(TAILED, 5) + "SELECT vlabel, count(*) AS n FROM k4 GROUP BY 1", "peel_kept_by_label")(lambda spark, d: peeled(spark, d, TAILED).state.groupBy("vlabel").agg(F.count("*").alias("n")))
 
@@ -855,7 +856,7 @@ def _pruning_sql() -> str:
         base = o.with_(o.graph("Y"), o.pruned(q), o.counts(q), o.mnd())
         parts += [f"SELECT * FROM ({base} SELECT '{k}' AS filter, count(*) AS pairs, count(DISTINCT vid) AS vertices FROM ({o.candidates(q, k, 'm')}))" for k in kinds]
         peel_ = o.with_(o.graph("Y"), o.pruned(q), o.peel(q, 9))
-        parts.append(f"SELECT * FROM ({peel_} SELECT 'peel' AS filter, NULL AS pairs, count(*) AS vertices FROM k8)")
+        parts.append(f"SELECT * FROM ({peel_} SELECT 'peel' AS filter, count(*) AS pairs, count(DISTINCT vid) AS vertices FROM ({o.candidates(q, 'strict', 'f8')}))")
     return f"SELECT filter, sum(pairs)::BIGINT AS pairs, sum(vertices)::BIGINT AS vertices FROM ({' UNION ALL '.join(parts)}) GROUP BY 1"
 
 

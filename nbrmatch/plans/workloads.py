@@ -137,15 +137,16 @@ def speed_up(results: DataFrame, base: str = "tree_index") -> DataFrame:
 
 def pruning(g: LabeledGraph, patterns: list[Pattern]) -> DataFrame:
     """(filter, pairs, vertices) summed over patterns, one-shot, and what peeling leaves (peel)."""
-    spark, total, kept = g.edges.sparkSession, None, 0
+    spark, total, kept, pairs = g.edges.sparkSession, None, 0, 0
     for q in patterns:
         s = filters.start(g, q)
         s = filters.Start(s.vertices, cut(s.adj, "adj"), s.ranks, s.directed, s.simple)
         one = measures.pairs_per_filter(filters.with_mnd(filters.one_hop(s), s), q)
         total = one if total is None else total.union(one)
-        kept += fixpoint.peel(s, q).state.count()
+        p = fixpoint.peel(s, q)
+        kept, pairs = kept + p.state.count(), pairs + fixpoint.candidate_sets(p, q).count()
     summed = total.groupBy("filter").agg(F.sum("pairs").alias("pairs"), F.sum("vertices").alias("vertices"))
-    return summed.union(spark.createDataFrame([("peel", None, kept)], "filter string, pairs long, vertices long"))
+    return summed.union(spark.createDataFrame([("peel", pairs, kept)], "filter string, pairs long, vertices long"))
 
 
 def small_enough(df: DataFrame, most: int = SMALL_ROWS) -> bool:

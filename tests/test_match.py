@@ -48,10 +48,11 @@ def test_codes_after_the_label_stage(traced):
     assert got == {2: (5, 120), 3: (3, 24), 4: (2, 8), 5: (0, 0), 6: (2, 12), 7: (3, 29), 8: (4, 52), 9: (4, 49), 10: (3, 34), 11: (3, 28), 13: (2, 13), 14: (0, 0), 15: (4, 59), 16: (3, 20)}
 
 
-@pytest.mark.parametrize("engine", ["frontier", "full"])
+@pytest.mark.parametrize("engine", ["frontier", "full", "auto"])
 def test_four_rounds(traced, engine):
     p = fixpoint.peel(filters.start(traced, WORKED, triples=False), WORKED, engine=engine)
     assert [(x["removed"], x["by_degree"], x["by_code"]) for x in p.log] == [(4, 2, 2), (1, 0, 1), (1, 0, 1), (2, 0, 2)]
+    assert p.engine == ("arrays" if engine == "auto" else engine)
     assert sorted(r["vid"] for r in p.state.collect()) == [2, 6, 9, 11, 15, 16]
 
 
@@ -66,7 +67,9 @@ def test_rounds_that_touch_few_folders_only(spark, monkeypatch, folders):
     ring_ = [(100 + k, "ABC"[k % 3]) for k in range(60)]
     g = in_memory(spark, chain + ring_, [(k, k + 1) for k in range(n - 1)] + [(100 + k, 100 + (k + 1) % 60) for k in range(60)])
     q = parse("(a:A)-(b:B)-(c:C)-(a)")
-    p = fixpoint.peel(filters.start(g, q), q, max_rounds=9)
+    p = fixpoint.peel(filters.start(g, q), q, max_rounds=9, engine="frontier")
+    same = fixpoint.peel(filters.start(g, q), q, max_rounds=9)
+    assert same.engine == "arrays" and same.log == p.log and rows(same.state) == rows(p.state)
     assert [(x["removed"], x["checked"] <= 4 or x["round"] == 1) for x in p.log] == [(2, True)] * 9
     assert {r["vid"] for r in p.state.collect()} == {*range(9, n - 9), *range(100, 160)}
     assert {r["vid"]: r["pdeg"] for r in p.state.collect()}[9] == 1
@@ -87,7 +90,8 @@ def test_edge_labels_peel_vertices_that_plain_codes_keep(spark):
     q = parse("(a:A)-[x]-(b:B)-[y]-(c:C)")
     test, names = filters.code_for(q)
     s = filters.start(g, q, triples=False)
-    assert sorted(r["vid"] for r in fixpoint.peel(s, q, test, elabels=names).state.collect()) == [1, 2, 3]
+    for engine in ("auto", "frontier"):
+        assert sorted(r["vid"] for r in fixpoint.peel(s, q, test, elabels=names, engine=engine).state.collect()) == [1, 2, 3]
     assert len(fixpoint.peel(s, q).state.collect()) == 6
     assert rows(m.match(g, q).embeddings) == [(1, 2, 3)]
 
@@ -119,7 +123,8 @@ def test_plans_of_searches_are_short(spark):
 
 
 def test_label_frequency_rounds(traced):
-    p = fixpoint.peel(filters.start(traced, WORKED, triples=False), WORKED, filters.nlf)
+    p = fixpoint.peel(filters.start(traced, WORKED, triples=False), WORKED, filters.nlf, engine="frontier")
+    assert fixpoint.peel(filters.start(traced, WORKED, triples=False), WORKED, filters.nlf).log == p.log
     assert [x["removed"] for x in p.log] == [6, 2]
     assert sorted(r["vid"] for r in p.state.collect()) == [2, 6, 9, 11, 15, 16]
 
@@ -142,6 +147,20 @@ def random_case(seed):
     return labels, edges, q
 
 
+@pytest.mark.parametrize("directed", [False, True])
+def test_arrays_peel_as_rounds_of_jobs_do(spark, directed):
+    rng = random.Random(7)
+    labels = [(v, rng.choice("ABC")) for v in range(40)]
+    edges = [(a, b, rng.choice("xy")) for a in range(40) for b in range(40) if (a != b if directed else a < b) and rng.random() < 0.06]
+    g = in_memory(spark, labels, edges, directed=directed)
+    q = Pattern({"a": "A", "b": "B", "c": "C", "d": "A"}, (("a", "b", "x"), ("b", "c", "y"), ("c", "d", "x")), directed)
+    test, names = filters.code_for(q)
+    s = filters.start(g, q)
+    one, two = (fixpoint.peel(s, q, test, engine=e, elabels=names) for e in ("auto", "frontier"))
+    assert one.log == two.log and rows(one.state) == rows(two.state) and one.state.columns == two.state.columns
+    assert sorted(map(str, one.adj.collect())) == sorted(map(str, two.adj.collect()))
+
+
 @pytest.mark.parametrize("seed", range(4))
 def test_all_matchers_agree_on_random_graphs(spark, seed):
     labels, edges, q = random_case(seed)
