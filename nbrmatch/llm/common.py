@@ -81,13 +81,16 @@ COMMON = 2048
 def spread(rows: DataFrame, per_key: DataFrame, on: list[str], total: int) -> DataFrame:
     """rows joined with per_key (on, n, ...), whose n counts the rows of each key among `total` rows; both written tables.
 
-    Keys with a share of 1 in COMMON or more would each fall to one task; there are COMMON of them at most, so their part
-    of per_key is broadcast and their rows stay where they are. The rest is an ordinary join.
+    Keys with a share of 1 in COMMON or more would each fall to one task. There are COMMON of them at most, so hashes of
+    them go into the plan, their part of per_key is broadcast and their rows stay where they are. The rest is an ordinary
+    join. A key that shares the hash of a common one is treated as it is, on both sides alike.
     """
-    common = F.col("n") * COMMON >= total
-    hot = per_key.where(common)
-    cold = rows.join(F.broadcast(hot.select(*on)), on, "left_anti").join(per_key.where(~common), on)
-    return cold.unionByName(rows.join(F.broadcast(hot), on))
+    key = F.xxhash64(*on)
+    hashes = [r[0] for r in per_key.where(F.col("n") * COMMON >= total).select(key).collect()]
+    if not hashes:
+        return rows.join(per_key, on)
+    common = key.isin(hashes)
+    return rows.where(~common).join(per_key.where(~common), on).unionByName(rows.where(common).join(F.broadcast(per_key.where(common)), on))
 
 
 def held_out(doc_id: str = "doc_id") -> Column:
