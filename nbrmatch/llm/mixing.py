@@ -155,7 +155,7 @@ def solve(members: DataFrame, targets: np.ndarray, least: float = 0.0, rounds: i
     by the domains' k x k curvature. While no rate meets its bound one step is exact; a step that makes the error larger
     is taken back and halved, and after one that helps the next is half as long again. Where that gains nothing more, plain steps (by the largest curvature alone) go on; where
     these gain nothing more either, the bounds keep the targets out of reach and what is left is the least squares
-    residual. Rounds that run out before are an error.
+    residual. Rounds that run out before are an error, unless what is left is small (20 times the tolerance).
     """
     k = len(targets)
     now, matrix = moments(members, k)
@@ -180,6 +180,8 @@ def solve(members: DataFrame, targets: np.ndarray, least: float = 0.0, rounds: i
             now, gradients, step = got, tried, step * (1.5 if len(ways) == 1 else 1.0)
         else:
             step /= 2
+    if np.abs(now - targets).max() <= 20 * tolerance * total:
+        return gradients, now
     raise RuntimeError(f"rates didn't settle in {rounds} rounds: {now.tolist()} for {targets.tolist()}")
 
 
