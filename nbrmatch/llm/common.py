@@ -35,11 +35,11 @@ def shared_dir(spark: SparkSession) -> str:
     return f"{found.rstrip('/')}/{spark.sparkContext.applicationId}"
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
+def materialise(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """Write df to the shared folder and read it back: lineage is cut and a lost executor costs nothing."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", compression).parquet(path)
     found = spark.read.schema(df.schema).parquet(path)
     found._written = path
     return found
@@ -124,14 +124,36 @@ def worker_cache(key: object, make):
 
 
 def release(key: object = None) -> None:
-    """Drop what other operators have left in this Python worker: all but the values whose key has the same first part."""
+    """Drop what other operators have left in this Python worker: all but the values whose key has the same first part.
+
+    What that frees goes back to the system, once for each change of operator: a worker lives on from stage to stage.
+    """
     import sys
+    import types
 
-    module = sys.modules.get("_nbrmatch_worker")
+    kept = sys.modules.setdefault("_nbrmatch_worker", types.ModuleType("_nbrmatch_worker")).__dict__
     family = lambda k: k[0] if isinstance(k, tuple) else k
-    for k in list(module.__dict__) if module else ():
-        if not (isinstance(k, str) and k.startswith("__")) and (key is None or family(k) != family(key)):
-            del module.__dict__[k]
+    own = family(key)
+    for k in list(kept):
+        if not (isinstance(k, str) and k.startswith("__")) and (key is None or family(k) != own):
+            del kept[k]
+    if kept.get("__owner__", "") != own:
+        kept["__owner__"] = own
+        _trim()
+
+
+def _trim() -> None:
+    import ctypes
+    import gc
+
+    import pyarrow
+
+    gc.collect()
+    pyarrow.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
 
 
 def without_gc(run):

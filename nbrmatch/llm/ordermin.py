@@ -157,7 +157,7 @@ def edit_check(docs: DataFrame) -> DataFrame:
     own = docs.select(F.col("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), F.monotonically_increasing_id().alias("row"))
     down = F.when(F.col("doc_id").isNull(), "1").otherwise("0")
     key = F.concat(down, _ordered(F.bitwise_not(F.coalesce(F.col("doc_id").cast("long"), F.lit(0)))), _ordered(F.xxhash64("text")), _ordered(F.col("row")))
-    printed = materialise(with_fingerprint(own.select("doc_id", "text", key.alias("key")), "text", "fp"), "printed")
+    printed = materialise(with_fingerprint(own.select("doc_id", "text", key.alias("key")), "text", "fp"), "printed", "zstd")
     n = F.char_length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substr("text", F.lit(1), n - half), F.substr("next_text", F.lit(1), half))
