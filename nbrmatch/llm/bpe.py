@@ -224,10 +224,10 @@ class Transducer:
         return out
 
 
-def coder(ranks: bytes, pattern: str) -> Transducer:
-    """The worker's own transducer: tasks that follow in the same Python worker share its states and words."""
-    key = ("bpe", hashlib.sha256(ranks).digest(), pattern)
-    return worker_cache(key, lambda: Transducer(parse_ranks(ranks), pattern))
+def coder(ranks: bytes, pattern: str, **bounds: int) -> Transducer:
+    """The worker's own transducer: tasks that follow in the same Python worker share its states and words. bounds: Transducer's."""
+    key = ("bpe", hashlib.sha256(ranks).digest(), pattern, *sorted(bounds.items()))
+    return worker_cache(key, lambda: Transducer(parse_ranks(ranks), pattern, **bounds))
 
 
 #: Fixed values of UTF-8. By lead byte: (continuation bytes that follow, least and greatest value of the first of them).
@@ -337,13 +337,16 @@ def decode(df: DataFrame, ranks: bytes, ids: str = "ids", out: str = "decoded")
     return df.mapInArrow(without_gc(run), schema)
 
 
-def checked(df: DataFrame, ranks: bytes, pattern: str, text: str = "text") -> DataFrame:
-    """df with columns `ids` and `round_trip`: whether streaming decode of the ids gives the text. Null texts: no ids, true."""
+def checked(df: DataFrame, ranks: bytes, pattern: str, text: str = "text", **bounds: int) -> DataFrame:
+    """df with columns `ids` and `round_trip`: whether streaming decode of the ids gives the text. Null texts: no ids, true.
+
+    bounds: of the transducer's memo tables (max_states, max_words, max_chunks); they bound memory and change no result.
+    """
     keep = [c for c in df.columns if c not in ("ids", "round_trip")]
     schema = _with(df.select(*keep), "ids array<int>", "round_trip boolean")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = coder(ranks, pattern)
+        own = coder(ranks, pattern, **bounds)
         for batch in batches:
             ids, same = [], []
             for t in batch.column(text).to_pylist():
