@@ -32,10 +32,10 @@ def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def byte_bpe(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of each text, and whether they decode to it."""
+    """Token ids of each text, and whether they decode to it. The last stage of a long job: its memo tables are kept small."""
     import public_tokenizers
 
-    return bpe.checked(docs, bpe.load_ranks(public_tokenizers.path(BPE_FILE)), public_tokenizers.PATTERN)
+    return bpe.checked(docs, bpe.load_ranks(public_tokenizers.path(BPE_FILE)), public_tokenizers.PATTERN, max_states=40_000, max_words=100_000, max_chunks=30_000)
 
 
 STAGES = [("line_quality", line_quality), ("near_duplicates", near_duplicates), ("repeated_lines", repeated_lines), ("source_mix", source_mix), ("byte_bpe", byte_bpe)]
