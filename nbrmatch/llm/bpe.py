@@ -297,6 +297,17 @@ def decode_stream(ids: Iterable[int], text: dict[int, bytes], block: int = 4096)
         yield b"", rest
 
 
+#: Rows whose ids are held at once.
+SLICE = 512
+
+
+def sliced(batches: Iterator[pa.RecordBatch], rows: int = SLICE) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of `rows` at most; an empty batch stays one."""
+    for batch in batches:
+        for k in range(0, max(1, batch.num_rows), rows):
+            yield batch.slice(k, rows)
+
+
 def encode(df: DataFrame, ranks: bytes, pattern: str, text: str = "text", out: str = "ids") -> DataFrame:
     """Add the token ids of each whole text; a null or empty text has none. Narrow: no shuffle, rows stay in place.
 
@@ -308,7 +319,7 @@ def encode(df: DataFrame, ranks: bytes, pattern: str, text: str = "text", out: s
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = coder(ranks, pattern).encode
-        for batch in batches:
+        for batch in sliced(batches):
             ids = [np.array(encode(t), dtype=np.int32) if t else np.empty(0, np.int32) for t in batch.column(text).to_pylist()]
             ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
             flat = np.concatenate(ids) if ids else np.empty(0, np.int32)
@@ -341,13 +352,14 @@ def checked(df: DataFrame, ranks: bytes, pattern: str, text: str = "text", **bou
     """df with columns `ids` and `round_trip`: whether streaming decode of the ids gives the text. Null texts: no ids, true.
 
     bounds: of the transducer's memo tables (max_states, max_words, max_chunks); they bound memory and change no result.
+    Rows go out in parts of SLICE, so that the ids of a whole batch are never held at once.
     """
     keep = [c for c in df.columns if c not in ("ids", "round_trip")]
     schema = _with(df.select(*keep), "ids array<int>", "round_trip boolean")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = coder(ranks, pattern, **bounds)
-        for batch in batches:
+        for batch in sliced(batches):
             ids, same = [], []
             for t in batch.column(text).to_pylist():
                 found = own.encode(t) if t else []
