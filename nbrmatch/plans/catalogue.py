@@ -599,13 +599,14 @@ def s_window_sliding(spark, d):
     s AS (SELECT user_id, us, sum(fresh) OVER (PARTITION BY user_id ORDER BY us ROWS UNBOUNDED PRECEDING) AS k FROM g)
     SELECT user_id, min(us)::BIGINT AS start_us, count(*) AS n FROM s GROUP BY user_id, k""")
 def s_session(spark, d):
-    out = edgepass.run_to_memory(edgepass.sessions(edgepass.event_stream(spark, d), "2 hours"), "s_sessions")
+    """A session is sent once, when the watermark has passed it; the end mark makes it pass the last ones."""
+    out = edgepass.run_to_files(edgepass.sessions(edgepass.ended(edgepass.event_stream(spark, d)), "2 hours"), "s_sessions")
     return out.select("user_id", F.unix_micros("window.start").alias("start_us"), "n")
 
 
 @query("SELECT DISTINCT user_id, event_type FROM events")
 def s_dedup(spark, d):
-    return edgepass.run_to_memory(edgepass.event_stream(spark, d).select("user_id", "event_type").dropDuplicates(), "s_dedup", "append")
+    return edgepass.run_to_files(edgepass.event_stream(spark, d).select("user_id", "event_type").dropDuplicates(), "s_dedup")
 
 
 _LIVE = o.with_(o.graph("T"), f"lv AS (SELECT * FROM v WHERE vlabel IN ({', '.join(map(o.text, TAILED.labels))}))", "la AS (SELECT a.*, d.vlabel AS dlabel FROM adj a JOIN lv s ON s.vid=a.src JOIN lv d ON d.vid=a.dst WHERE a.elabel IN ('placed'))", o.counts(TAILED))
@@ -622,7 +623,7 @@ def s_live_counts(spark, d):
 @query(f"SELECT {2 * o.SPACE}+o_orderkey AS vid, count(*) AS n FROM orders GROUP BY 1")
 def s_live_state(spark, d):
     """The same with state of its own for each vertex, which seals it after a while without edges."""
-    out = edgepass.run_to_memory(live.stateful_counts(live.order_stream(spark, d)), "s_live_state", "append")
+    out = edgepass.run_to_files(live.stateful_counts(live.order_stream(spark, d)), "s_live_state")
     return out.groupBy("vid").agg(F.max("n").alias("n"))
 
 
@@ -630,7 +631,7 @@ def s_live_state(spark, d):
 def s_live_filter(spark, d):
     """Each vertex's last word on the stream of placed edges: kept as soon as it passes, dropped when it is sealed."""
     g = view(spark, d, "T")
-    out = edgepass.run_to_memory(live.live_filter(live.order_stream(spark, d), g.vertices, TAILED, idle="1 day"), "s_live_filter", "append")
+    out = edgepass.run_to_files(live.live_filter(live.order_stream(spark, d), g.vertices, TAILED, idle="1 day"), "s_live_filter")
     return out.groupBy("vid").agg(F.max("pdeg").alias("pdeg"), F.max_by("keep", "pdeg").alias("keep"))
 
 
@@ -638,14 +639,14 @@ def s_live_filter(spark, d):
 def s_join_static(spark, d):
     """A stream joined with a table that stands still."""
     out = live.order_stream(spark, d).join(graphs.table(spark, d, "customer").select(graphs.vid("customer", "c_custkey").alias("src"), "c_mktsegment"), "src")
-    rows = edgepass.run_to_memory(out.select((F.col("dst") - 2 * o.SPACE).alias("order_id"), F.col("c_mktsegment").alias("segment")), "s_join_static", "append")
+    rows = edgepass.run_to_files(out.select((F.col("dst") - 2 * o.SPACE).alias("order_id"), F.col("c_mktsegment").alias("segment")), "s_join_static")
     return rows
 
 
 @query("SELECT v.event_id AS view_id, c.event_id AS click_id FROM events v JOIN events c ON v.user_id = c.user_id AND v.event_type = 'view' AND c.event_type = 'click' AND c.ts >= v.ts AND c.ts <= v.ts + INTERVAL 2 HOURS")
 def s_join_streams(spark, d):
     """Two streams joined within an interval; rows older than the watermark leave the state."""
-    return edgepass.run_to_memory(edgepass.followed_by(edgepass.event_stream(spark, d), "view", "click", "2 hours"), "s_join_streams", "append")
+    return edgepass.run_to_files(edgepass.followed_by(edgepass.event_stream(spark, d), "view", "click", "2 hours"), "s_join_streams")
 
 
 # ---- graph databases ------------------------------------------------------------------------------------------------

@@ -47,6 +47,15 @@ def test_query_equals_sql(spark, db, name):
     assert text(got) == text(want)
 
 
+@pytest.mark.parametrize("name", ["s_session"])
+def test_streams_of_many_rows_stay_off_the_driver(spark, db, name):
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
+    out = entry.queries()[name](spark, SF)
+    assert out.inputFiles()  # a memory table has none
+    assert text(out.toPandas()) == text(db.sql(entry.oracle_sql()[name]).df())
+    assert spark.conf.get("spark.sql.streaming.stateStore.providerClass", None) == before
+
+
 @pytest.mark.parametrize("name", ["c_code_edge_aware", "c_decode"])
 def test_codes_have_a_row_for_every_vertex_hubs_too(spark, name):
     from nbrmatch.operators import filters
