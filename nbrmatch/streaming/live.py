@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,30 +27,52 @@ def order_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return source.select(vid("customer", "o_custkey").alias("src"), vid("orders", "o_orderkey").alias("dst"), F.lit("placed").alias("elabel"), F.col("o_orderdate").cast("timestamp").alias("ts"))
 
 
-def stateful_counts(edges: DataFrame, idle: str = "30 days") -> DataFrame:
+#: Ids of vertices that share a state in stateful_counts: so many neighbouring ones at most.
+RANGE = 4096
+
+
+def stateful_counts(edges: DataFrame, idle: str = "30 days", width: int = RANGE) -> DataFrame:
     """(vid, n, sealed): edges of each dst vertex, from state of its own.
 
     A row is sent when edges come; a vertex is sealed, and its state dropped, when the watermark passes `idle` after its
-    last edge. Needs (dst, ts).
+    last edge. Needs (dst, ts). The states of a range of `width` ids lie in one group, as arrays, so that Python is called
+    for a range and not for each vertex; a group can't outgrow its range.
     """
 
+    def frame(key: tuple, vids: np.ndarray, n: np.ndarray, sealed: bool) -> pd.DataFrame:
+        own = vids if not pd.isna(key[0]) else pd.array([None] * len(vids), dtype="Int64")  # edges without dst are one group
+        return pd.DataFrame({"vid": own, "n": n, "sealed": np.full(len(vids), sealed)})
+
     def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            (n,) = state.get
+        vids, n, last = (np.array(x, dtype=np.int64) for x in (state.get if state.exists else ((), (), ())))
+        now = state.getCurrentWatermarkMs()
+        seen = vids[:0]
+        for b in batches if not state.hasTimedOut else ():
+            ids, at = np.unique(b["dst"].to_numpy(dtype=np.int64), return_inverse=True)
+            latest = np.full(len(ids), now, dtype=np.int64)
+            np.maximum.at(latest, at, b["ms"].to_numpy(dtype=np.int64))
+            every = np.union1d(vids, ids)
+            more, until = np.zeros(len(every), dtype=np.int64), np.zeros(len(every), dtype=np.int64)
+            old, new = np.searchsorted(every, vids), np.searchsorted(every, ids)
+            more[old], until[old] = n, last
+            more[new] += np.bincount(at, minlength=len(ids))
+            until[new] = np.maximum(until[new], latest)
+            vids, n, last, seen = every, more, until, np.union1d(seen, ids)
+        if len(seen):
+            yield frame(key, seen, n[np.searchsorted(vids, seen)], False)
+        over = last + 1 < now
+        if over.any():
+            yield frame(key, vids[over], n[over], True)
+            vids, n, last = vids[~over], n[~over], last[~over]
+        if not len(vids):
             state.remove()
-            yield pd.DataFrame({"vid": [key[0]], "n": [n], "sealed": [True]})
             return
-        n = state.get[0] if state.exists else 0
-        last = 0
-        for b in batches:
-            n += len(b)
-            last = max(last, int(b["ts"].max().timestamp() * 1000))
-        state.update((n,))
-        state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + 1)
-        yield pd.DataFrame({"vid": [key[0]], "n": [n], "sealed": [False]})
+        state.update((vids.tolist(), n.tolist(), last.tolist()))
+        state.setTimeoutTimestamp(max(int(last.min()), now) + 1)
 
-    keyed = edges.select("dst", "ts").withWatermark("ts", idle).groupBy("dst")
-    return keyed.applyInPandasWithState(update, "vid long, n long, sealed boolean", "n long", "append", GroupStateTimeout.EventTimeTimeout)
+    own, ms = F.coalesce("dst", F.lit(0)).alias("dst"), F.coalesce(F.unix_millis("ts"), F.lit(0)).alias("ms")
+    keyed = edges.select("dst", "ts").withWatermark("ts", idle).select(F.expr(f"dst div {width}").alias("range"), own, "ts", ms).groupBy("range")
+    return keyed.applyInPandasWithState(update, "vid long, n long, sealed boolean", "vids array<long>, n array<long>, last array<long>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def live_filter(edges: DataFrame, vertices: DataFrame, q: Pattern, idle: str = "30 days") -> DataFrame:

@@ -47,7 +47,7 @@ def test_query_equals_sql(spark, db, name):
     assert text(got) == text(want)
 
 
-@pytest.mark.parametrize("name", ["s_session", "s_join_static"])
+@pytest.mark.parametrize("name", ["s_session", "s_join_static", "s_live_state"])
 def test_streams_of_many_rows_stay_off_the_driver(spark, db, name):
     before = spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
     out = entry.queries()[name](spark, SF)

@@ -273,6 +273,27 @@ def test_live_filter_seals_and_restarts(spark, tmp_path):
     assert not any(r["vid"] == 4 and r["keep"] for r in rows_)
 
 
+def test_live_counts_of_a_range_share_a_state(spark, tmp_path):
+    from nbrmatch.streaming import live
+
+    schema, path = "dst long, ts timestamp", f"{tmp_path}/in"
+
+    def feed(edges):
+        spark.createDataFrame(edges, "dst long, ts string").select("dst", F.to_timestamp("ts").alias("ts")).coalesce(1).write.mode("append").parquet(path)
+        stream = live.stateful_counts(spark.readStream.schema(schema).parquet(path), idle="1 hour", width=10)
+        run = stream.writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/cp").trigger(availableNow=True).start()
+        run.awaitTermination()
+        states = spark.read.format("statestore").load(f"{tmp_path}/cp").count()
+        return states, {tuple(r) for r in spark.read.parquet(f"{tmp_path}/out").collect()}
+
+    states, got = feed([(1, "2024-01-01 00:00:00"), (2, "2024-01-01 00:10:00"), (1, "2024-01-01 00:20:00"), (-3, "2024-01-01 00:00:00"), (25, None), (None, "2024-01-01 00:00:00"), (None, "2024-01-01 00:00:00")])
+    assert states <= 3 and got >= {(1, 2, False), (2, 1, False), (-3, 1, False), (25, 1, False), (None, 2, False)}
+    _, got = feed([(2, "2024-01-01 00:30:00"), (9, "2024-01-03 00:00:00")])  # starts again from its state; the watermark passes all but 9
+    assert got >= {(2, 2, False), (9, 1, False), (1, 2, True), (2, 2, True), (-3, 1, True), (None, 2, True)}
+    states, got = feed([(2, "2024-01-01 00:30:00")])  # far too late
+    assert states == 1 and not any(v == 2 and n > 2 for v, n, _ in got) and not any(v == 9 and s for v, _, s in got)
+
+
 def test_dirty_edges(spark):
     from nbrmatch.operators.graph import build, dropped
 
