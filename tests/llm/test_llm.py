@@ -708,3 +708,14 @@ def test_pipeline_stages(spark):
         before = after
     final = corpus_pipeline.run(spark, SF)
     assert final.count() == before.count()
+
+
+def test_transducer_states_carry_no_output():
+    """Words that differ in tokens before the last share states; each place has one finished token at most, from which words are read back."""
+    ranks, pattern = _bpe()
+    own, rng = bpe.Transducer(bpe.parse_ranks(ranks), pattern), random.Random(5)
+    words = ["".join(rng.choice(["lich", "heit", "sch", "ä", "ung", "qu", "e", "tion", "é", "zz", "x9", "\u4e2d"]) for _ in range(rng.randint(1, 9))).encode() for _ in range(1500)]
+    words += [bytes(rng.randrange(256) for _ in range(rng.randint(1, 12))) for _ in range(500)]
+    assert all(list(own.word(w)) == (own.merge(w) if w not in own.ranks else [own.ranks[w]]) for w in words)
+    assert len(own.ends) == len(own.sets) and all(len(h) == 2 for found in own.sets for h in found)
+    assert all(sum(node == 0 for _, node in found) <= 1 for found in own.sets)
