@@ -319,9 +319,10 @@ def c_decode(spark, d):
 
 @query()
 def c_widths(spark, d):
-    """Labels whose codes fit 64 bits and 38 digits, by largest degree."""
-    rows = [(n, codes.max_width(n), codes.max_width(n, codes.DECIMAL)) for n in (10, 50, 100, 1000, 10**4, 10**6, 10**9)]
-    return spark.createDataFrame(rows, "degree long, long_width int, decimal_width int")
+    """Labels whose codes fit 64 bits and 38 digits, by how many events a user has; tests hold it against plain integers."""
+    degrees = graphs.table(spark, d, "events").groupBy("user_id").agg(F.count("*").alias("degree")).groupBy("degree").agg(F.count("*").alias("users"))
+    width = lambda limit: F.pandas_udf(lambda n: n.map(lambda x: codes.max_width(int(x), limit)).astype("int32"), "int")
+    return degrees.select("degree", "users", width(codes.INT64)("degree").alias("long_width"), width(codes.DECIMAL)("degree").alias("decimal_width"))
 
 
 # ---- filters --------------------------------------------------------------------------------------------------------
