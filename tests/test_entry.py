@@ -56,6 +56,21 @@ def test_streams_of_many_rows_stay_off_the_driver(spark, db, name):
     assert spark.conf.get("spark.sql.streaming.stateStore.providerClass", None) == before
 
 
+def test_widths_are_of_the_degrees_of_users(spark, db):
+    from nbrmatch.functions import codes
+
+    got = {r["degree"]: tuple(r)[1:] for r in entry.queries()["c_widths"](spark, SF).collect()}
+    degrees = dict(db.sql("SELECT n, count(*) FROM (SELECT count(*) AS n FROM events GROUP BY user_id) GROUP BY 1").fetchall())
+    assert got == {n: (users, codes.max_width(n), codes.max_width(n, codes.DECIMAL)) for n, users in degrees.items()}
+
+
+@pytest.mark.parametrize("name", ["r_udtf_decode", "r_udtf_pattern"])
+def test_table_functions_work_on_a_table(spark, db, name):
+    got = entry.queries()[name](spark, SF)
+    assert any("events" in f or "orders" in f for f in got.inputFiles())
+    assert text(got.toPandas()) == text(db.sql(entry.oracle_sql()[name]).df())
+
+
 @pytest.mark.parametrize("name", ["c_code_edge_aware", "c_decode"])
 def test_codes_have_a_row_for_every_vertex_hubs_too(spark, name):
     from nbrmatch.operators import filters
