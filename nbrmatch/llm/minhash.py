@@ -294,8 +294,8 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     least = least_agreeing(percent)
     rows = materialise(sketch(docs, bands_for(percent), words), "sketch")
-    classes = rows.where("n_shingles > 0 and doc_id is not null").groupBy("set_digest").agg(F.min("doc_id").alias("rep"), F.min(F.struct("signature", "bands")).alias("s"))
-    classes = materialise(classes.select("set_digest", "rep", "s.signature", "s.bands"), "classes")
+    classes = rows.where("n_shingles > 0 and doc_id is not null").groupBy("set_digest").agg(F.min("doc_id").alias("rep"), F.min("bands").alias("bands"))
+    classes = materialise(classes, "classes")  # signatures, most of a sketch's bytes, stay where they are
     bucket = ["band", "h"]
     banded = classes.select("rep", F.posexplode("bands").alias(*bucket))
     sizes = materialise(banded.groupBy(*bucket).agg(F.count("*").alias("n")).where("n > 1"), "sizes")
@@ -323,7 +323,9 @@ def near_duplicates(docs: DataFrame, percent: int = 85, words: int = WORDS) -> D
     discard(members, placed, hub_at, open_, unsettled)
     more = None
     if not ask.isEmpty():
-        signed = materialise(ask.join(classes.select("rep", "signature"), "rep"), "signed")
+        asked = classes.select("set_digest", "rep").join(ask.select("rep").distinct(), "rep")
+        signs = rows.select("set_digest", F.col("doc_id").alias("rep"), "signature").join(asked, ["set_digest", "rep"], "left_semi").dropDuplicates(["set_digest", "rep"])
+        signed = materialise(ask.join(signs.select("rep", "signature"), "rep"), "signed")
         marked = materialise(_marked(signed, bucket, least), "marked")
         again = materialise(marked.join(signed.select(*bucket, "rep", "comp", "signature"), [*bucket, "rep"]).join(texts, "rep"), "again")
         more = materialise(_block_links(again, bucket, percent, words, least), "more-links")

@@ -719,3 +719,12 @@ def test_transducer_states_carry_no_output():
     assert all(list(own.word(w)) == (own.merge(w) if w not in own.ranks else [own.ranks[w]]) for w in words)
     assert len(own.ends) == len(own.sets) and all(len(h) == 2 for found in own.sets for h in found)
     assert all(sum(node == 0 for _, node in found) <= 1 for found in own.sets)
+
+
+def test_near_duplicates_store_signatures_once(spark, monkeypatch):
+    """They are most of a sketch's bytes: no table of classes has them again."""
+    seen, own = {}, minhash.materialise
+    monkeypatch.setattr(minhash, "materialise", lambda df, name, *a: seen.setdefault(name, df.columns) and own(df, name, *a))
+    df = spark.createDataFrame([(k, f"w{k} " + " ".join(f"v{j}" for j in range(60))) for k in range(9)], "doc_id long, text string")
+    assert {r["component_id"] for r in minhash.near_duplicates(df).collect()} == {0}
+    assert "signature" in seen["sketch"] and "signature" not in seen["classes"]
