@@ -3,6 +3,7 @@
 import hashlib
 import random
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -721,6 +722,60 @@ def test_transducer_states_carry_no_output():
     assert all(sum(node == 0 for _, node in found) <= 1 for found in own.sets)
 
 
+def _trained(rng, n=60):
+    """Ranks of a small vocabulary: merges in the order in which a trainer would make them."""
+    ranks, text = {bytes([b]): k for k, b in enumerate(b"abcd ")}, [bytes([rng.choice(b"abcd")]) for _ in range(3000)]
+    while len(ranks) < n:
+        a, b = Counter(zip(text, text[1:])).most_common(1)[0][0]
+        ranks.setdefault(a + b, len(ranks))
+        out, k = [], 0
+        while k < len(text):
+            both = text[k : k + 2] == [a, b]
+            out.append(a + b if both else text[k])
+            k += 2 if both else 1
+        text = out
+    return ranks
+
+
+def test_words_side_by_side_equal_merging_by_rank():
+    """Also where hypotheses forget last tokens that can't matter any more, in small vocabularies that leave many seams open."""
+    rng, undone = random.Random(11), False
+    for n in (8, 20, 60, 200):
+        ranks = _trained(rng, n)
+        own = bpe.Transducer(ranks, ".+", max_states=200)
+        words = [bytes(rng.choice(b"abcd") for _ in range(rng.randint(1, 14))) for _ in range(1500)] + [b"a" * 30]
+        lengths = np.array([len(w) for w in words])
+        ids, first, count = own._walk(np.frombuffer(b"".join(words), np.uint8), np.cumsum(lengths) - lengths, lengths)
+        for w, f, c in zip(words, first, count):
+            assert ids[f : f + c].tolist() == own.merge(w) == list(own.word(w)), w
+        undone = undone or any(last < bpe.NONE for found in own.sets for last, _ in found)
+    assert undone
+
+
+def test_new_words_of_known_parts_need_few_new_states():
+    ranks, pattern = _bpe()
+    own, rng = bpe.Transducer(bpe.parse_ranks(ranks), pattern), random.Random(5)
+    parts = ["lich", "heit", "sch", "ung", "qu", "e", "tion", "er", "and", "th"]
+    for _ in range(4000):
+        own.word("".join(rng.choice(parts) for _ in range(rng.randint(3, 9))).encode())
+    assert len(own.sets) < 1500
+
+
+def test_groups_of_texts_equal_the_tokenizer_library(monkeypatch):
+    import tiktoken
+
+    ranks, pattern = _bpe()
+    reference = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=bpe.parse_ranks(ranks), special_tokens={})
+    own, rng = bpe.Transducer(bpe.parse_ranks(ranks), pattern), random.Random(8)
+    parts = ["word", "Ünïcode", "the", "of,", "end.", "x.y", "it's", "a'", "b\nc", "d.\nE", "f\n\ng", "...", "12", "h3", "\u00bd", "\u65e5\u672c", "z" * 100, "\ti", "j\r", "k\n", "\U0001f600!", "--l", "m_n", "{o}"]
+    texts = [" ".join(rng.choice(parts) for _ in range(rng.randint(0, 30))) + rng.choice(["", " ", "\n", " \n"]) for _ in range(600)]
+    monkeypatch.setattr(bpe, "GROUP", 500)
+    for t, ids in zip(texts, own.encode_all(texts), strict=True):
+        assert ids.tolist() == reference.encode_ordinary(t), t
+        assert "".join(c for _, c in bpe.decode_stream(ids, own.text, 7)) == t
+    assert [x.tolist() for x in own.encode_all([None, "", "a"])] == [[], [], [own.ranks[b"a"]]] and not list(own.encode_all([]))
+
+
 def test_near_duplicates_store_signatures_once(spark, monkeypatch):
     """They are most of a sketch's bytes: no table of classes has them again."""
     seen, own = {}, minhash.materialise
